@@ -8,10 +8,25 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .common import table
 from .jaccard import jaccard_classes
+from .language import languages
+from .quality import quality_scores
+from .toxicity import toxicity_scores
 
 SPACES = "[\\x20\\x09-\\x0D]+"
 
 
+def op2_quality_boosted_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op5_toxicity_factorization(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op7_language_rank_order(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return languages(table(spark, sf_dir, "documents"))
+
+
 def op3_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_classes(table(spark, sf_dir, "documents"), k=5, share=80)
 
@@ -37,7 +52,8 @@ SELECT doc_id, CAST(n AS BIGINT) AS n_shingles, component_id, doc_id = component
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op3_ngram_jaccard_join": op3_ngram_jaccard_join}
+    made = (op2_quality_boosted_trees, op3_ngram_jaccard_join, op5_toxicity_factorization, op7_language_rank_order)
+    return {f.__name__: f for f in made}
 
 
 def oracle_sql() -> dict[str, str]:
