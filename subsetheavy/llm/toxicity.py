@@ -1,6 +1,7 @@
 """Toxicity: a second-order factorization machine over hashed terms.
 
-Terms are the distinct letter runs of the whole text, A-Z lower-cased, hashed to 2**BITS places. Places are chosen on
+Terms are the distinct letter runs of the whole text, A-Z lower-cased, and their first HEADS bytes (an insult is also
+known by its stem when compounds and endings differ), hashed to 2**BITS places. Places are chosen on
 the bounded labelled sample by their chi-square with the label; the machine has a weight and RANK factors for each, and
 its pair part sees combinations, such as an insult beside a group's name, that no sum of single weights can. Training is
 mini-batch AdaGrad on the logistic loss. Null and empty texts have no term and get the base margin. With no labelled
@@ -18,16 +19,25 @@ from pyspark.sql import DataFrame
 from . import textscan as ts
 from .learned import cut_at, sample_ids, sample_rows, scored_docs
 
-SAMPLE, BITS, RANK, CHOSEN = 20_000, 18, 8, 2048
+SAMPLE, BITS, RANK, CHOSEN = 20_000, 20, 8, 2048
+HEADS = (3, 4, 5, 6, 8)
 _LETTER = np.zeros(256, bool)
 _LETTER[[*range(65, 91), *range(97, 123), *range(128, 256)]] = True
 
 
+def _place(hashes: np.ndarray) -> np.ndarray:
+    return (hashes >> np.uint64(64 - BITS)).astype(np.int64)
+
+
 def terms(data: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(places of each document's distinct terms, for each document the index of its first)."""
     starts, ends = ts.spans(_LETTER[data], offs)
-    place = (ts.span_hash(data, starts, ends) >> np.uint64(64 - BITS)).astype(np.int64)
-    key = np.sort((ts.owner(starts, offs) << BITS) | place)
+    of = ts.owner(starts, offs) << BITS
+    key = [of | _place(ts.span_hash(data, starts, ends))]
+    for head in HEADS:
+        longer = ends - starts > head
+        key.append(of[longer] | _place(ts.span_hash(data, starts[longer], starts[longer] + head) ^ ts.LAGS[head]))
+    key = np.sort(np.concatenate(key))
     key = key[np.concatenate([np.ones(min(1, len(key)), bool), key[1:] != key[:-1]])]
     return key & ((1 << BITS) - 1), np.searchsorted(key, np.arange(len(offs)) << BITS)
 
