@@ -11,6 +11,9 @@ shingles names at most 2**18 frequent ones; the order needs no more than that, a
 Lists travel as blocks of packed arrays, dealt by key, and are read with vectorised code. A list of up to LIST sets
 gives its pairs. A longer one gives star pairs to a pivot per size class; once the pairs found so far have merged sets
 into components, only the sets outside a list's largest component are compared with the sets of other components.
+Pairs carry how many entries they share. Two sets can share no more tokens than those of the shorter-reaching prefix
+that both hold and all that lie behind it, so a pair whose shared entries, with those that long lists may add, are too
+few for a link goes without a look at its sets.
 Every pair of a list thus is compared or already in one component: components are exact, with no caps, and the work on
 a group of copies follows its size and not its square. Every candidate is verified on whole sets.
 
@@ -36,6 +39,7 @@ HOT = 1 << 18
 #: Estimated comparisons that a single-token entry causes, against 1 for writing an entry.
 SCAN = 4.0
 SCAN_TABLE = "kind int, a bigint, b bigint, c bigint"
+LISTED = "kind int, a bigint, b bigint, c bigint, d bigint, e bigint"
 
 
 def _least(n: int, share: int) -> int:
@@ -91,7 +95,8 @@ def boundary(sizes: list[tuple[int, int]], share: int) -> int:
 
 
 def _index(k: int, share: int, limit: int, hot, buckets: int, salted: int):
-    """Blocks of (key, node, size, key is dealt over several buckets) by bucket. hot: broadcast (shingles, counts)."""
+    """Blocks of (key, node, size, flags) by bucket; flags: 1 the key is dealt over several buckets, 2 it is a subset.
+    hot: broadcast (shingles, counts)."""
     reach = -(-share * (limit + 1) // 100)
 
     def go(batches):
@@ -100,7 +105,7 @@ def _index(k: int, share: int, limit: int, hot, buckets: int, salted: int):
         total = 0
 
         def flush():
-            key, node, size, wide = (np.concatenate(x) for x in zip(*held, strict=True))
+            key, node, size, wide, sub = (np.concatenate(x) for x in zip(*held, strict=True))
             # a frequent key is dealt over buckets by node too
             spread = ts.mixed(key ^ np.uint64(77)) + np.where(wide > 0, ts.mixed(node) % np.maximum(wide, 1).astype(np.uint64), np.uint64(0))
             where = (spread % np.uint64(buckets)).astype(np.int64)
@@ -110,7 +115,7 @@ def _index(k: int, share: int, limit: int, hot, buckets: int, salted: int):
             for part in range(0, len(rows), 64):
                 some = rows[part : part + 64]
                 pack = lambda x, kind: pa.array([x[o].astype(kind).tobytes() for _, o in some], pa.binary())
-                yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in some], pa.int32()), pack(key, np.uint64), pack(node, np.uint64), pack(size, np.int32), pack(wide > 0, np.uint8)], names=["bucket", "keys", "nodes", "sizes", "wide"])
+                yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in some], pa.int32()), pack(key, np.uint64), pack(node, np.uint64), pack(size, np.int32), pack((wide > 0) + 2 * sub, np.uint8)], names=["bucket", "keys", "nodes", "sizes", "flags"])
 
         for batch in batches:
             for _, _, data, offs in ts.runs(batch.column(0)):
@@ -124,7 +129,7 @@ def _index(k: int, share: int, limit: int, hot, buckets: int, salted: int):
                     where = np.minimum(np.searchsorted(keys, every), len(keys) - 1)
                     hit = keys[where] == every
                     often[hit] = counts[where[hit]]
-                out_k, out_n, out_s, out_w = [], [], [], []
+                out_k, out_n, out_s, out_w, out_f = [], [], [], [], []
                 for d, n in enumerate(size.tolist()):
                     if n < 4:  # such a set links with equal ones alone
                         continue
@@ -141,14 +146,16 @@ def _index(k: int, share: int, limit: int, hot, buckets: int, salted: int):
                         lo, hi = np.minimum(own[i], own[j]), np.maximum(own[i], own[j])
                         out_k.append(ts.mixed(lo * ts.LAGS[20] + hi * ts.LAGS[21]))
                         out_w.append(np.minimum(rate[i], rate[j]) // salted)
+                        out_f.append(np.ones(len(i), np.uint8))
                     if n >= reach:
                         out_k.append(own[:first])
                         out_w.append(rate[:first] // salted)
+                        out_f.append(np.zeros(len(own[:first]), np.uint8))
                     made = (n <= limit) * (len(own) * (len(own) - 1) // 2) + (n >= reach) * min(first, len(own))
                     out_n.append(np.full(made, nodes[d]))
                     out_s.append(np.full(made, n))
                 if out_k:
-                    held.append([np.concatenate(out_k), np.concatenate(out_n), np.concatenate(out_s), np.concatenate(out_w)])
+                    held.append([np.concatenate(out_k), np.concatenate(out_n), np.concatenate(out_s), np.concatenate(out_w), np.concatenate(out_f)])
                     total += len(held[-1][0])
                 if total > 1 << 20:
                     yield from flush()
@@ -159,14 +166,13 @@ def _index(k: int, share: int, limit: int, hot, buckets: int, salted: int):
     return go
 
 
-def _lists(share: int, part: int):
-    """From the blocks of one bucket, (0, node, node) candidates, sorted ends, and (1, key, node, size) for long or
-    dealt lists."""
+def _lists(share: int, limit: int, part: int):
+    """From the blocks of one bucket, candidates (0, node, node, entries shared, size, size) and the entries of long or
+    dealt lists (1, key, node, size, subset, null)."""
 
-    def go(tables):
-        blocks = list(tables)
-        get = lambda name, kind: np.concatenate([np.frombuffer(x.as_py(), kind) for t in blocks for x in t.column(name)] or [np.zeros(0, kind)])
-        key, node, size, wide = get("keys", np.uint64), get("nodes", np.uint64), get("sizes", np.int32), get("wide", np.uint8)
+    def go(blocks):
+        get = lambda name, kind: np.concatenate([np.frombuffer(x.as_buffer(), kind) for t in blocks for x in t.column(name)] or [np.zeros(0, kind)])
+        key, node, size, flag = get("keys", np.uint64), get("nodes", np.uint64), get("sizes", np.int32), get("flags", np.uint8)
         if not len(key):
             return
         # single entries go first, as most keys have one
@@ -174,47 +180,58 @@ def _lists(share: int, part: int):
         key = key[order]
         same = np.zeros(len(key) + 1, bool)
         same[1:-1] = key[1:] == key[:-1]
-        many = same[1:] | same[:-1] | (wide[order] > 0)
+        many = same[1:] | same[:-1] | (flag[order] & 1 > 0)
         order, key = order[many], key[many]
-        node, size, wide = node[order], size[order], wide[order]
+        node, size, flag = node[order], size[order], flag[order]
         order = np.lexsort((node, size, key))
-        key, node, size, wide = key[order], node[order], size[order], wide[order]
+        key, node, size, flag = key[order], node[order], size[order], flag[order]
         fresh = np.ones(len(key), bool)
         fresh[1:] = (key[1:] != key[:-1]) | (node[1:] != node[:-1])
-        key, node, size, wide = key[fresh], node[fresh], size[fresh], wide[fresh]
+        key, node, size, flag = key[fresh], node[fresh], size[fresh].astype(np.int64), flag[fresh]
         starts = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, int)
         length = np.diff(np.concatenate([starts, [len(key)]]))
         group = np.repeat(np.arange(len(starts)), length)
-        big = (length > LIST)[group] | (wide > 0)
-        left, right = [], []
+        big = (length > LIST)[group] | (flag & 1 > 0)
+        first, second = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
         index = np.flatnonzero(~big)
         for gap in range(1, LIST):
-            i = index[index + gap < len(key)]
-            i = i[group[i + gap] == group[i]]
-            if not len(i):
+            index = index[index + gap < len(key)]
+            index = index[group[index + gap] == group[index]]
+            if not len(index):
                 break
-            index = i
-            near = i[100 * size[i] >= share * size[i + gap].astype(np.int64)]
-            left.append(np.minimum(node[near], node[near + gap]))
-            right.append(np.maximum(node[near], node[near + gap]))
-        if left:
-            a, b = np.concatenate(left), np.concatenate(right)
-            order = np.lexsort((b, a))
-            a, b = a[order], b[order]
-            fresh = np.ones(len(a), bool)
-            fresh[1:] = (a[1:] != a[:-1]) | (b[1:] != b[:-1])
-            a, b = a[fresh], b[fresh]
-            for o in range(0, len(a), part):
-                yield _entries(0, a[o : o + part], b[o : o + part], np.zeros(len(a[o : o + part]), np.int64))
-        key, node, size = key[big], node[big], size[big]
-        for o in range(0, len(key), part):
-            yield _entries(1, key[o : o + part], node[o : o + part], size[o : o + part].astype(np.int64))
+            # sets that are both small meet by subsets alone
+            near = index[(100 * size[index] >= share * size[index + gap]) & ((flag[index] > 1) | (size[index + gap] > limit))]
+            first.append(near)
+            second.append(near + gap)
+        i, j = np.concatenate(first), np.concatenate(second)
+        turned = node[i] > node[j]
+        i, j = np.where(turned, j, i), np.where(turned, i, j)
+        order = np.lexsort((node[j], node[i]))
+        i, j = i[order], j[order]
+        at = np.flatnonzero(np.concatenate([np.ones(min(1, len(i)), bool), (node[i][1:] != node[i][:-1]) | (node[j][1:] != node[j][:-1])]))
+        shared = np.diff(np.concatenate([at, [len(i)]]))
+        i, j = i[at], j[at]
+        for o in range(0, len(i), part):
+            x, y = i[o : o + part], j[o : o + part]
+            yield _entries(0, node[x], node[y], shared[o : o + part], size[x], size[y])
+        big = np.flatnonzero(big)
+        for o in range(0, len(big), part):
+            x = big[o : o + part]
+            yield _entries(1, key[x], node[x], size[x], (flag[x] >> 1).astype(np.int64), np.zeros(len(x), np.int64))
 
     return go
 
 
-def _entries(kind, a, b, c):
-    return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int32)), pa.array(a.view(np.int64)), pa.array(b.view(np.int64)), pa.array(c)], names=["kind", "a", "b", "c"])
+def _entries(kind, a, b, *rest):
+    return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int32)), pa.array(a.view(np.int64)), pa.array(b.view(np.int64)), *map(pa.array, rest)], names=["kind", "a", "b", "c", "d", "e"])
+
+
+def _enough(share: int, limit: int, shared, sa, sb):
+    """Whether sets of these sizes that share so many entries can link."""
+    small, large = F.least(sa, sb), F.greatest(sa, sb)
+    need = F.ceil((small + large) * share / F.lit(100.0 + share) - 1e-9) - F.ceil(large * share / F.lit(100.0) - 1e-9) + 1
+    need = F.greatest(need, F.lit(1))
+    return (100 * small >= share * large) & (shared >= F.when(large <= limit, need * (need + 1) / 2).otherwise(need))
 
 
 def _filter_bits(bits: int):
@@ -277,7 +294,7 @@ class _Verifier:
 
     def links(self, pairs: DataFrame) -> tuple[DataFrame, list[str]]:
         spark = pairs.sparkSession
-        pairs, pairs_at = stored_at(pairs.where("a <> b").distinct(), "pairs")
+        pairs, pairs_at = stored_at(pairs.where("a <> b"), "pairs")
         ends = pairs.select(F.explode(F.array("a", "b")).alias("end")).distinct()
         asked, asked_at = stored_at(self.nodes.join(ends, self.nodes["node"] == ends["end"], "left_semi").select("doc_id"), "asked")
         # a filter of bounded size; where it fills up, more sets are read and the joins below still decide
@@ -298,25 +315,27 @@ class _Verifier:
 def _stars(lists: DataFrame, share: int) -> DataFrame:
     """Pairs of each long list's members with the largest member of their size class and of the class below."""
     step = math.log(100 / share)
-    classed = lists.select("key", "node", "size", F.floor(F.log(F.col("size").cast("double")) / step).cast("int").alias("class"))
-    pivots = classed.groupBy("key", "class").agg(F.max(F.struct("size", "node")).alias("top"))
-    up = pivots.select(F.col("key").alias("pkey"), F.explode(F.array(F.col("class"), F.col("class") + 1)).alias("pclass"), F.col("top.node").alias("pivot"), F.col("top.size").alias("psize"))
+    classed = lists.withColumn("class", F.floor(F.log(F.col("size").cast("double")) / step).cast("int"))
+    pivots = classed.groupBy("key", "class").agg(F.max(F.struct("size", "node", "tokens", "subsets")).alias("top"))
+    up = pivots.select(F.col("key").alias("pkey"), F.explode(F.array(F.col("class"), F.col("class") + 1)).alias("pclass"), F.col("top").alias("p"))
     up = stored_at(up, "pivots")[0]
-    return (classed.join(up, (F.col("key") == F.col("pkey")) & (F.col("class") == F.col("pclass")))
-            .where((F.col("node") != F.col("pivot")) & (100 * F.least("size", "psize") >= share * F.greatest("size", "psize")))
-            .select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b")))
+    return (classed.join(up, (F.col("key") == F.col("pkey")) & (F.col("class") == F.col("pclass"))).where(F.col("node") != F.col("p.node"))
+            .select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b"),
+                    F.when(F.col("node") < F.col("p.node"), F.col("size")).otherwise(F.col("p.size")).alias("sa"),
+                    F.when(F.col("node") < F.col("p.node"), F.col("p.size")).otherwise(F.col("size")).alias("sb")))
 
 
-def _across(lists: DataFrame, comp: DataFrame, share: int) -> DataFrame:
+def _across(lists: DataFrame, comp: DataFrame, share: int, limit: int) -> DataFrame:
     """Pairs of long lists between components: what lies outside a list's largest component against all of the list."""
     named, _ = stored_at(lists.join(comp.select(F.col("node").alias("n0"), "comp"), F.col("node") == F.col("n0"), "left")
-                         .select("key", "node", "size", F.coalesce("comp", "node").alias("comp")), "named")
+                         .select("key", "node", "size", "tokens", "subsets", F.coalesce("comp", "node").alias("comp")), "named")
     sizes = named.groupBy("key", "comp").agg(F.count("*").alias("n"))
     mixed, _ = stored_at(sizes.groupBy("key").agg(F.count("*").alias("comps"), F.max(F.struct("n", "comp")).alias("top")).where("comps > 1")
                          .select(F.col("key").alias("mkey"), F.col("top.comp").alias("top")), "mixed")
     inside, _ = stored_at(named.join(mixed, F.col("key") == F.col("mkey")).drop("mkey"), "inside")
-    rest = inside.where("comp <> top").select(F.col("key").alias("rkey"), F.col("node").alias("rnode"), F.col("size").alias("rsize"), F.col("comp").alias("rcomp"))
-    return (inside.join(rest, (F.col("key") == F.col("rkey")) & (F.col("comp") != F.col("rcomp")) & (100 * F.least("size", "rsize") >= share * F.greatest("size", "rsize")))
+    rest = inside.where("comp <> top").select(F.col("key").alias("rkey"), *(F.col(c).alias(f"r{c}") for c in ("node", "size", "tokens", "subsets", "comp")))
+    both = (F.least("size", "rsize") > 0) & _enough(share, limit, F.when(F.greatest("size", "rsize") <= limit, F.least("subsets", "rsubsets")).otherwise(F.least("tokens", "rtokens")), F.col("size"), F.col("rsize"))
+    return (inside.join(rest, (F.col("key") == F.col("rkey")) & (F.col("comp") != F.col("rcomp")) & both)
             .select(F.least("node", "rnode").alias("a"), F.greatest("node", "rnode").alias("b")))
 
 
@@ -340,18 +359,26 @@ def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     buckets = int(max(12, min(8192, entries // 600_000)))
     nodes, nodes_at = stored_at(rows.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("doc_id")), "nodes")
     listed, listed_at = stored_at(
-        docs.select("text").mapInArrow(_index(k, share, limit, spark.sparkContext.broadcast((keys[order], counts[order])), buckets, 8192), "bucket int, keys binary, nodes binary, sizes binary, wide binary")
-        .groupBy("bucket").applyInArrow(_one(_lists(share, 1 << 16)), SCAN_TABLE), "lists")
-    lists = listed.where("kind = 1").select(F.col("a").alias("key"), F.col("b").alias("node"), F.col("c").alias("size"))
+        docs.select("text").mapInArrow(_index(k, share, limit, spark.sparkContext.broadcast((keys[order], counts[order])), buckets, 8192), "bucket int, keys binary, nodes binary, sizes binary, flags binary")
+        .groupBy("bucket").applyInArrow(_one(_lists(share, limit, 1 << 16)), LISTED), "lists")
+    held = listed.where("kind = 1").select(F.col("a").alias("key"), F.col("b").alias("node"), F.col("c").alias("size"), F.col("d").alias("subset"))
+    # how many entries of each set the pairs' counts may lack
+    hidden, hidden_at = stored_at(held.groupBy("node").agg(F.sum(1 - F.col("subset")).alias("tokens"), F.sum("subset").alias("subsets")), "hidden")
+    lists, lists_at = stored_at(held.join(hidden.withColumnRenamed("node", "n0"), F.col("node") == F.col("n0")).select("key", "node", "size", "tokens", "subsets"), "long")
+    pairs = listed.where("kind = 0").select("a", "b", F.col("d").alias("sa"), F.col("e").alias("sb"), F.col("c").alias("shared"))
+    pairs, pairs_at = stored_at(pairs.unionByName(_stars(lists, share).withColumn("shared", F.lit(0).cast("bigint")))
+                                .groupBy("a", "b").agg(F.first("sa").alias("sa"), F.first("sb").alias("sb"), F.sum("shared").alias("shared")), "counted")
+    ha, hb = (hidden.select(F.col("node").alias(f"n{x}"), F.col("tokens").alias(f"t{x}"), F.col("subsets").alias(f"u{x}")) for x in "ab")
+    known = pairs.join(ha, F.col("a") == F.col("na"), "left").join(hb, F.col("b") == F.col("nb"), "left")
+    more = F.when(F.greatest("sa", "sb") <= limit, F.least(F.coalesce("ua", F.lit(0)), F.coalesce("ub", F.lit(0)))).otherwise(F.least(F.coalesce("ta", F.lit(0)), F.coalesce("tb", F.lit(0))))
     verifier = _Verifier(docs, nodes, k, share)
-    first = listed.where("kind = 0").select("a", "b").unionByName(_stars(lists, share))
-    links, made = verifier.links(first)
+    links, made = verifier.links(known.where(_enough(share, limit, F.col("shared") + more, F.col("sa"), F.col("sb"))).select("a", "b"))
     comp = components(links)
-    further, further_at = stored_at(_across(lists, comp, share), "further")
+    further, further_at = stored_at(_across(lists, comp, share, limit).distinct(), "further")
     if not further.isEmpty():
-        more, _ = verifier.links(further)
-        comp = components(links.unionByName(more))
-    forget(spark, listed_at, further_at, *made)
+        extra, _ = verifier.links(further)
+        comp = components(links.unionByName(extra))
+    forget(spark, listed_at, hidden_at, lists_at, pairs_at, further_at, *made)
     named = nodes.join(comp.select(F.col("node").alias("n0"), "comp"), F.col("node") == F.col("n0"), "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
     least = stored_at(named.groupBy("comp").agg(F.min("doc_id").alias("component_id")), "least")[0]
     classes = stored_at(named.join(least.withColumnRenamed("comp", "c0"), F.col("comp") == F.col("c0")).select(F.col("node").alias("n1"), "component_id"), "classes")[0]
@@ -363,7 +390,7 @@ def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 def _one(f):
     def go(t):
-        got = list(f(iter(t.to_batches())))
-        return pa.Table.from_batches(got) if got else pa.table({"kind": pa.array([], pa.int32()), "a": pa.array([], pa.int64()), "b": pa.array([], pa.int64()), "c": pa.array([], pa.int64())})
+        got = list(f(t.to_batches()))
+        return pa.Table.from_batches(got) if got else pa.table({"kind": pa.array([], pa.int32()), **{c: pa.array([], pa.int64()) for c in "abcde"}})
 
     return go
