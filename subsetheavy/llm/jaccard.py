@@ -9,13 +9,15 @@ estimated cost over the histogram of sizes. Tokens are ordered rare first: a mer
 shingles names at most 2**18 frequent ones; the order needs no more than that, and any order gives the same links.
 
 Lists travel as blocks of packed arrays, dealt by key, and are read with vectorised code. A list of up to LIST sets
-gives its pairs. A longer one gives star pairs to a pivot per size class; once the pairs found so far have merged sets
-into components, only the sets outside a list's largest component are compared with the sets of other components.
+gives its pairs. A longer one gives star pairs to a pivot per size class. Lists whose sets the links found so far have not merged into
+one component are then compared in blocks: a pair meets at the least long key that both sets have, goes no further if
+it is in one component or if counts of its tokens over CELLS cells leave too small an overlap possible, and the rest
+are verified inside the task, which gives the edges of a spanning forest and no pairs.
 Pairs carry how many entries they share. Two sets can share no more tokens than those of the shorter-reaching prefix
 that both hold and all that lie behind it, so a pair whose shared entries, with those that long lists may add, are too
 few for a link goes without a look at its sets.
-Every pair of a list thus is compared or already in one component: components are exact, with no caps, and the work on
-a group of copies follows its size and not its square. Every candidate is verified on whole sets.
+Every pair of a list thus is compared or already in one component: components are exact, with no caps, and what is
+written for a group of copies follows its size and not its square. Every candidate is verified on whole sets.
 
 Nulls, empty texts and texts without words have no shingles and link with nothing. Rows with equal sets are one node,
 whatever their number; rows that repeat a doc_id keep their rows. An empty table gives no rows.
@@ -35,6 +37,7 @@ from .common import components, forget, stored_at
 
 #: Longest list whose pairs are all made at once.
 LIST = 32
+BLOCK, CELLS = 1024, 256
 HOT = 1 << 18
 #: Estimated comparisons that a single-token entry causes, against 1 for writing an entry.
 SCAN = 4.0
@@ -268,19 +271,23 @@ def _sets(k: int, field, bits: int):
     return go
 
 
+def _links(x: np.ndarray, y: np.ndarray, share: int) -> bool:
+    """Whether two ascending sets link."""
+    small, large = (x, y) if len(x) <= len(y) else (y, x)
+    if 100 * len(small) < share * len(large):
+        return False
+    where = np.minimum(np.searchsorted(large, small), len(large) - 1)
+    both = int((large[where] == small).sum())
+    return 100 * both >= share * (len(x) + len(y) - both)
+
+
 def _verify(share: int):
     def go(batches):
         for batch in batches:
             a, b = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1))
             keep = np.zeros(len(a), bool)
             for i, (x, y) in enumerate(zip(batch.column(2), batch.column(3), strict=True)):
-                x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-                small, large = (x, y) if len(x) <= len(y) else (y, x)
-                if 100 * len(small) < share * len(large):
-                    continue
-                where = np.minimum(np.searchsorted(large, small), len(large) - 1)
-                both = int((large[where] == small).sum())
-                keep[i] = 100 * both >= share * (len(x) + len(y) - both)
+                keep[i] = _links(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64), share)
             yield pa.RecordBatch.from_arrays([pa.array(a[keep]), pa.array(b[keep])], names=["a", "b"])
 
     return go
@@ -292,10 +299,9 @@ class _Verifier:
     def __init__(self, docs: DataFrame, nodes: DataFrame, k: int, share: int):
         self.docs, self.nodes, self.k, self.share = docs, nodes, k, share
 
-    def links(self, pairs: DataFrame) -> tuple[DataFrame, list[str]]:
-        spark = pairs.sparkSession
-        pairs, pairs_at = stored_at(pairs.where("a <> b"), "pairs")
-        ends = pairs.select(F.explode(F.array("a", "b")).alias("end")).distinct()
+    def sets(self, ends: DataFrame) -> tuple[DataFrame, str]:
+        """(node, set) of the nodes in column end, each once."""
+        spark = ends.sparkSession
         asked, asked_at = stored_at(self.nodes.join(ends, self.nodes["node"] == ends["end"], "left_semi").select("doc_id"), "asked")
         # a filter of bounded size; where it fills up, more sets are read and the joins below still decide
         bits = min(27, max(16, math.ceil(math.log2(16 * asked.count() + 1))))
@@ -303,12 +309,19 @@ class _Verifier:
         words = asked.coalesce(64).mapInArrow(_filter_bits(bits), "at bigint, bits bigint").groupBy("at").agg(F.bit_or("bits").alias("bits"))
         got = words.toArrow()
         field[got.column("at").to_numpy()] = got.column("bits").to_numpy()
-        sets, sets_at = stored_at(self.docs.mapInArrow(_sets(self.k, spark.sparkContext.broadcast(field.view(np.uint8)), bits), "node bigint, set binary")
-                                  .join(ends, F.col("node") == F.col("end"), "left_semi").dropDuplicates(["node"]), "sets")
+        read = self.docs.mapInArrow(_sets(self.k, spark.sparkContext.broadcast(field.view(np.uint8)), bits), "node bigint, set binary")
+        made = stored_at(read.join(ends, F.col("node") == F.col("end"), "left_semi").dropDuplicates(["node"]), "sets")
+        forget(spark, asked_at)
+        return made
+
+    def links(self, pairs: DataFrame) -> tuple[DataFrame, list[str]]:
+        spark = pairs.sparkSession
+        pairs, pairs_at = stored_at(pairs.where("a <> b"), "pairs")
+        sets, sets_at = self.sets(pairs.select(F.explode(F.array("a", "b")).alias("end")).distinct())
         one, two = sets.select(F.col("node").alias("na"), F.col("set").alias("sa")), sets.select(F.col("node").alias("nb"), F.col("set").alias("sb"))
         joined = pairs.join(one, F.col("a") == F.col("na")).select("a", "b", "sa").join(two, F.col("b") == F.col("nb")).select("a", "b", "sa", "sb")
         found, at = stored_at(joined.mapInArrow(_verify(self.share), "a bigint, b bigint"), "links")
-        forget(spark, pairs_at, asked_at, sets_at)
+        forget(spark, pairs_at, sets_at)
         return found, [at]
 
 
@@ -325,18 +338,109 @@ def _stars(lists: DataFrame, share: int) -> DataFrame:
                     F.when(F.col("node") < F.col("p.node"), F.col("p.size")).otherwise(F.col("size")).alias("sb")))
 
 
-def _across(lists: DataFrame, comp: DataFrame, share: int, limit: int) -> DataFrame:
-    """Pairs of long lists between components: what lies outside a list's largest component against all of the list."""
-    named, _ = stored_at(lists.join(comp.select(F.col("node").alias("n0"), "comp"), F.col("node") == F.col("n0"), "left")
-                         .select("key", "node", "size", "tokens", "subsets", F.coalesce("comp", "node").alias("comp")), "named")
-    sizes = named.groupBy("key", "comp").agg(F.count("*").alias("n"))
-    mixed, _ = stored_at(sizes.groupBy("key").agg(F.count("*").alias("comps"), F.max(F.struct("n", "comp")).alias("top")).where("comps > 1")
-                         .select(F.col("key").alias("mkey"), F.col("top.comp").alias("top")), "mixed")
-    inside, _ = stored_at(named.join(mixed, F.col("key") == F.col("mkey")).drop("mkey"), "inside")
-    rest = inside.where("comp <> top").select(F.col("key").alias("rkey"), *(F.col(c).alias(f"r{c}") for c in ("node", "size", "tokens", "subsets", "comp")))
-    both = (F.least("size", "rsize") > 0) & _enough(share, limit, F.when(F.greatest("size", "rsize") <= limit, F.least("subsets", "rsubsets")).otherwise(F.least("tokens", "rtokens")), F.col("size"), F.col("rsize"))
-    return (inside.join(rest, (F.col("key") == F.col("rkey")) & (F.col("comp") != F.col("rcomp")) & both)
-            .select(F.least("node", "rnode").alias("a"), F.greatest("node", "rnode").alias("b")))
+def _cells(batches):
+    """(node, set, counts of its tokens over cells, at most 255 each)."""
+    for batch in batches:
+        out = []
+        for x in batch.column(1):
+            t = np.frombuffer(x.as_buffer(), np.uint64)
+            out.append(np.minimum(np.bincount((t & np.uint64(CELLS - 1)).astype(np.int64), minlength=CELLS), 255).astype(np.uint8).tobytes())
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.binary())], names=["node", "set", "cells"])
+
+
+def _meetings(rows: DataFrame) -> DataFrame:
+    """rows with key and node, dealt so that every two blocks of a key meet in one group (key, p, q): side 2 for a
+    block with itself, else 0 and 1."""
+    full, _ = stored_at(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select(F.col("key").alias("k0"), F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")), "blocks")
+    placed = rows.join(full, F.col("key") == F.col("k0")).drop("k0").withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    return placed.select("*", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")).select(
+        "*", F.least("mine", "other").alias("p"), F.greatest("mine", "other").alias("q"),
+        F.when(F.col("mine") == F.col("other"), 2).when(F.col("mine") < F.col("other"), 0).otherwise(1).alias("side")).drop("mine", "other", "blocks")
+
+
+def _possible(t, share: int, here: int):
+    """Index pairs of a group that may link: other components, sizes and cells that allow it, met at their least key."""
+    side, size, comp = (t.column(c).to_numpy() for c in ("side", "size", "comp"))
+    cells = np.array([np.frombuffer(x.as_buffer(), np.uint8) for x in t.column("cells")])
+    full = (cells == 255).any(1)
+    lists = t.column("keys").to_pylist()
+    table = np.full((len(lists), max(map(len, lists))), np.iinfo(np.int64).max)
+    for i, x in enumerate(lists):
+        table[i, : len(x)] = x
+    same = (side == 2).all()
+    one, two = (np.arange(len(side)),) * 2 if same else (np.flatnonzero(side == 0), np.flatnonzero(side == 1))
+    for i in one.tolist():
+        near = two[two > i] if same else two
+        need = -(-share * (size[i] + size[near]) // (100 + share))
+        keep = (comp[near] != comp[i]) & (need <= np.minimum(size[i], size[near]))
+        near, need = near[keep], need[keep]
+        for lo in range(0, len(near), 4096):
+            some = near[lo : lo + 4096]
+            most = np.minimum(cells[some], cells[i]).sum(1, dtype=np.int64)
+            some = some[(most >= need[lo : lo + 4096]) | (full[some] & full[i])]
+            if len(some):
+                shared = np.isin(table[some], table[i][: len(lists[i])])
+                first = table[some, shared.argmax(1)]
+                yield i, some[shared.any(1) & (first == here)]
+
+
+def _open_nodes(share: int):
+    """(key, node) of the nodes that a key's group can't settle without their sets."""
+
+    def go(key, t):
+        hit = np.zeros(t.num_rows, bool)
+        for i, some in _possible(t, share, key[0].as_py()):
+            hit[some] = True
+            hit[i] |= len(some) > 0
+        node = t.column("node").to_numpy()[hit]
+        return pa.table({"key": pa.array([key[0].as_py()] * len(node), pa.int64()), "node": node})
+
+    return go
+
+
+def _forest_of(share: int):
+    """(a, b): links of a key's group, as many as merge its components."""
+
+    def go(key, t):
+        node, comp = t.column("node").to_numpy(), t.column("comp").to_numpy()
+        sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in t.column("set")]
+        _, root = np.unique(comp, return_inverse=True)
+        up = list(range(len(root)))
+
+        def top(x):
+            while up[x] != x:
+                up[x] = up[up[x]]
+                x = up[x]
+            return x
+
+        out = []
+        for i, some in _possible(t, share, key[0].as_py()):
+            for j in some.tolist():
+                a, b = top(int(root[i])), top(int(root[j]))
+                if a != b and _links(sets[i], sets[j], share):
+                    up[a] = b
+                    out.append((min(node[i], node[j]), max(node[i], node[j])))
+        return pa.table({"a": pa.array([a for a, _ in out], pa.int64()), "b": pa.array([b for _, b in out], pa.int64())})
+
+    return go
+
+
+def _settled(lists: DataFrame, comp: DataFrame, verifier: _Verifier, share: int) -> DataFrame:
+    """The links that long lists still lack between components, as forests."""
+    named, named_at = stored_at(lists.join(comp.select(F.col("node").alias("n0"), "comp"), F.col("node") == F.col("n0"), "left")
+                                .select("key", "node", "size", F.coalesce("comp", "node").alias("comp")), "named")
+    mixed, mixed_at = stored_at(named.groupBy("key").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select(F.col("key").alias("mkey")), "mixed")
+    inside, inside_at = stored_at(named.join(mixed, F.col("key") == F.col("mkey")).drop("mkey"), "inside")
+    nodes = inside.groupBy("node").agg(F.sort_array(F.collect_list("key")).alias("keys"))
+    sets, sets_at = verifier.sets(nodes.select(F.col("node").alias("end")))
+    sets, cells_at = stored_at(sets.mapInArrow(_cells, "node bigint, set binary, cells binary").join(nodes.withColumnRenamed("node", "n1"), F.col("node") == F.col("n1")).select(F.col("node").alias("n2"), "set", "cells", "keys"), "cells")
+    light = inside.join(sets.select("n2", "cells", "keys"), F.col("node") == F.col("n2")).drop("n2")
+    open_, open_at = stored_at(_meetings(light).groupBy("key", "p", "q").applyInArrow(_open_nodes(share), "key bigint, node bigint").distinct(), "open")
+    heavy = open_.join(inside.select(F.col("key").alias("k1"), F.col("node").alias("n3"), "size", "comp"), (F.col("key") == F.col("k1")) & (F.col("node") == F.col("n3"))).drop("k1", "n3")
+    heavy = heavy.join(sets, F.col("node") == F.col("n2")).drop("n2")
+    found, _ = stored_at(_meetings(heavy).groupBy("key", "p", "q").applyInArrow(_forest_of(share), "a bigint, b bigint"), "forest")
+    forget(lists.sparkSession, named_at, mixed_at, inside_at, sets_at, cells_at, open_at)
+    return found
 
 
 def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, share: int = 80) -> DataFrame:
@@ -374,11 +478,10 @@ def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     verifier = _Verifier(docs, nodes, k, share)
     links, made = verifier.links(known.where(_enough(share, limit, F.col("shared") + more, F.col("sa"), F.col("sb"))).select("a", "b"))
     comp = components(links)
-    further, further_at = stored_at(_across(lists, comp, share, limit).distinct(), "further")
-    if not further.isEmpty():
-        extra, _ = verifier.links(further)
+    extra = _settled(lists, comp, verifier, share)
+    if not extra.isEmpty():
         comp = components(links.unionByName(extra))
-    forget(spark, listed_at, hidden_at, lists_at, pairs_at, further_at, *made)
+    forget(spark, listed_at, hidden_at, lists_at, pairs_at, *made)
     named = nodes.join(comp.select(F.col("node").alias("n0"), "comp"), F.col("node") == F.col("n0"), "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
     least = stored_at(named.groupBy("comp").agg(F.min("doc_id").alias("component_id")), "least")[0]
     classes = stored_at(named.join(least.withColumnRenamed("comp", "c0"), F.col("comp") == F.col("c0")).select(F.col("node").alias("n1"), "component_id"), "classes")[0]
