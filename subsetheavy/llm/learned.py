@@ -54,3 +54,14 @@ def scored_docs(docs: DataFrame, margins, cut: float, id_col: str, text_col: str
 
     got = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(work, "doc_id bigint, score double")
     return got.select("doc_id", (fold("doc_id", parts) == held).alias("held_out"), "score", (F.col("score") >= LINE).cast("int").alias("predicted"))
+
+
+def kept_docs(docs: DataFrame, margins, cut: float, text_col: str) -> DataFrame:
+    """The rows of docs, all columns, whose score is at least the line."""
+
+    def work(batches):
+        for batch in batches:
+            score = np.concatenate([np.zeros(0), *(scored(margins(data, offs), cut) for _, _, data, offs in ts.runs(batch.column(batch.schema.get_field_index(text_col))))])
+            yield batch.filter(pa.array(score >= LINE))
+
+    return docs.mapInArrow(work, docs.schema)

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import textscan as ts
-from .learned import cut_at, sample_ids, sample_rows, scored_docs
+from .learned import cut_at, kept_docs, sample_ids, sample_rows, scored_docs
 
 SAMPLE = 20_000
 _CLASS = np.zeros(256, np.int64)
@@ -153,3 +153,9 @@ def quality_scores(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", t
     """(doc_id, held_out, score, predicted) for every row of docs."""
     trees, cut = fit(docs, labels, "quality", id_col, text_col, parts, held, sample)
     return scored_docs(docs, lambda data, offs: trees.margins(statistics(data, offs)), cut, id_col, text_col, parts, held)
+
+
+def good_docs(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", parts: int = 4, held: int = 2, sample: int = SAMPLE) -> DataFrame:
+    """The rows of docs, all columns, that the classifier predicts 1."""
+    trees, cut = fit(docs, labels, "quality", id_col, text_col, parts, held, sample)
+    return kept_docs(docs, lambda data, offs: trees.margins(statistics(data, offs)), cut, text_col)
