@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textscan as ts
-from .common import components, forget, stored_at
+from .common import components, forget, release, stored_at
 
 #: Longest list whose pairs are all made at once.
 LIST = 32
@@ -253,8 +253,13 @@ def _slots(ids: np.ndarray, bits: int) -> np.ndarray:
     return (ts.mixed(ids.view(np.uint64) ^ np.uint64(5)) >> np.uint64(64 - bits)).astype(np.int64)
 
 
-def _sets(k: int, field, bits: int):
-    """(node, set as packed hashes) of the rows whose id may be asked for."""
+def _cells(tokens: np.ndarray) -> bytes:
+    """Counts of a set's tokens over cells, at most 255 each."""
+    return np.minimum(np.bincount((tokens & np.uint64(CELLS - 1)).astype(np.int64), minlength=CELLS), 255).astype(np.uint8).tobytes()
+
+
+def _sets(k: int, field, bits: int, cells: bool):
+    """(node, set as packed hashes, or the counts of its tokens over cells) of the rows whose id may be asked for."""
 
     def go(batches):
         wanted = field.value
@@ -266,7 +271,7 @@ def _sets(k: int, field, bits: int):
                 sets = list(ts.shingle_sets(data, offs, k))
                 at = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int64)
                 nodes = fingerprints(np.concatenate(sets), at)
-                yield pa.RecordBatch.from_arrays([pa.array(nodes), pa.array([s.tobytes() for s in sets], pa.binary())], names=["node", "set"])
+                yield pa.RecordBatch.from_arrays([pa.array(nodes), pa.array([_cells(s) if cells else s.tobytes() for s in sets], pa.binary())], names=["node", "set"])
 
     return go
 
@@ -299,8 +304,8 @@ class _Verifier:
     def __init__(self, docs: DataFrame, nodes: DataFrame, k: int, share: int):
         self.docs, self.nodes, self.k, self.share = docs, nodes, k, share
 
-    def sets(self, ends: DataFrame) -> tuple[DataFrame, str]:
-        """(node, set) of the nodes in column end, each once."""
+    def sets(self, ends: DataFrame, cells: bool = False) -> tuple[DataFrame, str]:
+        """(node, set) of the nodes in column end, each once; cells: counts over cells in the place of sets."""
         spark = ends.sparkSession
         asked, asked_at = stored_at(self.nodes.join(ends, self.nodes["node"] == ends["end"], "left_semi").select("doc_id"), "asked")
         # a filter of bounded size; where it fills up, more sets are read and the joins below still decide
@@ -309,7 +314,7 @@ class _Verifier:
         words = asked.coalesce(64).mapInArrow(_filter_bits(bits), "at bigint, bits bigint").groupBy("at").agg(F.bit_or("bits").alias("bits"))
         got = words.toArrow()
         field[got.column("at").to_numpy()] = got.column("bits").to_numpy()
-        read = self.docs.mapInArrow(_sets(self.k, spark.sparkContext.broadcast(field.view(np.uint8)), bits), "node bigint, set binary")
+        read = self.docs.mapInArrow(_sets(self.k, spark.sparkContext.broadcast(field.view(np.uint8)), bits, cells), "node bigint, set binary")
         made = stored_at(read.join(ends, F.col("node") == F.col("end"), "left_semi").dropDuplicates(["node"]), "sets")
         forget(spark, asked_at)
         return made
@@ -338,16 +343,6 @@ def _stars(lists: DataFrame, share: int) -> DataFrame:
                     F.when(F.col("node") < F.col("p.node"), F.col("p.size")).otherwise(F.col("size")).alias("sb")))
 
 
-def _cells(batches):
-    """(node, set, counts of its tokens over cells, at most 255 each)."""
-    for batch in batches:
-        out = []
-        for x in batch.column(1):
-            t = np.frombuffer(x.as_buffer(), np.uint64)
-            out.append(np.minimum(np.bincount((t & np.uint64(CELLS - 1)).astype(np.int64), minlength=CELLS), 255).astype(np.uint8).tobytes())
-        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.binary())], names=["node", "set", "cells"])
-
-
 def _meetings(rows: DataFrame) -> DataFrame:
     """rows with key and node, dealt so that every two blocks of a key meet in one group (key, p, q): side 2 for a
     block with itself, else 0 and 1."""
@@ -432,14 +427,17 @@ def _settled(lists: DataFrame, comp: DataFrame, verifier: _Verifier, share: int)
     mixed, mixed_at = stored_at(named.groupBy("key").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).where("c0 <> c1").select(F.col("key").alias("mkey")), "mixed")
     inside, inside_at = stored_at(named.join(mixed, F.col("key") == F.col("mkey")).drop("mkey"), "inside")
     nodes = inside.groupBy("node").agg(F.sort_array(F.collect_list("key")).alias("keys"))
-    sets, sets_at = verifier.sets(nodes.select(F.col("node").alias("end")))
-    sets, cells_at = stored_at(sets.mapInArrow(_cells, "node bigint, set binary, cells binary").join(nodes.withColumnRenamed("node", "n1"), F.col("node") == F.col("n1")).select(F.col("node").alias("n2"), "set", "cells", "keys"), "cells")
-    light = inside.join(sets.select("n2", "cells", "keys"), F.col("node") == F.col("n2")).drop("n2")
+    cells, cells_at = verifier.sets(nodes.select(F.col("node").alias("end")), cells=True)
+    known = cells.select(F.col("node").alias("n2"), F.col("set").alias("cells")).join(nodes.select(F.col("node").alias("n1"), "keys"), F.col("n2") == F.col("n1")).drop("n1")
+    known, known_at = stored_at(known, "known")
+    light = inside.join(known, F.col("node") == F.col("n2")).drop("n2")
     open_, open_at = stored_at(_meetings(light).groupBy("key", "p", "q").applyInArrow(_open_nodes(share), "key bigint, node bigint").distinct(), "open")
+    # only sets that cells can't tell apart are read whole
+    sets, sets_at = verifier.sets(open_.select(F.col("node").alias("end")).distinct())
     heavy = open_.join(inside.select(F.col("key").alias("k1"), F.col("node").alias("n3"), "size", "comp"), (F.col("key") == F.col("k1")) & (F.col("node") == F.col("n3"))).drop("k1", "n3")
-    heavy = heavy.join(sets, F.col("node") == F.col("n2")).drop("n2")
+    heavy = heavy.join(known, F.col("node") == F.col("n2")).drop("n2").join(sets.withColumnRenamed("node", "n4"), F.col("node") == F.col("n4")).drop("n4")
     found, _ = stored_at(_meetings(heavy).groupBy("key", "p", "q").applyInArrow(_forest_of(share), "a bigint, b bigint"), "forest")
-    forget(lists.sparkSession, named_at, mixed_at, inside_at, sets_at, cells_at, open_at)
+    forget(lists.sparkSession, named_at, mixed_at, inside_at, cells_at, known_at, open_at, sets_at)
     return found
 
 
@@ -465,6 +463,7 @@ def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     listed, listed_at = stored_at(
         docs.select("text").mapInArrow(_index(k, share, limit, spark.sparkContext.broadcast((keys[order], counts[order])), buckets, 8192), "bucket int, keys binary, nodes binary, sizes binary, flags binary")
         .groupBy("bucket").applyInArrow(_one(_lists(share, limit, 1 << 16)), LISTED), "lists")
+    release(spark)
     held = listed.where("kind = 1").select(F.col("a").alias("key"), F.col("b").alias("node"), F.col("c").alias("size"), F.col("d").alias("subset"))
     # how many entries of each set the pairs' counts may lack
     hidden, hidden_at = stored_at(held.groupBy("node").agg(F.sum(1 - F.col("subset")).alias("tokens"), F.sum("subset").alias("subsets")), "hidden")
@@ -477,8 +476,10 @@ def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     more = F.when(F.greatest("sa", "sb") <= limit, F.least(F.coalesce("ua", F.lit(0)), F.coalesce("ub", F.lit(0)))).otherwise(F.least(F.coalesce("ta", F.lit(0)), F.coalesce("tb", F.lit(0))))
     verifier = _Verifier(docs, nodes, k, share)
     links, made = verifier.links(known.where(_enough(share, limit, F.col("shared") + more, F.col("sa"), F.col("sb"))).select("a", "b"))
+    release(spark)
     comp = components(links)
     extra = _settled(lists, comp, verifier, share)
+    release(spark)
     if not extra.isEmpty():
         comp = components(links.unionByName(extra))
     forget(spark, listed_at, hidden_at, lists_at, pairs_at, *made)
