@@ -35,44 +35,64 @@ END, NO_ID = 2, -(2**63)
 _PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+")
 #: Characters on whose kind the pattern above and the library agree.
 _PLAIN = re.compile(r"[\t\n\r\x20-\x7eÀ-ÖØ-öø-ɏ]*")
-_WORD = re.compile(r" [^\W\d_]+")
 _KEEP = 600_000
 _HEAD, _INDEX = struct.Struct("<QI"), np.dtype([("doc", "<i8"), ("at", "<u8"), ("n", "<u8")])
 
 
+@lru_cache(1)
+def _byte_signs() -> dict[int, str]:
+    """The sign by which byte-level vocabularies write each byte: printable ones themselves, the rest from 256 on."""
+    kept = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in kept]
+    return {b: chr(b) for b in kept} | {b: chr(256 + i) for i, b in enumerate(rest)}
+
+
+class _Known(dict):
+    """Ids of pieces in two generations: when the new one is full it becomes the old one, and what is met again moves
+    back, so frequent pieces stay and memory is bounded."""
+
+    def __init__(self):
+        super().__init__()
+        self.old: dict[str, bytes] = {}
+
+    def __missing__(self, piece: str) -> bytes:
+        found = self[piece] = self.old[piece]
+        return found
+
+    def turn(self) -> None:
+        if len(self) > _KEEP:
+            self.old = dict(self)
+            self.clear()
+
+
 class Encoder:
     """Ids of texts as bytes, two or four to an id."""
 
     def __init__(self, path: str):
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self.tokenizer = Tokenizer.from_file(path)
+        before = self.tokenizer.pre_tokenizer
+        self.by_piece = self.tokenizer.normalizer is None and isinstance(before, pre_tokenizers.ByteLevel) and not before.add_prefix_space
+        self.model = self.tokenizer.model
         self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
-        self.known: dict[str, bytes] = {}
+        self.known = _Known()
 
     def library(self, texts: list[str]) -> list[bytes]:
         return [np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, self.kind).tobytes() for t in texts]
 
     def _learn(self, new: list[str]) -> None:
-        """Ids of new pieces; words with their space are encoded many at a time and cut apart by the library's word numbers."""
-        words = [p for p in new if _WORD.fullmatch(p)]
-        for lo in range(0, len(words), 1000):
-            part = words[lo : lo + 1000]
-            got = self.tokenizer.encode("".join(part), add_special_tokens=False)
-            ids, of = np.array(got.ids, self.kind), np.array(got.word_ids, np.int64)
-            cuts = np.searchsorted(of, np.arange(len(part) + 1))
-            self.known.update((p, ids[a:b].tobytes()) for p, a, b in zip(part, cuts[:-1].tolist(), cuts[1:].tolist(), strict=True))
-        rest = [p for p in new if p not in self.known]
-        self.known.update(zip(rest, self.library(rest), strict=True))
+        signs, cut, put = _byte_signs(), self.model.tokenize, self.known
+        for p in new:
+            put[p] = np.array([t.id for t in cut(p.encode().decode("latin-1").translate(signs))], self.kind).tobytes()
 
     def encode(self, texts: list[str]) -> list[bytes]:
         out: list[bytes | None] = [None] * len(texts)
-        if len(self.known) > _KEEP:
-            self.known.clear()
+        self.known.turn()
         known, later, new = self.known, {}, set()
         for i, t in enumerate(texts):
-            if not _PLAIN.fullmatch(t) or any(s in t for s in self.special):
+            if not self.by_piece or not _PLAIN.fullmatch(t) or any(s in t for s in self.special):
                 out[i] = self.library([t])[0]
                 continue
             pieces = _PIECE.findall(t)
@@ -80,7 +100,7 @@ class Encoder:
                 out[i] = b"".join(map(known.__getitem__, pieces))
             except KeyError:
                 later[i] = pieces
-                new.update(p for p in set(pieces) if p not in known)
+                new.update(p for p in set(pieces) if p not in known and p not in known.old)
         if new:
             self._learn(list(new))
         for i, pieces in later.items():
@@ -108,8 +128,11 @@ def some_texts(col: pa.Array, chars: int = 1 << 18):
         yield lo, held
 
 
+_STEP = 1024
+
+
 @lru_cache(1)
-def _tables(size: int = 2048) -> np.ndarray:
+def _tables(size: int = _STEP) -> np.ndarray:
     """CRC-32C of one byte with so many zero bytes after it."""
     one = np.arange(256, dtype=np.uint32)
     for _ in range(8):
@@ -121,30 +144,56 @@ def _tables(size: int = 2048) -> np.ndarray:
     return out
 
 
-def crc32c(held: bytes) -> int:
-    """The CRC is linear: each byte adds what it and the distance to the end give; blocks are carried on by shifting."""
+@lru_cache(1)
+def _shifts() -> list[list[int]]:
+    """How a state goes on over a whole step of zero bytes, by each of its bytes."""
+    return [_tables()[_STEP - 1 - i].tolist() for i in range(4)]
+
+
+def crc32c_each(parts: list[bytes]) -> list[int]:
+    """The CRC of each part. It is linear: each byte of a step adds what it and its distance to the step's end give, for
+    all parts at once, and only the states between steps are carried on one by one."""
     table = _tables()
-    size, flat = len(table), table.ravel()
-    data = np.frombuffer(held, np.uint8).astype(np.int64)
-    state = 0xFFFFFFFF
-    for lo in range(0, len(data), size):
-        part = data[lo : lo + size].copy()
-        n = len(part)
-        start = np.frombuffer(struct.pack("<I", state), np.uint8)
-        part[: min(4, n)] ^= start[:n]
-        state = int(np.bitwise_xor.reduce(flat[np.arange(n - 1, -1, -1) * 256 + part]))
-        if n < 4:
-            state ^= int.from_bytes(start[n:].tobytes(), "little")
-    return state ^ 0xFFFFFFFF
+    flat, (s0, s1, s2, s3) = table.ravel(), _shifts()
+    sizes = np.array([len(p) for p in parts], np.int64)
+    data = np.frombuffer(b"".join(parts), np.uint8)
+    starts = np.cumsum(sizes) - sizes
+    steps = -(-sizes // _STEP)
+    first = np.repeat(starts, steps) + (np.arange(steps.sum()) - np.repeat(np.cumsum(steps) - steps, steps)) * _STEP
+    last = np.minimum(first + _STEP, np.repeat(starts + sizes, steps))
+    far = np.repeat((last - 1).astype(np.int32), last - first) - np.arange(len(data), dtype=np.int32)
+    sums = np.bitwise_xor.reduceat(flat[(far << 8) + data], first).tolist() if len(first) else []
+    out, at = [], 0
+    for size, n in zip(sizes.tolist(), steps.tolist(), strict=True):
+        state = 0xFFFFFFFF
+        for i in range(n):
+            length = _STEP if i + 1 < n else size - i * _STEP
+            if length == _STEP:
+                state = s0[state & 255] ^ s1[state >> 8 & 255] ^ s2[state >> 16 & 255] ^ s3[state >> 24]
+            else:
+                moved = state >> 8 * length if length < 4 else 0
+                for b in range(min(4, length)):
+                    moved ^= int(table[length - 1 - b, state >> 8 * b & 255])
+                state = moved
+            state ^= sums[at]
+            at += 1
+        out.append(state ^ 0xFFFFFFFF)
+    return out
+
+
+def crc32c(held: bytes) -> int:
+    return crc32c_each([held])[0]
 
 
 def masked(crc: int) -> int:
     return (((crc >> 15) | (crc << 17)) + 0xA282EAD8) & 0xFFFFFFFF
 
 
-def record(payload: bytes) -> bytes:
-    size = struct.pack("<Q", len(payload))
-    return b"".join((size, struct.pack("<I", masked(crc32c(size))), payload, struct.pack("<I", masked(crc32c(payload)))))
+def framed(payloads: list[bytes]) -> list[bytes]:
+    """Each payload as a record."""
+    sizes = [struct.pack("<Q", len(p)) for p in payloads]
+    marks = crc32c_each(sizes + payloads)
+    return [b"".join((s, struct.pack("<I", masked(a)), p, struct.pack("<I", masked(b)))) for s, p, a, b in zip(sizes, payloads, marks[: len(sizes)], marks[len(sizes) :], strict=True)]
 
 
 def records(held, at: int = 0, verify: bool = True):
@@ -157,8 +206,10 @@ def records(held, at: int = 0, verify: bool = True):
         payload = held[at + 12 : at + 12 + size]
         if len(payload) < size or at + 16 + size > n:
             raise ValueError(f"cut record at {at}")
-        if verify and (masked(crc32c(bytes(held[at : at + 8]))) != mark or masked(crc32c(payload)) != struct.unpack_from("<I", held, at + 12 + size)[0]):
-            raise ValueError(f"wrong checksum at {at}")
+        if verify:
+            a, b = crc32c_each([bytes(held[at : at + 8]), bytes(payload)])
+            if masked(a) != mark or masked(b) != struct.unpack_from("<I", held, at + 12 + size)[0]:
+                raise ValueError(f"wrong checksum at {at}")
         yield at, payload
         at += 16 + size
 
@@ -200,11 +251,11 @@ def _writer(tokenizer: str, folder: str, end: int | None):
         for batch in batches:
             ids = batch.column(0).to_pylist()
             for lo, texts in some_texts(batch.column(1)):
-                for doc, held in zip(ids[lo : lo + len(texts)], enc.encode(texts), strict=True):
-                    doc = NO_ID if doc is None else doc
-                    made = record(struct.pack("<q", doc) + width + held + tail)
-                    if out is None:
-                        out = fs.open_output_stream(own)
+                own_ids = [NO_ID if doc is None else doc for doc in ids[lo : lo + len(texts)]]
+                coded = enc.encode(texts)
+                if out is None:
+                    out = fs.open_output_stream(own)
+                for doc, held, made in zip(own_ids, coded, framed([struct.pack("<q", doc) + width + held + tail for doc, held in zip(own_ids, coded, strict=True)]), strict=True):
                     out.write(made)
                     n = (len(held) + len(tail)) // enc.kind.itemsize
                     rows.append((doc, at, n))
@@ -241,8 +292,8 @@ def read_ids(spark, shards: list[dict]) -> DataFrame:
             for path, start in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 fs, at = pafs.FileSystem.from_uri(path)
                 rows = []
-                with fs.open_input_stream(at) as f:
-                    for payload in _streamed(f):
+                with fs.open_input_stream(at, buffer_size=1 << 20) as f:
+                    for payload in streamed(f):
                         doc, ids = unpack(payload)
                         rows.append((doc, start, len(ids), zlib.crc32(ids.astype("<u4").tobytes())))
                         start += len(ids)
@@ -255,11 +306,28 @@ def read_ids(spark, shards: list[dict]) -> DataFrame:
     return held.repartition(len(shards)).mapInArrow(work, kind)
 
 
-def _streamed(f):
-    """Payloads of an open shard, one record in memory at a time."""
-    while head := f.read(12):
-        size = struct.unpack_from("<Q", head)[0] if len(head) == 12 else 0
-        yield next(records(head + f.read(size + 4)))[1]
+def streamed(f, hold: int = 1 << 20):
+    """Payloads of an open shard, checked, some megabyte of records in memory at a time."""
+    done = False
+    while not done:
+        heads, payloads, marks, size = [], [], [], 0
+        while size < hold:
+            head = f.read(12)
+            if not head:
+                done = True
+                break
+            n = struct.unpack_from("<Q", head)[0] if len(head) == 12 else 0
+            body = f.read(n + 4)
+            if len(head) < 12 or len(body) < n + 4:
+                raise ValueError("cut record")
+            heads.append(head[:8])
+            payloads.append(body[:n])
+            marks.append((struct.unpack_from("<I", head, 8)[0], struct.unpack_from("<I", body, n)[0]))
+            size += n
+        found = [masked(c) for c in crc32c_each(heads + payloads)]
+        if any((found[i], found[len(heads) + i]) != m for i, m in enumerate(marks)):
+            raise ValueError("wrong checksum")
+        yield from payloads
 
 
 def _lengths(tokenizer: str, end: int | None):
