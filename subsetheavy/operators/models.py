@@ -58,7 +58,8 @@ def fit_product(df: DataFrame, coords: Iterable[str], gamma: float, cut: float |
     above = lam / 2
     if candidates is None:
         candidates, above = first_pass(df, spec.coords, lam, max(m, 1), summary, capacity)
-    return Model(second_pass(df, candidates, spec.coords, m, lam), m, lam, spec.coords, complete_above=above, types=spec.types)
+    # small whatever the stream, and read by every step of a listing
+    return Model(second_pass(df, candidates, spec.coords, m, lam).persist(), m, lam, spec.coords, complete_above=above, types=spec.types)
 
 
 def class_prior(df: DataFrame, cls: str) -> list[tuple[str, float]]:
@@ -86,7 +87,7 @@ def fit_mixture(df: DataFrame, coords: Iterable[str], cls: str, gamma: float, cu
     sizes = F.array(*(F.struct(F.lit(c).alias("z"), F.lit(float(round(s * m))).alias("n")) for c, s in prior)) if prior else F.array()
     cond = F.transform(sizes, lambda p: F.coalesce(F.try_element_at(F.col("by"), p["z"]), F.lit(0)) / p["n"])
     table = whole.select("coord", "value", "cnt", (F.col("cnt") / float(max(m, 1))).alias("share"), cond.alias("cond"))
-    return Model(table, m, lam, spec.coords, prior, cls, above, spec.types)
+    return Model(table.persist(), m, lam, spec.coords, prior, cls, above, spec.types)
 
 
 def prior_array(model: Model):

@@ -27,7 +27,7 @@ def fit_sketch(df: DataFrame, coords: Iterable[str], cut: float, width: int, dep
     cells = count_min(df, spec.coords, width, depth, seed, hash)
     pool = misra_gries(df, spec.coords, min(math.ceil(2 / cut), max(width * depth, 1))) if candidates is None else candidates
     est = count_min_estimate(cells, pool, width, depth, seed, hash)
-    return Model(est.select("coord", "value", F.col("estimate").alias("cnt"), (F.col("estimate") / float(max(m, 1))).alias("share")), m, cut, spec.coords, types=spec.types)
+    return Model(est.select("coord", "value", F.col("estimate").alias("cnt"), (F.col("estimate") / float(max(m, 1))).alias("share")).persist(), m, cut, spec.coords, types=spec.types)
 
 
 def sketch_all_heavy(model: Model, T: Iterable[str], cut: float) -> DataFrame:

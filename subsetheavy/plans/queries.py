@@ -428,7 +428,7 @@ query("q_synth_rows", f"{W('synth')} SELECT * FROM synth")(synth)
 
 def _gap_sql(src, T, head):
     c = [f"CAST({x} AS VARCHAR) AS {x}" for x in T]
-    return f"{head}, {marginals_sql(src, T)}, jc AS (SELECT {', '.join(c)}, count(*) AS cnt FROM {src} GROUP BY {', '.join(T)}) SELECT '{','.join(T)}' AS subcube, round(max(abs(cnt / (SELECT CAST(count(*) AS DOUBLE) FROM {src}) - {' * '.join(f'm{i}.share' for i in range(len(T)))})), 9) AS observed_gap FROM jc {' '.join(f'''JOIN mg m{i} ON m{i}.coord = '{x}' AND m{i}.value = jc.{x}''' for i, x in enumerate(T))}"
+    return f"{head}, {marginals_sql(src, T)}, jc AS (SELECT {', '.join(c)}, count(*) AS cnt FROM {src} GROUP BY {', '.join(T)}) SELECT '{','.join(T)}' AS subcube, round(max(abs(jc.cnt / (SELECT CAST(count(*) AS DOUBLE) FROM {src}) - {' * '.join(f'm{i}.share' for i in range(len(T)))})), 9) AS observed_gap FROM jc {' '.join(f'''JOIN mg m{i} ON m{i}.coord = '{x}' AND m{i}.value = jc.{x}''' for i, x in enumerate(T))}"
 
 
 def gap_shown(df):
