@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from . import textscan as ts
 from .learned import cut_at, sample_ids, sample_rows, scored_docs
 
-SAMPLE, BITS, RANK, CHOSEN = 20_000, 20, 8, 2048
+SAMPLE, BITS, RANK, CHOSEN = 8_000, 20, 8, 2048
 HEADS = (3, 4, 5, 6, 8)
 _LETTER = np.zeros(256, bool)
 _LETTER[[*range(65, 91), *range(97, 123), *range(128, 256)]] = True
@@ -62,7 +62,7 @@ class Machine:
 
 
 def train(place: np.ndarray, at: np.ndarray, y: np.ndarray, epochs: int = 12, batch: int = 256, rate: float = 0.1, l2: float = 1e-4, seed: int = 5) -> Machine:
-    of = np.repeat(np.arange(len(y)), np.diff(at))
+    of = np.repeat(np.arange(len(y), dtype=np.int32), np.diff(at))
     with1 = np.bincount(place, weights=y[of], minlength=1 << BITS)
     have = np.bincount(place, minlength=1 << BITS).astype(float)
     n, ones = len(y), float(y.sum())
@@ -119,7 +119,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", id_col: str =
     lists = got.column("x").combine_chunks()
     lists = lists.chunk(0) if isinstance(lists, pa.ChunkedArray) else lists
     size = np.diff(lists.offsets.to_numpy())
-    place, at = lists.flatten().to_numpy().astype(np.int64), np.concatenate([[0], np.cumsum(size)])
+    place, at = lists.flatten().to_numpy(), np.concatenate([[0], np.cumsum(size)])
     back = np.arange(len(y)) % 4 == 3
     if len(set(y[back])) < 2 or len(set(y[~back])) < 2:
         machine = train(place, at, y)
