@@ -286,6 +286,21 @@ def _links(x: np.ndarray, y: np.ndarray, share: int) -> bool:
     return 100 * both >= share * (len(x) + len(y) - both)
 
 
+def _may_link(share: int):
+    """(a, b) of the pairs whose counts over cells leave an overlap possible that links them. The counts sum to the
+    sets' sizes but where one is full."""
+
+    def go(batches):
+        for batch in batches:
+            x, y = (np.array([np.frombuffer(v.as_buffer(), np.uint8) for v in batch.column(i)]).reshape(-1, CELLS) for i in (2, 3))
+            size = x.sum(1, dtype=np.int64) + y.sum(1, dtype=np.int64)
+            full = ((x == 255) | (y == 255)).any(1)
+            keep = pa.array(full | ((100 + share) * np.minimum(x, y).sum(1, dtype=np.int64) >= share * size))
+            yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep)], names=["a", "b"])
+
+    return go
+
+
 def _verify(share: int):
     def go(batches):
         for batch in batches:
@@ -319,13 +334,21 @@ class _Verifier:
         forget(spark, asked_at)
         return made
 
+    @staticmethod
+    def _beside(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+        one, two = sets.select(F.col("node").alias("na"), F.col("set").alias("sa")), sets.select(F.col("node").alias("nb"), F.col("set").alias("sb"))
+        return pairs.join(one, F.col("a") == F.col("na")).select("a", "b", "sa").join(two, F.col("b") == F.col("nb")).select("a", "b", "sa", "sb")
+
     def links(self, pairs: DataFrame) -> tuple[DataFrame, list[str]]:
         spark = pairs.sparkSession
-        pairs, pairs_at = stored_at(pairs.where("a <> b"), "pairs")
-        sets, sets_at = self.sets(pairs.select(F.explode(F.array("a", "b")).alias("end")).distinct())
-        one, two = sets.select(F.col("node").alias("na"), F.col("set").alias("sa")), sets.select(F.col("node").alias("nb"), F.col("set").alias("sb"))
-        joined = pairs.join(one, F.col("a") == F.col("na")).select("a", "b", "sa").join(two, F.col("b") == F.col("nb")).select("a", "b", "sa", "sb")
-        found, at = stored_at(joined.mapInArrow(_verify(self.share), "a bigint, b bigint"), "links")
+        every, every_at = stored_at(pairs.where("a <> b"), "pairs")
+        ends = lambda p: p.select(F.explode(F.array("a", "b")).alias("end")).distinct()
+        cells, cells_at = self.sets(ends(every), cells=True)
+        near = self._beside(every, cells).mapInArrow(_may_link(self.share), "a bigint, b bigint")
+        pairs, pairs_at = stored_at(near, "near")
+        forget(spark, every_at, cells_at)
+        sets, sets_at = self.sets(ends(pairs))
+        found, at = stored_at(self._beside(pairs, sets).mapInArrow(_verify(self.share), "a bigint, b bigint"), "links")
         forget(spark, pairs_at, sets_at)
         return found, [at]
 
@@ -435,8 +458,9 @@ def _settled(lists: DataFrame, comp: DataFrame, verifier: _Verifier, share: int)
     # only sets that cells can't tell apart are read whole
     sets, sets_at = verifier.sets(open_.select(F.col("node").alias("end")).distinct())
     heavy = open_.join(inside.select(F.col("key").alias("k1"), F.col("node").alias("n3"), "size", "comp"), (F.col("key") == F.col("k1")) & (F.col("node") == F.col("n3"))).drop("k1", "n3")
-    heavy = heavy.join(known, F.col("node") == F.col("n2")).drop("n2").join(sets.withColumnRenamed("node", "n4"), F.col("node") == F.col("n4")).drop("n4")
-    found, _ = stored_at(_meetings(heavy).groupBy("key", "p", "q").applyInArrow(_forest_of(share), "a bigint, b bigint"), "forest")
+    # sets come last, so that they move once
+    met = _meetings(heavy.join(known, F.col("node") == F.col("n2")).drop("n2")).join(sets.withColumnRenamed("node", "n4"), F.col("node") == F.col("n4")).drop("n4")
+    found, _ = stored_at(met.groupBy("key", "p", "q").applyInArrow(_forest_of(share), "a bigint, b bigint"), "forest")
     forget(lists.sparkSession, named_at, mixed_at, inside_at, cells_at, known_at, open_at, sets_at)
     return found
 
