@@ -32,6 +32,7 @@ RULES = (("org", "/", True), ("example.org", "/es/", False), ("example.org", "/e
 BLOCKED = tuple(f"{name}.example.{top}" for name in ("ads-track", "spam-farm", "casino-win", "adult-x", "cheap-pills", "free-bets") for top in ("com", "net", "org"))
 _UPPER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 _HEAD = struct.Struct("<4sIQQ")
+_sent: set[tuple[str, str]] = set()
 
 
 def pack(rules: Iterable[tuple[str, str, bool]], listed: Iterable[str]) -> bytes:
@@ -116,10 +117,13 @@ def url_verdicts(pages: DataFrame, id_col: str = "page_id", url_col: str = "url"
     """(page_id, host, path, rule, verdict) for every row. The file goes to each executor once."""
     held = pack(rules, listed)
     name = f"urls-{hashlib.sha256(held).hexdigest()[:16]}.bin"
-    path = os.path.join(tempfile.mkdtemp(prefix="urls-"), name)
-    with open(path, "wb") as f:
-        f.write(held)
-    pages.sparkSession.sparkContext.addFile(path)
+    context = pages.sparkSession.sparkContext
+    if (context.applicationId, name) not in _sent:  # a name can be sent once
+        path = os.path.join(tempfile.mkdtemp(prefix="urls-"), name)
+        with open(path, "wb") as f:
+            f.write(held)
+        context.addFile(path)
+        _sent.add((context.applicationId, name))
 
     def work(batches):
         found = Filter.open(SparkFiles.get(name))
