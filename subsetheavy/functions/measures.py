@@ -30,6 +30,24 @@ def confusion(reported: DataFrame, truth: DataFrame, on: Iterable[str], gamma: f
                     F.count_if("yes").alias("reported"), F.count_if(F.col("s") < gamma).alias("negatives"))
 
 
+def confusion_sweep(reported: DataFrame, score: str, truth: DataFrame, on: Iterable[str], gamma: float, cuts: dict[float, float], gap: float = 4.0) -> DataFrame:
+    """The rows of confusion for one list cut at several lines: (cut, tp, fp, fp_strict, fn, reported, negatives) for
+    each name of cuts, whose list is the values with score >= its line. One join serves all of them."""
+    on = list(on)
+    rep = reported.select(*(F.col(c).alias(f"__{c}") for c in on), F.col(score).alias("__e"))
+    met = truth.join(rep, [F.col(c).eqNullSafe(F.col(f"__{c}")) for c in on], "full").select(F.col("share").isNotNull().alias("seen"), F.coalesce("share", F.lit(0.0)).alias("s"), "__e")
+    # values differ in little that the cuts see, so they are counted by that first
+    passed = [F.coalesce(F.col("__e") >= F.lit(line), F.lit(False)).alias(f"p{i}") for i, line in enumerate(cuts.values())]
+    kinds = met.groupBy("seen", (F.col("s") >= gamma).alias("heavy"), (F.col("s") < gamma / gap).alias("far"), *passed).agg(F.count("*").alias("n"))
+    total = lambda cond: F.coalesce(F.sum(F.when(cond, F.col("n"))), F.lit(0))
+    heavy, each = F.col("heavy"), []
+    for i, name in enumerate(cuts):
+        yes = F.col(f"p{i}")
+        each.append(F.struct(F.lit(name).alias("cut"), total(yes & ~heavy).alias("fp"), total(yes & heavy).alias("tp"), total(yes & F.col("far")).alias("fp_strict"),
+                             total(~yes & heavy).alias("fn"), total(yes).alias("reported"), total(~heavy & (yes | F.col("seen"))).alias("negatives")))
+    return kinds.agg(F.array(*each).alias("all")).select(F.explode("all").alias("e")).select(*(f"e.{c}" for c in ("cut", "tp", "fp", "fp_strict", "fn", "reported", "negatives")))
+
+
 def rates(points: DataFrame) -> DataFrame:
     """Adds tpr and fpr to rows of confusion."""
     return points.withColumn("tpr", F.when(F.col("tp") + F.col("fn") > 0, F.col("tp") / (F.col("tp") + F.col("fn"))).otherwise(0.0)).withColumn("fpr", F.when(F.col("negatives") > 0, F.col("fp") / F.col("negatives")).otherwise(0.0))

@@ -8,7 +8,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.measures import auc, averaged, budget_to_params, confusion, estimate_errors, rates
+from ..functions.measures import auc, averaged, budget_to_params, confusion_sweep, estimate_errors, rates
 from ..operators.exact import exact_shares, fix_class, heavy_stats
 from ..operators.expand import STRATEGIES, all_heavy
 from ..operators.models import Model, fit_mixture, fit_product
@@ -30,21 +30,23 @@ def warm_up(spark: SparkSession, sf_dir: str, budgets: Iterable[float] = BUDGETS
     """(pct, method, subcube, mse, mae, mape) of the ten largest joint values: sample against sketch at equal memory."""
     df = kept(fix_class(synth(spark, sf_dir), "z"))
     m, coords, out = df.count(), tuple(SIZES), []
-    for T in SYNTH_SUBCUBES:
-        truth = kept(exact_shares(df, T, m).orderBy(F.desc("cnt"), *T).limit(10))
-        for pct in budgets:
-            b = budget_to_params(pct, len(coords), m)
-            s = draw_sample(df, ["k"], b["size"], SEED, "md5")
+    truths = {T: kept(exact_shares(df, T, m).orderBy(F.desc("cnt"), *T).limit(10)) for T in SYNTH_SUBCUBES}
+    asked = [t.select(F.explode(F.array(*(F.struct(F.lit(c).alias("coord"), F.col(c).cast("string").alias("value")) for c in T))).alias("e")).select("e.coord", "e.value") for T, t in truths.items()]
+    probe = kept(reduce(DataFrame.unionByName, asked).distinct())
+    for pct in budgets:
+        # one sample and one sketch at each budget serve all subsets
+        b = budget_to_params(pct, len(coords), m)
+        s = kept(draw_sample(df, ["k"], b["size"], SEED, "md5"))
+        model = fit_sketch(df, coords, 1e-9 + 1 / m, b["width"], b["depth"], SEED, "md5", candidates=probe)
+        for T, truth in truths.items():
             got = s.groupBy(*T).agg((F.count("*") / float(b["size"])).alias("est"))
-            out.append(estimate_errors(truth, got, T).select(F.lit(pct).alias("pct"), F.lit("sample").alias("method"), F.lit(",".join(T)).alias("subcube"), "mse", "mae", "mape"))
-            probe = truth.select(F.explode(F.array(*(F.struct(F.lit(c).alias("coord"), F.col(c).cast("string").alias("value")) for c in T))).alias("e")).select("e.coord", "e.value")
-            model = fit_sketch(df, coords, 1e-9 + 1 / m, b["width"], b["depth"], SEED, "md5", candidates=probe)
             est = truth.select(*T)
             for c in T:
                 own = model.of(c).select(F.col("value").cast("bigint").alias("__v"), F.col("share").alias(f"__s_{c}"))
                 est = est.join(F.broadcast(own), F.col(c) == F.col("__v")).drop("__v")
             est = est.select(*T, reduce(lambda a, b: a * b, (F.col(f"__s_{c}") for c in T)).alias("est"))
-            out.append(estimate_errors(truth, est, T).select(F.lit(pct).alias("pct"), F.lit("sketch").alias("method"), F.lit(",".join(T)).alias("subcube"), "mse", "mae", "mape"))
+            for method, e in (("sample", got), ("sketch", est)):
+                out.append(estimate_errors(truth, e, T).select(F.lit(pct).alias("pct"), F.lit(method).alias("method"), F.lit(",".join(T)).alias("subcube"), "mse", "mae", "mape"))
     return reduce(DataFrame.unionByName, out)
 
 
@@ -77,10 +79,9 @@ def curve(df: DataFrame, key: Iterable[str], coords: tuple[str, ...], Ts: dict[t
         for method in built:
             # one list at the least cut holds those of all others
             score = "share" if method == "sample" else "mass"
-            listed = kept(lists(method, built[method], T, gamma * factors[0]))
-            for f in factors:
-                got = confusion(listed.where(F.col(score) >= gamma * f), truth, T, gamma)
-                out.append(got.select(F.lit(pct).alias("pct"), F.lit(method).alias("method"), F.lit(f).alias("cut"), F.lit(",".join(T)).alias("subcube"), *got.columns))
+            listed = lists(method, built[method], T, gamma * min(factors))
+            got = confusion_sweep(listed, score, truth, T, gamma, {f: gamma * f for f in factors})
+            out.append(got.select(F.lit(pct).alias("pct"), F.lit(method).alias("method"), "cut", F.lit(",".join(T)).alias("subcube"), *got.columns[1:]))
     return reduce(DataFrame.unionByName, out)
 
 
@@ -114,7 +115,9 @@ def search_curve(spark: SparkSession, sf_dir: str, gamma: float = 0.05, pct: flo
 
 def roc(points: DataFrame) -> DataFrame:
     """(pct, method, auc) from a curve, subsets averaged."""
-    return auc(rates(points.groupBy("pct", "method", "cut").agg(*(F.sum(c).alias(c) for c in ("tp", "fp", "fn", "negatives")))), ["pct", "method"])
+    # the area reads its points twice, and they are a row for each method and cut
+    summed = kept(points.groupBy("pct", "method", "cut").agg(*(F.sum(c).alias(c) for c in ("tp", "fp", "fn", "negatives"))))
+    return auc(rates(summed), ["pct", "method"])
 
 
 def parameter_table(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,6 +1,7 @@
 import pytest
+from pyspark.sql import functions as F
 
-from subsetheavy.functions.measures import auc, confusion, estimate_errors, rates
+from subsetheavy.functions.measures import auc, confusion, confusion_sweep, estimate_errors, rates
 from subsetheavy.operators.exact import exact_all_heavy, exact_shares
 from subsetheavy.operators.expand import STRATEGIES, all_heavy, check_downward
 from subsetheavy.operators.gap import model_gap
@@ -97,3 +98,16 @@ def test_measures(spark):
     assert round(e["mae"], 9) == 0.2 and round(e["mse"], 9) == 0.05 and round(e["mape"], 9) == 60.0
     pts = rates(spark.createDataFrame([(1, 0, 1, 2)], "tp long, fp long, fn long, negatives long"))
     assert auc(pts).first()["auc"] == 0.75
+
+
+def test_confusion_sweep(spark):
+    """One sweep gives at each cut what confusion gives for the list cut there, ties, nulls and empty inputs included."""
+    kind = "v string, share double"
+    truth = spark.createDataFrame([("a", 0.5), ("b", 0.2), ("c", 0.05), (None, 0.01), ("e", 0.2)], kind)
+    listed = spark.createDataFrame([("a", 0.6), ("c", 0.2), ("d", 0.1), (None, 0.3), ("e", 0.05)], "v string, mass double")
+    names = ("tp", "fp", "fp_strict", "fn", "reported", "negatives")
+    for have, true in ((listed, truth), (listed.limit(0), truth), (listed, truth.limit(0)), (listed.limit(0), truth.limit(0))):
+        got = {r["cut"]: tuple(r[n] for n in names) for r in confusion_sweep(have, "mass", true, ["v"], 0.2, {0.25: 0.05, 1.0: 0.2, 2.0: 0.4}).collect()}
+        for f in (0.25, 1.0, 2.0):
+            want = confusion(have.where(F.col("mass") >= 0.2 * f), true, ["v"], 0.2).first()
+            assert got[f] == tuple(want[n] for n in names)
