@@ -1,11 +1,11 @@
-"""Benchmark decontamination: rare n-gram seeds find candidates, Smith-Waterman alignment scores them.
+"""Benchmark decontamination: n-gram seeds find candidates, Smith-Waterman alignment scores them.
 
 Words are runs of letters, digits and bytes over 127, letters A-Z and the accented capitals of Latin-1 lower-cased, so
-case and punctuation don't hide a copy. A first pass over all documents counts in how many each n-gram of a test item
-occurs. An item's seeds are its n-grams that are not much more frequent than its rarer quarter, so a much-copied item
-keeps seeds and common phrases are none. Each document's stretch around an item's seeds is aligned with the item, local
-alignment over words with +2 for a match and -1 for a change or a gap. The score is the alignment's part of a full
-match; a pair at LINE or over is a leak. Edits, insertions and omissions cost what they change.
+case and punctuation don't hide a copy. Every n-gram of a test item is a seed, however many documents have it, as edits
+may leave a much-copied item no rare one. Each document's stretch around an item's seeds is aligned with the item, local
+alignment over words with +2 for a match and -1 for a change or a gap, unless the words that the two have in common
+allow no leak in any order. The score is the alignment's part of a full match; a pair at LINE or over is a leak. Edits,
+insertions and omissions cost what they change.
 
 Test items are taken in blocks of bounded size, each against all documents. Null and empty texts and items, and items
 without words, leak nothing. Repeated rows give repeated results.
@@ -23,6 +23,8 @@ from . import textscan as ts
 LINE, SEED = 0.5, 3
 #: Words of test items in a block: what a task holds of the benchmark is bounded by it.
 BLOCK = 1 << 20
+#: Seed hits of a run of documents that are held at once, but for a document that has more.
+HITS = 1 << 20
 FOUND = "doc_id bigint, item_id bigint, score double, word_start bigint, word_end bigint"
 _WORD = np.zeros(256, bool)
 _WORD[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = True
@@ -52,9 +54,6 @@ class Items:
         place = np.arange(len(code)) - at[item]
         order = np.lexsort((place, item, code))
         self.code, self.item, self.place = code[order], item[order], place[order]
-        self.mark()
-
-    def mark(self) -> None:
         self.known = np.zeros(1 << 16, bool)
         self.known[(self.code >> np.uint64(48)).astype(np.int64)] = True
 
@@ -66,23 +65,6 @@ class Items:
         ok[ok] = self.code[where[ok]] == code[near[ok]]
         return near[ok], where[ok]
 
-    def rare(self, count: dict[int, int]) -> None:
-        """Keep as seeds those not much more frequent than the rarer quarter of their item's."""
-        often = np.array([count.get(int(c), 0) for c in self.code.view(np.int64)], float)
-        keep = np.zeros(len(self.code), bool)
-        for i in range(len(self.ids)):
-            own = np.flatnonzero(self.item == i) if len(self.ids) < 64 else self._of(i)
-            if len(own):
-                keep[own] = often[own] <= 8 * np.quantile(often[own], 0.25, method="lower") + 50
-        self.code, self.item, self.place = self.code[keep], self.item[keep], self.place[keep]
-        self.mark()
-
-    def _of(self, i: int) -> np.ndarray:
-        if not hasattr(self, "_by"):
-            self._by = np.argsort(self.item, kind="stable")
-            self._cuts = np.searchsorted(self.item[self._by], np.arange(len(self.ids) + 1))
-        return self._by[self._cuts[i] : self._cuts[i + 1]]
-
 
 def align(item: np.ndarray, sizes: np.ndarray, text: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(best local score, where it ends) for each row: item and text are padded arrays of word codes, 0 and 1."""
@@ -111,16 +93,36 @@ def _padded(rows: list[np.ndarray], fill: int) -> np.ndarray:
     return out
 
 
+def _most(one: np.ndarray, other: np.ndarray) -> int:
+    """The best score that any local alignment of one with other can have: its words in other match, others cost 1."""
+    run = np.cumsum(np.where(np.isin(one, other), 2, -1))
+    return int((run - np.minimum.accumulate(np.concatenate([[0], run[:-1]]))).max())
+
+
 def leaks(items: Items, text_words: np.ndarray, at: np.ndarray, line: float) -> list[tuple[int, int, float, int, int]]:
     """(document, item, score, first word, word after the last) of each leak in a run of documents."""
     code, where = ts.shingles(text_words, at, SEED)
     index, entry = items.hits(code)
     if not len(index):
         return []
-    last = np.searchsorted(items.code, code[index], "right")
-    many = last - entry
-    index, entry = np.repeat(index, many), np.repeat(entry, many) + np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
+    many = np.searchsorted(items.code, code[index], "right") - entry
     doc = np.searchsorted(where, index, "right") - 1
+    total = np.cumsum(many)
+    out, lo = [], 0
+    while lo < len(index):
+        # whole documents only, so that each pair is seen once
+        last = max(lo, int(np.searchsorted(total, total[lo] - many[lo] + HITS, "right")) - 1)
+        hi = int(np.searchsorted(doc, doc[last], "left"))
+        hi = hi if hi > lo and last + 1 < len(index) else int(np.searchsorted(doc, doc[last], "right"))
+        out += _aligned(items, text_words, at, where, line, doc[lo:hi], index[lo:hi], entry[lo:hi], many[lo:hi])
+        lo = hi
+    return out
+
+
+def _aligned(items: Items, text_words, at, where, line: float, doc, index, entry, many) -> list[tuple[int, int, float, int, int]]:
+    """leaks of the documents of these hits."""
+    doc, index = np.repeat(doc, many), np.repeat(index, many)
+    entry = np.repeat(entry, many) + np.arange(many.sum()) - np.repeat(np.cumsum(many) - many, many)
     item, place = items.item[entry], index - where[doc]
     size = np.diff(items.at)
     order = np.lexsort((place, item, doc))
@@ -134,7 +136,9 @@ def leaks(items: Items, text_words: np.ndarray, at: np.ndarray, line: float) ->
     for s, e in zip(starts.tolist(), ends.tolist(), strict=True):
         d, i, m = int(doc[s]), int(item[s]), int(size[item[s]])
         lo, hi = max(0, int(place[s]) - m - m // 2), min(int(at[d + 1] - at[d]), int(place[e]) + SEED + m + m // 2)
-        jobs.append((hi - lo, m, d, i, lo, hi))
+        own, near = items.words[items.at[i] : items.at[i + 1]], text_words[at[d] + lo : at[d] + hi]
+        if _most(own, near) >= line * 2 * m and _most(near, own) >= line * 2 * m:
+            jobs.append((hi - lo, m, d, i, lo, hi))
     jobs.sort()
     get = lambda j: (items.words[items.at[j[3]] : items.at[j[3] + 1]], text_words[at[j[2]] + j[4] : at[j[2]] + j[5]])
     lo = 0
@@ -156,23 +160,6 @@ def leaks(items: Items, text_words: np.ndarray, at: np.ndarray, line: float) ->
     return [(d, i, *v) for (d, i), v in sorted(found.items())]
 
 
-def _count(held):
-    def go(batches):
-        items: Items = held.value
-        total = np.zeros(len(items.code), np.int64)
-        for batch in batches:
-            for _, _, data, offs in ts.runs(batch.column(0)):
-                code, at = ts.shingles(*words(data, offs), SEED)
-                index, entry = items.hits(code)
-                doc = np.searchsorted(at, index, "right") - 1
-                pair = np.unique(doc * len(items.code) + entry)
-                total += np.bincount(pair % len(items.code), minlength=len(items.code)) if len(pair) else 0
-        some = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(items.code[some].view(np.int64)), pa.array(total[some])], names=["code", "n"])
-
-    return go
-
-
 def _search(held, line: float):
     def go(batches):
         items: Items = held.value
@@ -213,22 +200,19 @@ def _blocks(benchmark: DataFrame):
         yield ids, texts
 
 
-def _seeded(docs: DataFrame, benchmark: DataFrame, item_col: str, item_text: str):
-    """The benchmark's blocks, each with its seeds chosen by their counts over all texts of docs, as broadcasts."""
-    spark = docs.sparkSession
+def _held(docs: DataFrame, benchmark: DataFrame, item_col: str, item_text: str):
+    """The benchmark's blocks as broadcasts."""
     for ids, texts in _blocks(benchmark.select(F.col(item_col).cast("bigint"), F.col(item_text))):
         items = Items(ids, texts)
         if len(items.code):
-            counted = docs.mapInArrow(_count(spark.sparkContext.broadcast(items)), "code bigint, n bigint").groupBy("code").agg(F.sum("n").alias("n")).toArrow()
-            items.rare(dict(zip(counted.column("code").to_pylist(), counted.column("n").to_pylist(), strict=True)))
-            yield spark.sparkContext.broadcast(items)
+            yield docs.sparkSession.sparkContext.broadcast(items)
 
 
 def benchmark_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", line: float = LINE) -> DataFrame:
     """(doc_id, item_id, score, word_start, word_end) for each document and test item that it leaks."""
     named = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
     out = docs.sparkSession.createDataFrame([], FOUND)
-    for items in _seeded(named.select("text"), benchmark, item_col, item_text):
+    for items in _held(docs, benchmark, item_col, item_text):
         out = out.unionByName(named.mapInArrow(_search(items, line), FOUND))
     return out
 
@@ -236,6 +220,6 @@ def benchmark_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id
 def clean_docs(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text: str = "text", line: float = LINE) -> DataFrame:
     """The rows of docs, all columns, that leak no test item."""
     out = docs
-    for items in _seeded(docs.select(text_col), benchmark, item_col, item_text):
+    for items in _held(docs, benchmark, item_col, item_text):
         out = out.mapInArrow(_without(items, line, text_col), docs.schema)
     return out
