@@ -241,7 +241,7 @@ def _filter_bits(bits: int):
     def go(batches):
         field = np.zeros(1 << bits, bool)
         for batch in batches:
-            field[_slots(batch.column(0).to_numpy(zero_copy_only=False), bits)] = True
+            field[_slots(batch.column(0).fill_null(0).to_numpy(zero_copy_only=False), bits)] = True
         words = np.packbits(field).view(np.int64)
         some = np.flatnonzero(words)
         yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(words[some])], names=["at", "bits"])
@@ -276,6 +276,13 @@ def _sets(k: int, field, bits: int, cells: bool):
     return go
 
 
+def _read(col):
+    """col, whose sets must all have been read: a pair without its set would be lost without a word."""
+    if col.null_count:
+        raise ValueError(f"{col.null_count} candidates whose sets were not read")
+    return col
+
+
 def _links(x: np.ndarray, y: np.ndarray, share: int) -> bool:
     """Whether two ascending sets link."""
     small, large = (x, y) if len(x) <= len(y) else (y, x)
@@ -292,7 +299,7 @@ def _may_link(share: int):
 
     def go(batches):
         for batch in batches:
-            x, y = (np.array([np.frombuffer(v.as_buffer(), np.uint8) for v in batch.column(i)]).reshape(-1, CELLS) for i in (2, 3))
+            x, y = (np.array([np.frombuffer(v.as_buffer(), np.uint8) for v in _read(batch.column(i))]).reshape(-1, CELLS) for i in (2, 3))
             size = x.sum(1, dtype=np.int64) + y.sum(1, dtype=np.int64)
             full = ((x == 255) | (y == 255)).any(1)
             keep = pa.array(full | ((100 + share) * np.minimum(x, y).sum(1, dtype=np.int64) >= share * size))
@@ -306,7 +313,7 @@ def _verify(share: int):
         for batch in batches:
             a, b = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1))
             keep = np.zeros(len(a), bool)
-            for i, (x, y) in enumerate(zip(batch.column(2), batch.column(3), strict=True)):
+            for i, (x, y) in enumerate(zip(_read(batch.column(2)), _read(batch.column(3)), strict=True)):
                 keep[i] = _links(np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64), share)
             yield pa.RecordBatch.from_arrays([pa.array(a[keep]), pa.array(b[keep])], names=["a", "b"])
 
@@ -337,7 +344,7 @@ class _Verifier:
     @staticmethod
     def _beside(pairs: DataFrame, sets: DataFrame) -> DataFrame:
         one, two = sets.select(F.col("node").alias("na"), F.col("set").alias("sa")), sets.select(F.col("node").alias("nb"), F.col("set").alias("sb"))
-        return pairs.join(one, F.col("a") == F.col("na")).select("a", "b", "sa").join(two, F.col("b") == F.col("nb")).select("a", "b", "sa", "sb")
+        return pairs.join(one, F.col("a") == F.col("na"), "left").select("a", "b", "sa").join(two, F.col("b") == F.col("nb"), "left").select("a", "b", "sa", "sb")
 
     def links(self, pairs: DataFrame) -> tuple[DataFrame, list[str]]:
         spark = pairs.sparkSession
@@ -379,7 +386,7 @@ def _meetings(rows: DataFrame) -> DataFrame:
 def _possible(t, share: int, here: int):
     """Index pairs of a group that may link: other components, sizes and cells that allow it, met at their least key."""
     side, size, comp = (t.column(c).to_numpy() for c in ("side", "size", "comp"))
-    cells = np.array([np.frombuffer(x.as_buffer(), np.uint8) for x in t.column("cells")])
+    cells = np.array([np.frombuffer(x.as_buffer(), np.uint8) for x in _read(t.column("cells"))])
     full = (cells == 255).any(1)
     lists = t.column("keys").to_pylist()
     table = np.full((len(lists), max(map(len, lists))), np.iinfo(np.int64).max)
@@ -421,7 +428,7 @@ def _forest_of(share: int):
 
     def go(key, t):
         node, comp = t.column("node").to_numpy(), t.column("comp").to_numpy()
-        sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in t.column("set")]
+        sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in _read(t.column("set"))]
         _, root = np.unique(comp, return_inverse=True)
         up = list(range(len(root)))
 
@@ -451,7 +458,7 @@ def _settled(lists: DataFrame, comp: DataFrame, verifier: _Verifier, share: int)
     inside, inside_at = stored_at(named.join(mixed, F.col("key") == F.col("mkey")).drop("mkey"), "inside")
     nodes = inside.groupBy("node").agg(F.sort_array(F.collect_list("key")).alias("keys"))
     cells, cells_at = verifier.sets(nodes.select(F.col("node").alias("end")), cells=True)
-    known = cells.select(F.col("node").alias("n2"), F.col("set").alias("cells")).join(nodes.select(F.col("node").alias("n1"), "keys"), F.col("n2") == F.col("n1")).drop("n1")
+    known = nodes.select(F.col("node").alias("n2"), "keys").join(cells.select(F.col("node").alias("n1"), F.col("set").alias("cells")), F.col("n2") == F.col("n1"), "left").drop("n1")
     known, known_at = stored_at(known, "known")
     light = inside.join(known, F.col("node") == F.col("n2")).drop("n2")
     open_, open_at = stored_at(_meetings(light).groupBy("key", "p", "q").applyInArrow(_open_nodes(share), "key bigint, node bigint").distinct(), "open")
@@ -459,7 +466,7 @@ def _settled(lists: DataFrame, comp: DataFrame, verifier: _Verifier, share: int)
     sets, sets_at = verifier.sets(open_.select(F.col("node").alias("end")).distinct())
     heavy = open_.join(inside.select(F.col("key").alias("k1"), F.col("node").alias("n3"), "size", "comp"), (F.col("key") == F.col("k1")) & (F.col("node") == F.col("n3"))).drop("k1", "n3")
     # sets come last, so that they move once
-    met = _meetings(heavy.join(known, F.col("node") == F.col("n2")).drop("n2")).join(sets.withColumnRenamed("node", "n4"), F.col("node") == F.col("n4")).drop("n4")
+    met = _meetings(heavy.join(known, F.col("node") == F.col("n2")).drop("n2")).join(sets.withColumnRenamed("node", "n4"), F.col("node") == F.col("n4"), "left").drop("n4")
     found, _ = stored_at(met.groupBy("key", "p", "q").applyInArrow(_forest_of(share), "a bigint, b bigint"), "forest")
     forget(lists.sparkSession, named_at, mixed_at, inside_at, cells_at, known_at, open_at, sets_at)
     return found

@@ -66,6 +66,30 @@ def test_jaccard_equals_brute_force(spark, seed):
     assert got == brute(texts)
 
 
+def test_jaccard_with_null_ids(spark):
+    rng = random.Random(7)
+    vocab = [f"w{i}" for i in range(400)]
+    base, texts = [rng.choice(vocab) for _ in range(90)], []
+    for _ in range(120):
+        w = list(base)
+        for _ in range(rng.randrange(4)):
+            w[rng.randrange(90)] = rng.choice(vocab)
+        texts.append(" ".join(w))
+    for _ in range(20):
+        w = [rng.choice(vocab) for _ in range(40)]
+        texts += [" ".join(w), " ".join(w[1:])]
+    ids = [None if i % 3 == 2 else i for i in range(len(texts))]
+    want = brute(texts)
+    least = {}
+    for i, _, c in want:
+        if ids[i] is not None:
+            least[c] = min(least.get(c, i), i)
+    rows = spark.createDataFrame(list(zip(ids, texts)), "doc_id bigint, text string")
+    key = lambda x: tuple(-1 if v is None else v for v in x)
+    got = sorted(((r["doc_id"], r["n_shingles"], r["component_id"]) for r in jaccard_classes(rows).collect()), key=key)
+    assert got == sorted(((ids[i], n, least.get(c)) for i, n, c in want), key=key)
+
+
 def test_jaccard_empty(spark):
     assert jaccard_classes(docs(spark, ["x"]).limit(0)).count() == 0
 
