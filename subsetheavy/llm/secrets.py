@@ -7,8 +7,8 @@ dynamic programming over its positions, to cut it into dictionary words, dates,
 brute-force spans, as log10 of the guesses: each span's own guesses multiplied, and as many again as the spans can be
 ordered. A value of at least GUESSES is a secret; a word, a date, a walk or a phrase of these is not.
 
-Spans are counted in code points, end exclusive, and cover the whole match. A guess span that overlaps a base span is
-left out. Null and empty texts have none. Values are cut at VALUE characters, which are past any bound already.
+Spans are counted in code points, end exclusive, and cover the whole match. A guess span that lies in a
+base span is left out; one that reaches further stays beside it. Null and empty texts have none. Values are cut at VALUE characters, which are past any bound already.
 """
 
 from __future__ import annotations
@@ -118,7 +118,7 @@ def find(text: str) -> list[tuple[str, int, int]]:
         for m in _CONTEXT.finditer(text):
             start, value = m.start(1), m.group(1).rstrip(".,;:!?)]}")
             end = start + len(value)
-            if len(value) < 8 or any(s < end and m.start() < e for _, s, e in base):
+            if len(value) < 8 or any(s <= m.start() and end <= e for _, s, e in base):
                 continue
             if guess_cost(value) >= GUESSES and not value.isalpha():
                 out.append(("guess", m.start(), end))

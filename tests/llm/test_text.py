@@ -189,6 +189,12 @@ def test_secrets(spark):
     assert got[0]["n_assign"] == 1 and got[1]["spans"] == "" and got[2]["base_sha256"].startswith("e3b0c442")
 
 
+def test_guess_span_beyond_a_base_span():
+    text = 'password = "Zk9mQ2$vXr7!aa" and token=abcdef0123456789'
+    assert sc.find(text) == [("assign", 0, 18), ("guess", 0, 26), ("assign", 32, 54)]
+    assert sc.masked(text) == '[SECRET]" and [SECRET]'
+
+
 def test_urls(spark):
     rows = ["http://a.example.org/en/12?x", "https://x.org", "http://m.b.com/fr/", "http://spam-farm.example.net/x", "http://Q.example.ORG/es/1#z", None, "nothing", "", "http://z.com/de/?q"]
     got = [(r["host"], r["rule"], r["verdict"]) for r in sorted(ur.url_verdicts(spark.createDataFrame(list(enumerate(rows)), "page_id bigint, url string")).collect(), key=lambda r: r["page_id"])]
