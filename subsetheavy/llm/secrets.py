@@ -5,7 +5,9 @@ value of 6 or more), access (AKIA and 16 or more), hex (24 or more hex digits).
 follow a wider set of credential words and that would take many guesses. The cost of a value is the cheapest way, by
 dynamic programming over its positions, to cut it into dictionary words, dates, repeats, keyboard walks, sequences and
 brute-force spans, as log10 of the guesses: each span's own guesses multiplied, and as many again as the spans can be
-ordered. A value of at least GUESSES is a secret; a word, a date, a walk or a phrase of these is not.
+ordered. A value of at least GUESSES is a secret, whatever its length and signs; a word, a date, a walk or a short phrase
+of these is not. The dictionary is a fixed list and then the frequent words of all texts, counted in a first pass; a word
+in the place of a value counts against itself, so copies of a secret don't make it a word.
 
 Spans are counted in code points, end exclusive, and cover the whole match. A guess span that lies in a
 base span is left out; one that reaches further stays beside it. Null and empty texts have none. Values are cut at VALUE characters, which are past any bound already.
@@ -16,6 +18,7 @@ from __future__ import annotations
 import hashlib
 import math
 import re
+from collections import Counter
 from functools import lru_cache
 
 import pyarrow as pa
@@ -24,6 +27,9 @@ from pyspark.sql import functions as F
 
 KINDS = ("assign", "access", "hex", "guess")
 GUESSES, VALUE = 9.0, 200
+#: Words taken from the texts (bounds what a task holds), letters of the longest, and words counted before they are sent on.
+DICTIONARY, LETTERS, HELD = 1 << 17, 40, 1 << 18
+_WORD = re.compile(r"[^\W\d_]{3,}")
 _ASSIGN = re.compile(r"(password|passwd|secret|token|api_?key)[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", re.I | re.A)
 _ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 _HEX = re.compile(r"[0-9a-f]{24,}")
@@ -51,14 +57,14 @@ def _alphabet(s: str) -> int:
     return 26 * any("a" <= c <= "z" for c in s) + 26 * any("A" <= c <= "Z" for c in s) + 10 * any("0" <= c <= "9" for c in s) + 33 * any(not c.isalnum() for c in s) or 33
 
 
-def _spans(value: str) -> list[tuple[int, int, float]]:
+def _spans(value: str, words: dict[str, int]) -> list[tuple[int, int, float]]:
     """(start, end, log10 guesses) of each known pattern in the value."""
     n, low = len(value), value.lower()
     plain = low.translate(_PLAIN)
     found = []
     for i in range(n):
-        for j in range(i + 3, min(n, i + 12) + 1):
-            rank = _RANK.get(low[i:j]) or 4 * _RANK.get(plain[i:j], 0)
+        for j in range(i + 3, min(n, i + LETTERS) + 1):
+            rank = words.get(low[i:j]) or 4 * words.get(plain[i:j], 0)
             if rank:
                 part = value[i:j]
                 case = 1 if part == low[i:j] else 2 if part[:1].isupper() and part[1:] == low[i + 1 : j] or part.isupper() else 2 ** min(j - i, 8)
@@ -86,12 +92,12 @@ def _spans(value: str) -> list[tuple[int, int, float]]:
     return found
 
 
-def guess_cost(value: str) -> float:
+def guess_cost(value: str, words: dict[str, int] = _RANK) -> float:
     """log10 of the guesses for the cheapest segmentation of value."""
     value = value[:VALUE]
     n, each = len(value), math.log10(max(_alphabet(value), 10))
     ends: list[list[tuple[int, float]]] = [[] for _ in range(n + 1)]
-    for i, j, cost in _spans(value):
+    for i, j, cost in _spans(value, words):
         ends[j].append((i, cost))
     best = [[math.inf] * (n + 2) for _ in range(n + 1)]  # by end and number of spans
     best[0][0] = 0.0
@@ -104,7 +110,43 @@ def guess_cost(value: str) -> float:
     return min((best[n][k] + math.log10(math.factorial(k)) for k in range(1, min(n, 12) + 1)), default=0.0)
 
 
-def find(text: str) -> list[tuple[str, int, int]]:
+def _in_context(text: str, low: str):
+    """Matches of values in a credential context."""
+    if ("=" in low or ":" in low or " is " in low) and any(w in low for w in _NEAR):
+        yield from _CONTEXT.finditer(text)
+
+
+def dictionary(docs: DataFrame, text_col: str = "text") -> dict[str, int]:
+    """The rank of each known word: WORDS, then by count the words that stand twice or more often outside of values
+    than in them."""
+
+    def work(batches):
+        seen: Counter[str] = Counter()
+
+        def sent():
+            some = [w for w in seen if len(w) <= LETTERS]
+            out = pa.RecordBatch.from_arrays([pa.array(some, pa.string()), pa.array([seen[w] for w in some], pa.int64())], names=["word", "n"])
+            seen.clear()
+            return out
+
+        for batch in batches:
+            for text in batch.column(0).to_pylist():
+                if text:
+                    low = text.lower()
+                    seen.update(_WORD.findall(low))
+                    for m in _in_context(text, low):
+                        for w in _WORD.findall(m.group(1).lower()):
+                            seen[w] -= 2
+                if len(seen) >= HELD:
+                    yield sent()
+        yield sent()
+
+    counted = docs.select(F.col(text_col).alias("text")).mapInArrow(work, "word string, n bigint").groupBy("word").agg(F.sum("n").alias("n")).where("n >= 2")
+    ranked = counted.orderBy(F.desc("n"), "word").limit(DICTIONARY).toArrow().column("word").to_pylist()
+    return {w: i + 1 for i, w in enumerate(dict.fromkeys([*WORDS, *ranked]))}
+
+
+def find(text: str, words: dict[str, int] = _RANK) -> list[tuple[str, int, int]]:
     """(kind, start, end) of every span, by start and then kind."""
     low = text.lower()
     out = []
@@ -113,15 +155,12 @@ def find(text: str) -> list[tuple[str, int, int]]:
     if "AKIA" in text:
         out += [("access", m.start(), m.end()) for m in _ACCESS.finditer(text) if m.end() - m.start() >= 20]
     out += [("hex", m.start(), m.end()) for m in _HEX.finditer(text)]
-    if ("=" in low or ":" in low or " is " in low) and any(w in low for w in _NEAR):
-        base = list(out)
-        for m in _CONTEXT.finditer(text):
-            start, value = m.start(1), m.group(1).rstrip(".,;:!?)]}")
-            end = start + len(value)
-            if len(value) < 8 or any(s <= m.start() and end <= e for _, s, e in base):
-                continue
-            if guess_cost(value) >= GUESSES and not value.isalpha():
-                out.append(("guess", m.start(), end))
+    base = list(out)
+    for m in _in_context(text, low):
+        start, value = m.start(1), m.group(1).rstrip(".,;:!?)]}")
+        end = start + len(value)
+        if not any(s <= m.start() and end <= e for _, s, e in base) and guess_cost(value, words) >= GUESSES:
+            out.append(("guess", m.start(), end))
     return sorted(out, key=lambda x: (x[1], KINDS.index(x[0])))
 
 
@@ -129,9 +168,9 @@ def joined(spans: list[tuple[str, int, int]]) -> str:
     return ",".join(f"{k}:{s}:{e}" for k, s, e in spans)
 
 
-def masked(text: str | None, mark: str = "[SECRET]") -> str | None:
+def masked(text: str | None, mark: str = "[SECRET]", words: dict[str, int] = _RANK) -> str | None:
     """The text with every span replaced; spans that touch or overlap make one mark."""
-    spans = find(text) if text else []
+    spans = find(text, words) if text else []
     out, at = [], 0
     for _, s, e in sorted(spans, key=lambda x: x[1:]):
         if s >= at:
@@ -142,11 +181,12 @@ def masked(text: str | None, mark: str = "[SECRET]") -> str | None:
 
 def secret_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, spans array<struct<kind,start,end>>) for every row."""
+    held = docs.sparkSession.sparkContext.broadcast(dictionary(docs, text_col))
 
     def work(batches):
         kind = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64())]))
         for batch in batches:
-            rows = [[{"kind": k, "start": s, "end": e} for k, s, e in find(t or "")] for t in batch.column(1).to_pylist()]
+            rows = [[{"kind": k, "start": s, "end": e} for k, s, e in find(t or "", held.value)] for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, kind)], names=["doc_id", "spans"])
 
     return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(work, "doc_id bigint, spans array<struct<kind:string,start:bigint,end:bigint>>")
@@ -162,12 +202,13 @@ def secret_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
 def masked_docs(docs: DataFrame, text_col: str = "text", size_col: str = "n_chars") -> DataFrame:
     """docs with secrets masked in the text, and size_col counted anew where the text changed."""
+    held = docs.sparkSession.sparkContext.broadcast(dictionary(docs, text_col))
 
     def work(batches):
         for batch in batches:
             i = batch.schema.get_field_index(text_col)
             before = batch.column(i).to_pylist()
-            after = [masked(t) for t in before]
+            after = [masked(t, words=held.value) for t in before]
             cols = list(batch.columns)
             cols[i] = pa.array(after, batch.schema.field(i).type)
             if (j := batch.schema.get_field_index(size_col)) >= 0:

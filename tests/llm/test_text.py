@@ -195,6 +195,15 @@ def test_guess_span_beyond_a_base_span():
     assert sc.masked(text) == '[SECRET]" and [SECRET]'
 
 
+def test_letters_and_short_values_are_secrets(spark):
+    secret = ["login: qXvTzkWpRbnMhGd", "pwd=hGkTrWqZxLpM", "pwd=Zk9$mQ2"]
+    texts = [*secret * 5, *["an important notice for visitors", "the password is important and the login: visitors"] * 2, *["important visitors"] * 4]
+    got = {r["doc_id"]: r for r in sc.secret_digests(docs(spark, texts)).collect()}
+    assert [got[i]["n_guess"] for i in range(len(texts))] == [1] * 15 + [0] * 8
+    left = {r["text"] for r in sc.masked_docs(docs(spark, texts)).collect()}
+    assert left == {"[SECRET]", *texts[15:]}
+
+
 def test_urls(spark):
     rows = ["http://a.example.org/en/12?x", "https://x.org", "http://m.b.com/fr/", "http://spam-farm.example.net/x", "http://Q.example.ORG/es/1#z", None, "nothing", "", "http://z.com/de/?q"]
     got = [(r["host"], r["rule"], r["verdict"]) for r in sorted(ur.url_verdicts(spark.createDataFrame(list(enumerate(rows)), "page_id bigint, url string")).collect(), key=lambda r: r["page_id"])]
