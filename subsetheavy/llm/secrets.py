@@ -10,7 +10,8 @@ of these is not. The dictionary is a fixed list and then the frequent words of a
 in the place of a value counts against itself, so copies of a secret don't make it a word.
 
 Spans are counted in code points, end exclusive, and cover the whole match. A guess span that lies in a
-base span is left out; one that reaches further stays beside it. Null and empty texts have none. Values are cut at VALUE characters, which are past any bound already.
+base span is left out; one that reaches further stays beside it. Null and empty texts have none. A value is read as
+far as it takes to tell on which side of GUESSES it is.
 """
 
 from __future__ import annotations
@@ -26,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 KINDS = ("assign", "access", "hex", "guess")
-GUESSES, VALUE = 9.0, 200
+GUESSES = 9.0
 #: Words taken from the texts (bounds what a task holds), letters of the longest, and words counted before they are sent on.
 DICTIONARY, LETTERS, HELD = 1 << 17, 40, 1 << 18
 _WORD = re.compile(r"[^\W\d_]{3,}")
@@ -57,57 +58,69 @@ def _alphabet(s: str) -> int:
     return 26 * any("a" <= c <= "z" for c in s) + 26 * any("A" <= c <= "Z" for c in s) + 10 * any("0" <= c <= "9" for c in s) + 33 * any(not c.isalnum() for c in s) or 33
 
 
-def _spans(value: str, words: dict[str, int]) -> list[tuple[int, int, float]]:
-    """(start, end, log10 guesses) of each known pattern in the value."""
+def _spans(value: str, words: dict[str, int]):
+    """For each place in turn (end, log10 guesses) of each known pattern that starts there. Runs are followed once."""
     n, low = len(value), value.lower()
     plain = low.translate(_PLAIN)
-    found = []
+    same, walk, turns, first, line = [0] * 5, 0, [], 0, 0
     for i in range(n):
+        found = []
         for j in range(i + 3, min(n, i + LETTERS) + 1):
             rank = words.get(low[i:j]) or 4 * words.get(plain[i:j], 0)
             if rank:
                 part = value[i:j]
                 case = 1 if part == low[i:j] else 2 if part[:1].isupper() and part[1:] == low[i + 1 : j] or part.isupper() else 2 ** min(j - i, 8)
-                found.append((i, j, math.log10(rank * case + 1)))
+                found.append((j, math.log10(rank * case + 1)))
         if (m := _DATE.match(value, i)):
-            found.append((i, m.end(), math.log10(365 * 100)))
+            found.append((m.end(), math.log10(365 * 100)))
         for size in (1, 2, 3, 4):
-            unit, k = value[i : i + size], 1
-            while len(unit) == size and value[i + k * size : i + (k + 1) * size] == unit:
-                k += 1
+            e = max(same[size], i)
+            while e + size < n and value[e] == value[e + size]:
+                e += 1
+            same[size], k = e, 1 + (e - i) // size
             if k * size >= 3 and k > 1:
-                found.append((i, i + k * size, size * math.log10(_alphabet(unit)) + math.log10(k)))
-        j, turns = i + 1, 1
-        while j < n and low[j] in _beside().get(low[j - 1], ""):
-            turns += j > i + 1 and ord(low[j]) - ord(low[j - 1]) != ord(low[j - 1]) - ord(low[j - 2])
-            j += 1
-        if j - i >= 3:
-            found.append((i, j, math.log10(47 * (j - i)) + min(turns, j - i) * math.log10(4.6)))
-        if i + 1 < n and (step := ord(value[i + 1]) - ord(value[i])) in (1, -1):
-            j = i + 2
-            while j < n and ord(value[j]) - ord(value[j - 1]) == step and value[j].isalnum():
-                j += 1
-            if j - i >= 3:
-                found.append((i, j, math.log10(26 * (j - i))))
-    return found
-
-
-def guess_cost(value: str, words: dict[str, int] = _RANK) -> float:
-    """log10 of the guesses for the cheapest segmentation of value."""
-    value = value[:VALUE]
+                found.append((i + k * size, size * math.log10(_alphabet(value[i : i + size])) + math.log10(k)))
+        if i >= walk:
+            first, walk, turns = i, i + 1, [0]
+            while walk < n and low[walk] in _beside().get(low[walk - 1], ""):
+                turns.append(turns[-1] + (walk > i + 1 and ord(low[walk]) - ord(low[walk - 1]) != ord(low[walk - 1]) - ord(low[walk - 2])))
+                walk += 1
+        if walk - i >= 3:
+            found.append((walk, math.log10(47 * (walk - i)) + min(1 + turns[-1] - turns[i + 1 - first], walk - i) * math.log10(4.6)))
+        if i + 1 >= line and i + 1 < n and (step := ord(value[i + 1]) - ord(value[i])) in (1, -1):
+            line = i + 2
+            while line < n and ord(value[line]) - ord(value[line - 1]) == step and value[line].isalnum():
+                line += 1
+        if line - i >= 3:
+            found.append((line, math.log10(26 * (line - i))))
+        yield found
+
+
+#: log10 of the orders of up to 12 spans. More have over 10**9 orders, so they never make a value cheap.
+_ORDERS = [math.log10(math.factorial(k)) for k in range(13)]
+
+
+def guess_cost(value: str, words: dict[str, int] = _RANK, line: float = math.inf) -> float:
+    """log10 of the guesses for the cheapest segmentation of value. With a line, only on which side of it the result
+    lies is right, and no more of the value is read than tells that."""
     n, each = len(value), math.log10(max(_alphabet(value), 10))
-    ends: list[list[tuple[int, float]]] = [[] for _ in range(n + 1)]
-    for i, j, cost in _spans(value, words):
-        ends[j].append((i, cost))
-    best = [[math.inf] * (n + 2) for _ in range(n + 1)]  # by end and number of spans
-    best[0][0] = 0.0
-    brute = [[math.inf] * (n + 2) for _ in range(n + 1)]  # the last span is brute force and may go on
-    for j in range(1, n + 1):
-        for k in range(1, min(j, 12) + 1):
-            grown = min(brute[j - 1][k] + each, best[j - 1][k - 1] + each)
-            brute[j][k] = grown
-            best[j][k] = min([grown, *(best[i][k - 1] + cost for i, cost in ends[j])])
-    return min((best[n][k] + math.log10(math.factorial(k)) for k in range(1, min(n, 12) + 1)), default=0.0)
+    if not n:
+        return 0.0
+    none = [math.inf] * 13
+    full = lambda costs: min(c + o for c, o in zip(costs, _ORDERS, strict=True))
+    best, brute = [0.0, *none[1:]], none  # by number of spans: up to here; the last one is brute force and may go on
+    open_: dict[int, list[float]] = {}  # by end: spans that are not over
+    for i, found in enumerate(_spans(value, words)):
+        for end, cost in found:
+            open_[end] = [min(a, b + cost) for a, b in zip(open_.get(end, none), [math.inf, *best[:12]], strict=True)]
+        if found and n in open_ and full(open_[n]) < line < math.inf:
+            return full(open_[n])
+        brute = [min(a, b) + each for a, b in zip(brute, [math.inf, *best[:12]], strict=True)]
+        best = [min(a, b) for a, b in zip(brute, open_.pop(i + 1, none), strict=True)]
+        # what any way to the end has cost by now
+        if i + 1 < n and (least := min([full(best), *map(full, open_.values())])) >= line:
+            return least
+    return full(best)
 
 
 def _in_context(text: str, low: str):
@@ -159,7 +172,7 @@ def find(text: str, words: dict[str, int] = _RANK) -> list[tuple[str, int, int]]
     for m in _in_context(text, low):
         start, value = m.start(1), m.group(1).rstrip(".,;:!?)]}")
         end = start + len(value)
-        if not any(s <= m.start() and end <= e for _, s, e in base) and guess_cost(value, words) >= GUESSES:
+        if not any(s <= m.start() and end <= e for _, s, e in base) and guess_cost(value, words, GUESSES) >= GUESSES:
             out.append(("guess", m.start(), end))
     return sorted(out, key=lambda x: (x[1], KINDS.index(x[0])))
 

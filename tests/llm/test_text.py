@@ -204,6 +204,16 @@ def test_letters_and_short_values_are_secrets(spark):
     assert left == {"[SECRET]", *texts[15:]}
 
 
+def test_guess_cost_reads_the_whole_value():
+    for start in ("x" * 300, "xyxy" * 1000):
+        assert sc.guess_cost(start) < sc.GUESSES and not sc.find(f"pwd={start}")
+        assert sc.guess_cost(start + "Zk9$mQ2!vXr7") > sc.GUESSES and len(sc.find(f"pwd={start}Zk9$mQ2!vXr7")) == 1
+    rng = random.Random(8)
+    for _ in range(400):
+        value = "".join(rng.choice(["password", "2019-05-01", "aaa", "qwe", "abc", "Dragon", "x", "7", "$", "321", "fgtr"]) for _ in range(rng.randrange(1, 9)))
+        assert (sc.guess_cost(value, line=sc.GUESSES) >= sc.GUESSES) == (sc.guess_cost(value) >= sc.GUESSES)
+
+
 def test_urls(spark):
     rows = ["http://a.example.org/en/12?x", "https://x.org", "http://m.b.com/fr/", "http://spam-farm.example.net/x", "http://Q.example.ORG/es/1#z", None, "nothing", "", "http://z.com/de/?q"]
     got = [(r["host"], r["rule"], r["verdict"]) for r in sorted(ur.url_verdicts(spark.createDataFrame(list(enumerate(rows)), "page_id bigint, url string")).collect(), key=lambda r: r["page_id"])]
