@@ -588,7 +588,7 @@ query("q_w2")(lambda spark, d: wl.independent_curve(spark, d))
 query("q_w3")(lambda spark, d: wl.mixture_curve(spark, d))
 query("q_w4")(lambda spark, d: wl.clicks_curve(spark, d))
 query("q_w4n")(lambda spark, d: wl.correlated_curve(spark, d))
-query("q_w5")(lambda spark, d: wl.search_curve(spark, d, subsets=3))
+query("q_w5")(lambda spark, d: wl.search_curve(spark, d))
 query("q_parameter_table")(lambda spark, d: wl.parameter_table(spark, d))
 
 

@@ -104,13 +104,21 @@ def correlated_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
     return curve(clicks(spark, sf_dir), ROW_KEY, T, {T: 0.01}, ("sample", "product"), 10.0, factors=(0.5, 1.0))
 
 
-def search_curve(spark: SparkSession, sf_dir: str, gamma: float = 0.05, pct: float = 10.0, subsets: int = 10) -> DataFrame:
-    """Averages over the most frequent brands and the eight runs of three neighbouring slots."""
+def search_curve(spark: SparkSession, sf_dir: str, gammas: Iterable[float] = (0.05, 0.1), pcts: Iterable[float] = (0.2, 2.0, 10.0), subsets: int = 10) -> DataFrame:
+    """(gamma, pct, method, cut, ...): averages over the most frequent brands and the eight runs of three neighbouring
+    slots, for each gamma and memory budget."""
     df = kept(websearch(spark, sf_dir))
     names = [r["subset"] for r in df.groupBy("subset").count().orderBy(F.desc("count"), "subset").limit(subsets).collect()]
-    Ts = {SEARCH_COORDS[i : i + 3]: gamma for i in range(8)}
-    each = [curve(df.where(F.col("subset") == n), ROW_KEY, SEARCH_COORDS, Ts, ("sample", "mixture"), pct, "day", (0.5, 1.0)).withColumn("subset", F.lit(n)) for n in names]
-    return averaged(reduce(DataFrame.unionByName, each), ["pct", "method", "cut"])
+    out = []
+    for n in names:
+        own = kept(df.where(F.col("subset") == n))
+        for gamma in gammas:
+            Ts = {SEARCH_COORDS[i : i + 3]: gamma for i in range(8)}
+            for pct in pcts:
+                # a curve has a row for each method, cut and run of slots, so that it is run by itself and no plan holds them all
+                got = curve(own, ROW_KEY, SEARCH_COORDS, Ts, ("sample", "mixture"), pct, "day").withColumn("gamma", F.lit(gamma))
+                out.append(spark.createDataFrame(got.collect(), got.schema))
+    return averaged(reduce(DataFrame.unionByName, out), ["gamma", "pct", "method", "cut"])
 
 
 def roc(points: DataFrame) -> DataFrame:

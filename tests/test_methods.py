@@ -111,3 +111,19 @@ def test_confusion_sweep(spark):
         for f in (0.25, 1.0, 2.0):
             want = confusion(have.where(F.col("mass") >= 0.2 * f), true, ["v"], 0.2).first()
             assert got[f] == tuple(want[n] for n in names)
+
+
+def test_search_workload_is_whole(spark, monkeypatch):
+    from subsetheavy.plans import queries as qs
+    from subsetheavy.plans import workloads as wl
+
+    asked = []
+
+    def curve(df, key, coords, Ts, methods, pct, cls=None, factors=wl.CUTS):
+        asked.append((df.first()["subset"], *set(Ts.values()), pct))
+        return spark.createDataFrame([(pct, m, f, ",".join(T), 1, 0, 0, 0, 1, 1) for m in methods for f in factors for T in Ts], "pct double, method string, cut double, subcube string, tp long, fp long, fp_strict long, fn long, reported long, negatives long")
+
+    monkeypatch.setattr(wl, "curve", curve)
+    got = qs.queries()["q_w5"](spark, "/root/testdata/sf0.001").collect()
+    assert len({s for s, _, _ in asked}) == 10 and len(asked) == len(set(asked)) == 60
+    assert {(r["gamma"], r["pct"], r["method"], r["cut"]) for r in got} == {(g, p, m, c) for g in (0.05, 0.1) for p in (0.2, 2.0, 10.0) for m in ("sample", "mixture") for c in wl.CUTS}
