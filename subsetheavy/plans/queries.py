@@ -620,6 +620,7 @@ def _(spark, d):
 
 
 query("q_w9", _gap_sql("first_words", T3, W("first_words")))(lambda spark, d: gap_shown(gp.model_gap(tb.first_words(spark, d), T3)))
+query("q_w9_mixture")(lambda spark, d: gap_shown(gp.model_gap(tb.first_words(spark, d), T3, "lang")))
 
 
 @query("q_w10", "SELECT d, CAST(d * 2686 AS BIGINT) AS model_cells, CAST(d * (d - 1) * (d - 2) / 6 * 2686 AS BIGINT) AS per_subcube_cells FROM (VALUES (5), (10), (19)) t(d)")

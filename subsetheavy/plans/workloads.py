@@ -143,7 +143,7 @@ def parameter_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     return reduce(DataFrame.unionByName, (p.agg(F.countDistinct("subcube").alias("subcubes"), F.avg("heavy").alias("avg_heavy"), F.avg("ratio").alias("avg_ratio")).select(F.lit(n).alias("workload"), "*") for n, p in parts.items()))
 
 
-def strategy_scaling(spark: SparkSession, sf_dir: str, k_max: int = 6) -> DataFrame:
+def strategy_scaling(spark: SparkSession, sf_dir: str, k_max: int = 8) -> DataFrame:
     """(k, strategy, heavy): every strategy lists the same number at each k."""
     coords = ("os", "lang", "engine", "geo_region", "browser", "referrer", "plugins", "visit_no")
     model = fit_product(clicks(spark, sf_dir), coords, 0.002)

@@ -127,3 +127,14 @@ def test_search_workload_is_whole(spark, monkeypatch):
     got = qs.queries()["q_w5"](spark, "/root/testdata/sf0.001").collect()
     assert len({s for s, _, _ in asked}) == 10 and len(asked) == len(set(asked)) == 60
     assert {(r["gamma"], r["pct"], r["method"], r["cut"]) for r in got} == {(g, p, m, c) for g in (0.05, 0.1) for p in (0.2, 2.0, 10.0) for m in ("sample", "mixture") for c in wl.CUTS}
+
+
+def test_scaling_and_gap_workloads_are_whole(spark, monkeypatch):
+    from subsetheavy.plans import queries as qs
+    from subsetheavy.plans import workloads as wl
+
+    asked = []
+    monkeypatch.setattr(wl, "all_heavy", lambda model, T, cut, s: asked.append((len(T), s)) or spark.range(1))
+    qs.queries()["q_w11"](spark, "/root/testdata/sf0.001")
+    assert {k for k, s in asked if s != "cartesian"} == set(range(1, 9))
+    assert 0 < qs.queries()["q_w9_mixture"](spark, "/root/testdata/sf0.001").first()["observed_gap"] < 1
