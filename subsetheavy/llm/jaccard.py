@@ -9,15 +9,19 @@ estimated cost over the histogram of sizes. Tokens are ordered rare first: a mer
 shingles names at most 2**18 frequent ones; the order needs no more than that, and any order gives the same links.
 
 Lists travel as blocks of packed arrays, dealt by key, and are read with vectorised code. A list of up to LIST sets
-gives its pairs. A longer one gives star pairs to a pivot per size class. Lists whose sets the links found so far have not merged into
-one component are then compared in blocks: a pair meets at the least long key that both sets have, goes no further if
-it is in one component or if counts of its tokens over CELLS cells leave too small an overlap possible, and the rest
-are verified inside the task, which gives the edges of a spanning forest and no pairs.
+gives its pairs. A longer one under a shingle that the summary had missed teaches its length: the sets of such lists are
+indexed anew in an order that has these shingles late, so that they meet under rarer ones; any two that link meet there
+too, for any order does. Long lists that are left give star pairs to a pivot per size class. Those whose sets the links
+found so far have not merged into one component are then compared in blocks: a pair meets at the least long key that
+both sets have, goes no further if it is in one component or if counts of its tokens over cells (one or two tokens to a
+cell, whatever the size) leave too small an overlap possible, and the rest are verified inside the task, which gives
+the edges of a spanning forest and no pairs.
 Pairs carry how many entries they share. Two sets can share no more tokens than those of the shorter-reaching prefix
 that both hold and all that lie behind it, so a pair whose shared entries, with those that long lists may add, are too
 few for a link goes without a look at its sets.
 Every pair of a list thus is compared or already in one component: components are exact, with no caps, and what is
-written for a group of copies follows its size and not its square. Every candidate is verified on whole sets.
+written for a group of copies follows its size and not its square. Every candidate is verified on whole sets. Ids and
+cells move before any set does.
 
 Nulls, empty texts and texts without words have no shingles and link with nothing. Rows with equal sets are one node,
 whatever their number; rows that repeat a doc_id keep their rows. An empty table gives no rows.
@@ -26,6 +30,7 @@ whatever their number; rows that repeat a doc_id keep their rows. An empty table
 from __future__ import annotations
 
 import math
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -37,10 +42,17 @@ from .common import components, forget, release, stored_at
 
 #: Longest list whose pairs are all made at once.
 LIST = 32
-BLOCK, CELLS = 1024, 256
+#: Sets and tokens that a block of a long list holds, about.
+BLOCK, TOKENS = 1024, 1 << 22
+#: Most often that lists which came out long are indexed anew.
+ROUNDS = 2
 HOT = 1 << 18
+#: Nodes that a broadcast may name.
+FEW = 1 << 20
 #: Estimated comparisons that a single-token entry causes, against 1 for writing an entry.
 SCAN = 4.0
+#: Cost of a comparison of two sets of a long list, against 1 for reading a token.
+PAIR = 8
 SCAN_TABLE = "kind int, a bigint, b bigint, c bigint"
 LISTED = "kind int, a bigint, b bigint, c bigint, d bigint, e bigint"
 
@@ -49,6 +61,16 @@ def _least(n: int, share: int) -> int:
     return -(-share * n // 100)
 
 
+def _alone(n: int, share: int) -> bool:
+    """Whether a set of n links with equal ones alone."""
+    return 100 * n < share * (n + 1)
+
+
+def _tiny(share: int) -> int:
+    """The largest size at which one common token can be enough for a link, so that pairs of tokens would miss it."""
+    return 100 // share
+
+
 def _scan(k: int):
     """For each row (0, id, set size, fingerprint); for each task its frequent shingles (1, shingle, count, null)."""
 
@@ -97,10 +119,10 @@ def boundary(sizes: list[tuple[int, int]], share: int) -> int:
     return min((0, *range(4, 12, 2), *range(12, 100, 4)), key=cost)
 
 
-def _index(k: int, share: int, limit: int, hot, buckets: int, salted: int):
+def _index(k: int, share: int, limit: int, hot, buckets: int, salted: int, only=None, bits: int = 0):
     """Blocks of (key, node, size, flags) by bucket; flags: 1 the key is dealt over several buckets, 2 it is a subset.
-    hot: broadcast (shingles, counts)."""
-    reach = -(-share * (limit + 1) // 100)
+    hot: broadcast (shingles, counts). only: broadcast filter of the ids whose rows are read."""
+    reach, near_tiny = -(-share * (limit + 1) // 100), 100 * _tiny(share) // share
 
     def go(batches):
         keys, counts = hot.value
@@ -121,7 +143,7 @@ def _index(k: int, share: int, limit: int, hot, buckets: int, salted: int):
                 yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in some], pa.int32()), pack(key, np.uint64), pack(node, np.uint64), pack(size, np.int32), pack((wide > 0) + 2 * sub, np.uint8)], names=["bucket", "keys", "nodes", "sizes", "flags"])
 
         for batch in batches:
-            for _, _, data, offs in ts.runs(batch.column(0)):
+            for _, _, data, offs in ts.runs(batch.column(1) if only is None else _picked(batch, only, bits)):
                 sets = list(ts.shingle_sets(data, offs, k))
                 size = np.array([len(s) for s in sets], np.int64)
                 at = np.concatenate([[0], np.cumsum(size)])
@@ -134,7 +156,7 @@ def _index(k: int, share: int, limit: int, hot, buckets: int, salted: int):
                     often[hit] = counts[where[hit]]
                 out_k, out_n, out_s, out_w, out_f = [], [], [], [], []
                 for d, n in enumerate(size.tolist()):
-                    if n < 4:  # such a set links with equal ones alone
+                    if _alone(n, share):
                         continue
                     own, rate = every[at[d] : at[d + 1]], often[at[d] : at[d + 1]]
                     first = n - _least(n, share) + 1
@@ -150,11 +172,12 @@ def _index(k: int, share: int, limit: int, hot, buckets: int, salted: int):
                         out_k.append(ts.mixed(lo * ts.LAGS[20] + hi * ts.LAGS[21]))
                         out_w.append(np.minimum(rate[i], rate[j]) // salted)
                         out_f.append(np.ones(len(i), np.uint8))
-                    if n >= reach:
+                    single = n >= reach or n <= near_tiny
+                    if single:
                         out_k.append(own[:first])
                         out_w.append(rate[:first] // salted)
                         out_f.append(np.zeros(len(own[:first]), np.uint8))
-                    made = (n <= limit) * (len(own) * (len(own) - 1) // 2) + (n >= reach) * min(first, len(own))
+                    made = (n <= limit) * (len(own) * (len(own) - 1) // 2) + single * min(first, len(own))
                     out_n.append(np.full(made, nodes[d]))
                     out_s.append(np.full(made, n))
                 if out_k:
@@ -202,8 +225,8 @@ def _lists(share: int, limit: int, part: int):
             index = index[group[index + gap] == group[index]]
             if not len(index):
                 break
-            # sets that are both small meet by subsets alone
-            near = index[(100 * size[index] >= share * size[index + gap]) & ((flag[index] > 1) | (size[index + gap] > limit))]
+            # sets that are both small, but not tiny, meet by subsets alone
+            near = index[(100 * size[index] >= share * size[index + gap]) & ((flag[index] > 1) | (size[index + gap] > limit) | (size[index] <= _tiny(share)))]
             first.append(near)
             second.append(near + gap)
         i, j = np.concatenate(first), np.concatenate(second)
@@ -234,7 +257,12 @@ def _enough(share: int, limit: int, shared, sa, sb):
     small, large = F.least(sa, sb), F.greatest(sa, sb)
     need = F.ceil((small + large) * share / F.lit(100.0 + share) - 1e-9) - F.ceil(large * share / F.lit(100.0) - 1e-9) + 1
     need = F.greatest(need, F.lit(1))
-    return (100 * small >= share * large) & (shared >= F.when(large <= limit, need * (need + 1) / 2).otherwise(need))
+    return (100 * small >= share * large) & (shared >= F.when(_by_subsets(share, limit, sa, sb), need * (need + 1) / 2).otherwise(need))
+
+
+def _by_subsets(share: int, limit: int, sa, sb):
+    """Whether sets of these sizes meet by pairs of tokens and not by single ones."""
+    return (F.greatest(sa, sb) <= limit) & (F.least(sa, sb) > _tiny(share))
 
 
 def _filter_bits(bits: int):
@@ -253,21 +281,46 @@ def _slots(ids: np.ndarray, bits: int) -> np.ndarray:
     return (ts.mixed(ids.view(np.uint64) ^ np.uint64(5)) >> np.uint64(64 - bits)).astype(np.int64)
 
 
+def _picked(batch, field, bits: int) -> pa.Array:
+    """The texts of the rows whose id may be asked for."""
+    slot = _slots(batch.column(0).cast(pa.int64()).fill_null(0).to_numpy(zero_copy_only=False), bits)
+    return batch.column(1).filter(pa.array((field.value[slot >> 3] >> (7 - (slot & 7)).astype(np.uint8)) & 1 > 0))
+
+
 def _cells(tokens: np.ndarray) -> bytes:
-    """Counts of a set's tokens over cells, at most 255 each."""
-    return np.minimum(np.bincount((tokens & np.uint64(CELLS - 1)).astype(np.int64), minlength=CELLS), 255).astype(np.uint8).tobytes()
+    """Counts of a set's tokens over as many cells as leave one or two to a cell: four bits each, 15 for 15 or more."""
+    width = max(16, 1 << len(tokens).bit_length() - 1)
+    count = np.minimum(np.bincount((tokens & np.uint64(width - 1)).astype(np.int64), minlength=width), 15).astype(np.uint8)
+    return (count[::2] | count[1::2] << 4).tobytes()
+
+
+def _counts(cells: list) -> np.ndarray:
+    """A row of counts for each set of cells of one width."""
+    packed = np.frombuffer(b"".join(cells), np.uint8).reshape(len(cells), -1)
+    out = np.empty((len(cells), 2 * packed.shape[1]), np.uint8)
+    out[:, ::2], out[:, 1::2] = packed & 15, packed >> 4
+    return out
+
+
+def _folded(count: np.ndarray, width: int) -> np.ndarray:
+    """The counts over fewer cells. Sums stay in a byte, or are cut to a byte, which a full cell stands for."""
+    while count.shape[-1] > width:
+        half = count.shape[-1] // 2
+        count = np.minimum(count[..., :half].astype(np.uint16) + count[..., half:], 255).astype(np.uint8)
+    return count
+
+
+def _full(count: np.ndarray) -> np.ndarray:
+    """Which sets have a cell that does not tell its count."""
+    return (count == 15).any(1)
 
 
 def _sets(k: int, field, bits: int, cells: bool):
     """(node, set as packed hashes, or the counts of its tokens over cells) of the rows whose id may be asked for."""
 
     def go(batches):
-        wanted = field.value
         for batch in batches:
-            ids = batch.column(0).cast(pa.int64()).fill_null(0).to_numpy(zero_copy_only=False)
-            slot = _slots(ids, bits)
-            keep = (wanted[slot >> 3] >> (7 - (slot & 7)).astype(np.uint8)) & 1 > 0
-            for _, _, data, offs in ts.runs(batch.column(1).filter(pa.array(keep))):
+            for _, _, data, offs in ts.runs(_picked(batch, field, bits)):
                 sets = list(ts.shingle_sets(data, offs, k))
                 at = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int64)
                 nodes = fingerprints(np.concatenate(sets), at)
@@ -299,10 +352,20 @@ def _may_link(share: int):
 
     def go(batches):
         for batch in batches:
-            x, y = (np.array([np.frombuffer(v.as_buffer(), np.uint8) for v in _read(batch.column(i))]).reshape(-1, CELLS) for i in (2, 3))
-            size = x.sum(1, dtype=np.int64) + y.sum(1, dtype=np.int64)
-            full = ((x == 255) | (y == 255)).any(1)
-            keep = pa.array(full | ((100 + share) * np.minimum(x, y).sum(1, dtype=np.int64) >= share * size))
+            one, two = (_read(batch.column(i)).to_pylist() for i in (2, 3))
+            widths: dict[tuple[int, int], list[int]] = {}
+            for i, (x, y) in enumerate(zip(one, two, strict=True)):
+                widths.setdefault((len(x), len(y)), []).append(i)
+            keep = np.zeros(len(one), bool)
+            for (wx, wy), rows in widths.items():
+                some = max(1, (1 << 23) // max(wx, wy))
+                for o in range(0, len(rows), some):
+                    part = rows[o : o + some]
+                    x, y = _counts([one[i] for i in part]), _counts([two[i] for i in part])
+                    size, full = x.sum(1, dtype=np.int64) + y.sum(1, dtype=np.int64), _full(x) | _full(y)
+                    most = np.minimum(_folded(x, 2 * min(wx, wy)), _folded(y, 2 * min(wx, wy))).sum(1, dtype=np.int64)
+                    keep[part] = full | ((100 + share) * most >= share * size)
+            keep = pa.array(keep)
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep)], names=["a", "b"])
 
     return go
@@ -326,19 +389,28 @@ class _Verifier:
     def __init__(self, docs: DataFrame, nodes: DataFrame, k: int, share: int):
         self.docs, self.nodes, self.k, self.share = docs, nodes, k, share
 
-    def sets(self, ends: DataFrame, cells: bool = False) -> tuple[DataFrame, str]:
-        """(node, set) of the nodes in column end, each once; cells: counts over cells in the place of sets."""
+    def rows_of(self, ends: DataFrame):
+        """A broadcast filter of the ids of the nodes in column end, its bits, and how many nodes there are. Its size is
+        bounded; where it fills up, more rows are read, and what follows still decides."""
         spark = ends.sparkSession
         asked, asked_at = stored_at(self.nodes.join(ends, self.nodes["node"] == ends["end"], "left_semi").select("doc_id"), "asked")
-        # a filter of bounded size; where it fills up, more sets are read and the joins below still decide
-        bits = min(27, max(16, math.ceil(math.log2(16 * asked.count() + 1))))
+        many = asked.count()
+        bits = min(27, max(16, math.ceil(math.log2(64 * many + 1))))
         field = np.zeros(1 << (bits - 6), np.int64)
         words = asked.coalesce(64).mapInArrow(_filter_bits(bits), "at bigint, bits bigint").groupBy("at").agg(F.bit_or("bits").alias("bits"))
         got = words.toArrow()
         field[got.column("at").to_numpy()] = got.column("bits").to_numpy()
-        read = self.docs.mapInArrow(_sets(self.k, spark.sparkContext.broadcast(field.view(np.uint8)), bits, cells), "node bigint, set binary")
-        made = stored_at(read.join(ends, F.col("node") == F.col("end"), "left_semi").dropDuplicates(["node"]), "sets")
         forget(spark, asked_at)
+        return spark.sparkContext.broadcast(field.view(np.uint8)), bits, many
+
+    def sets(self, ends: DataFrame, cells: bool = False) -> tuple[DataFrame, str]:
+        """(node, set) of the nodes in column end, each once; cells: counts over cells in the place of sets."""
+        ends, ends_at = stored_at(ends, "ends")
+        field, bits, many = self.rows_of(ends)
+        read = self.docs.mapInArrow(_sets(self.k, field, bits, cells), "node bigint, set binary")
+        made = stored_at(read.join(F.broadcast(ends) if many <= FEW else ends, F.col("node") == F.col("end"), "left_semi").dropDuplicates(["node"]), "sets")
+        field.destroy()
+        forget(ends.sparkSession, ends_at)
         return made
 
     @staticmethod
@@ -361,33 +433,61 @@ class _Verifier:
 
 
 def _stars(lists: DataFrame, share: int) -> DataFrame:
-    """Pairs of each long list's members with the largest member of their size class and of the class below."""
+    """(a, b): pairs of each long list's members with the largest member of their size class and of the class below."""
     step = math.log(100 / share)
     classed = lists.withColumn("class", F.floor(F.log(F.col("size").cast("double")) / step).cast("int"))
-    pivots = classed.groupBy("key", "class").agg(F.max(F.struct("size", "node", "tokens", "subsets")).alias("top"))
+    pivots = classed.groupBy("key", "class").agg(F.max(F.struct("size", "node")).alias("top"))
     up = pivots.select(F.col("key").alias("pkey"), F.explode(F.array(F.col("class"), F.col("class") + 1)).alias("pclass"), F.col("top").alias("p"))
     up = stored_at(up, "pivots")[0]
-    return (classed.join(up, (F.col("key") == F.col("pkey")) & (F.col("class") == F.col("pclass"))).where(F.col("node") != F.col("p.node"))
-            .select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b"),
-                    F.when(F.col("node") < F.col("p.node"), F.col("size")).otherwise(F.col("p.size")).alias("sa"),
-                    F.when(F.col("node") < F.col("p.node"), F.col("p.size")).otherwise(F.col("size")).alias("sb")))
+    near = (100 * F.least("size", "p.size") >= share * F.greatest("size", "p.size")) & (F.col("node") != F.col("p.node"))
+    return classed.join(up, (F.col("key") == F.col("pkey")) & (F.col("class") == F.col("pclass"))).where(near).select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b"))
 
 
 def _meetings(rows: DataFrame) -> DataFrame:
-    """rows with key and node, dealt so that every two blocks of a key meet in one group (key, p, q): side 2 for a
+    """rows with key, node and size, dealt so that every two blocks of a key meet in one group (key, p, q): side 2 for a
     block with itself, else 0 and 1."""
-    full, _ = stored_at(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select(F.col("key").alias("k0"), F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")), "blocks")
+    counted = rows.groupBy("key").agg(F.count("*").alias("n"), F.sum("size").alias("tokens")).where("n > 1")
+    blocks = F.greatest(F.ceil(F.col("n") / BLOCK), F.least(F.ceil(F.col("tokens") / TOKENS), F.col("n"))).cast("int")
+    full, _ = stored_at(counted.select(F.col("key").alias("k0"), blocks.alias("blocks")), "blocks")
     placed = rows.join(full, F.col("key") == F.col("k0")).drop("k0").withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
     return placed.select("*", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")).select(
         "*", F.least("mine", "other").alias("p"), F.greatest("mine", "other").alias("q"),
         F.when(F.col("mine") == F.col("other"), 2).when(F.col("mine") < F.col("other"), 0).otherwise(1).alias("side")).drop("mine", "other", "blocks")
 
 
+class _Grid:
+    """Counts over cells of many sets, by width, and the most tokens that sets can share by them."""
+
+    def __init__(self, cells: list):
+        bytes_each = np.array([len(x) for x in cells])
+        self.width = 2 * bytes_each
+        self.row, self.full, self.made = np.zeros(len(cells), np.int64), np.zeros(len(cells), bool), {}
+        for w in np.unique(bytes_each).tolist():
+            own = np.flatnonzero(bytes_each == w)
+            self.row[own] = np.arange(len(own))
+            count = self.made[2 * w, 2 * w] = _counts([cells[i] for i in own.tolist()])
+            self.full[own] = _full(count)
+
+    def _at(self, width: int, to: int) -> np.ndarray:
+        if (width, to) not in self.made:
+            self.made[width, to] = _folded(self.made[width, width], to)
+        return self.made[width, to]
+
+    def most(self, i: int, others: np.ndarray) -> np.ndarray:
+        out, mine = np.zeros(len(others), np.int64), int(self.width[i])
+        for w in np.unique(self.width[others]).tolist():
+            here, to = np.flatnonzero(self.width[others] == w), min(w, mine)
+            rows = self.row[others[here]]
+            for o in range(0, len(here), max(1, (1 << 23) // to)):
+                some = slice(o, o + max(1, (1 << 23) // to))
+                out[here[some]] = np.minimum(self._at(w, to)[rows[some]], self._at(mine, to)[self.row[i]]).sum(1, dtype=np.int64)
+        return out
+
+
 def _possible(t, share: int, here: int):
     """Index pairs of a group that may link: other components, sizes and cells that allow it, met at their least key."""
     side, size, comp = (t.column(c).to_numpy() for c in ("side", "size", "comp"))
-    cells = np.array([np.frombuffer(x.as_buffer(), np.uint8) for x in _read(t.column("cells"))])
-    full = (cells == 255).any(1)
+    grid = _Grid(_read(t.column("cells")).to_pylist())
     lists = t.column("keys").to_pylist()
     table = np.full((len(lists), max(map(len, lists))), np.iinfo(np.int64).max)
     for i, x in enumerate(lists):
@@ -399,10 +499,8 @@ def _possible(t, share: int, here: int):
         need = -(-share * (size[i] + size[near]) // (100 + share))
         keep = (comp[near] != comp[i]) & (need <= np.minimum(size[i], size[near]))
         near, need = near[keep], need[keep]
-        for lo in range(0, len(near), 4096):
-            some = near[lo : lo + 4096]
-            most = np.minimum(cells[some], cells[i]).sum(1, dtype=np.int64)
-            some = some[(most >= need[lo : lo + 4096]) | (full[some] & full[i])]
+        if len(near):
+            some = near[(grid.most(i, near) >= need) | grid.full[near] | grid.full[i]]
             if len(some):
                 shared = np.isin(table[some], table[i][: len(lists[i])])
                 first = table[some, shared.argmax(1)]
@@ -472,6 +570,38 @@ def _settled(lists: DataFrame, comp: DataFrame, verifier: _Verifier, share: int)
     return found
 
 
+def _listed(docs: DataFrame, k: int, share: int, limit: int, known: dict[int, int], entries: float, only, bits: int):
+    """One round of the index: pairs (a, b) that may link, the entries of long lists (key, node, size, subset), and the
+    paths of both."""
+    spark = docs.sparkSession
+    # at most HOT frequent shingles and those that long lists taught, of which the order alone depends
+    order = np.array(sorted(known), np.int64).view(np.uint64)
+    order.sort()
+    hot = spark.sparkContext.broadcast((order, np.array([known[x] for x in order.view(np.int64).tolist()], np.int64)))
+    buckets = int(max(12, min(8192, entries // 600_000)))
+    listed, listed_at = stored_at(
+        docs.mapInArrow(_index(k, share, limit, hot, buckets, 8192, only, bits), "bucket int, keys binary, nodes binary, sizes binary, flags binary")
+        .groupBy("bucket").applyInArrow(_one(_lists(share, limit, 1 << 16)), LISTED), "lists")
+    hot.destroy()
+    release(spark)
+    held = listed.where("kind = 1").select(F.col("a").alias("key"), F.col("b").alias("node"), F.col("c").alias("size"), F.col("d").alias("subset"))
+    # how many entries of each set the pairs' counts may lack
+    hidden, hidden_at = stored_at(held.groupBy("node").agg(F.sum(1 - F.col("subset")).alias("tokens"), F.sum("subset").alias("subsets")), "hidden")
+    pairs = (listed.where("kind = 0").select("a", "b", F.col("d").alias("sa"), F.col("e").alias("sb"), F.col("c").alias("shared"))
+             .groupBy("a", "b").agg(F.first("sa").alias("sa"), F.first("sb").alias("sb"), F.sum("shared").alias("shared")))
+    ha, hb = (hidden.select(F.col("node").alias(f"n{x}"), F.col("tokens").alias(f"t{x}"), F.col("subsets").alias(f"u{x}")) for x in "ab")
+    beside = pairs.join(ha, F.col("a") == F.col("na"), "left").join(hb, F.col("b") == F.col("nb"), "left")
+    lacks = lambda x: F.least(F.coalesce(f"{x}a", F.lit(0)), F.coalesce(f"{x}b", F.lit(0)))
+    more = F.when(_by_subsets(share, limit, F.col("sa"), F.col("sb")), lacks("u")).otherwise(lacks("t"))
+    near, near_at = stored_at(beside.where(_enough(share, limit, F.col("shared") + more, F.col("sa"), F.col("sb"))).select("a", "b"), "counted")
+    forget(spark, hidden_at)
+    return near, held, [listed_at, near_at]
+
+
+def _all_of(parts: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, parts)
+
+
 def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, share: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id, representative) for every row of docs.
 
@@ -484,40 +614,48 @@ def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     rows = scanned.where("kind = 0").select(F.col("a").alias("doc_id"), F.col("b").alias("n"), F.col("c").alias("node"))
     # at most HOT frequent shingles, of which the order alone depends
     often = scanned.where("kind = 1").groupBy("a").agg(F.sum("b").alias("n")).where("n >= 32").orderBy(F.desc("n"), "a").limit(HOT).toArrow()
-    keys, counts = often.column(0).to_numpy().astype(np.int64).view(np.uint64), often.column(1).to_numpy()
-    order = np.argsort(keys)
-    sizes = [(int(r[0]), int(r[1])) for r in rows.where("n between 4 and 1000").groupBy("n").count().collect()]
+    known = dict(zip(often.column(0).to_pylist(), often.column(1).to_pylist(), strict=True))
+    alone = next((n for n in range(1, 101) if not _alone(n, share)), 1 << 30)
+    sizes = [(int(r[0]), int(r[1])) for r in rows.where(f"n between {alone} and 1000").groupBy("n").count().collect()]
     limit = boundary(sizes, share)
-    entries = rows.agg(F.sum(F.col("n") * (100 - share) / 100 + 1)).first()[0] or 0
-    buckets = int(max(12, min(8192, entries // 600_000)))
     nodes, nodes_at = stored_at(rows.where("n > 0").groupBy("node").agg(F.min("doc_id").alias("doc_id")), "nodes")
-    listed, listed_at = stored_at(
-        docs.select("text").mapInArrow(_index(k, share, limit, spark.sparkContext.broadcast((keys[order], counts[order])), buckets, 8192), "bucket int, keys binary, nodes binary, sizes binary, flags binary")
-        .groupBy("bucket").applyInArrow(_one(_lists(share, limit, 1 << 16)), LISTED), "lists")
-    release(spark)
-    held = listed.where("kind = 1").select(F.col("a").alias("key"), F.col("b").alias("node"), F.col("c").alias("size"), F.col("d").alias("subset"))
-    # how many entries of each set the pairs' counts may lack
-    hidden, hidden_at = stored_at(held.groupBy("node").agg(F.sum(1 - F.col("subset")).alias("tokens"), F.sum("subset").alias("subsets")), "hidden")
-    lists, lists_at = stored_at(held.join(hidden.withColumnRenamed("node", "n0"), F.col("node") == F.col("n0")).select("key", "node", "size", "tokens", "subsets"), "long")
-    pairs = listed.where("kind = 0").select("a", "b", F.col("d").alias("sa"), F.col("e").alias("sb"), F.col("c").alias("shared"))
-    pairs, pairs_at = stored_at(pairs.unionByName(_stars(lists, share).withColumn("shared", F.lit(0).cast("bigint")))
-                                .groupBy("a", "b").agg(F.first("sa").alias("sa"), F.first("sb").alias("sb"), F.sum("shared").alias("shared")), "counted")
-    ha, hb = (hidden.select(F.col("node").alias(f"n{x}"), F.col("tokens").alias(f"t{x}"), F.col("subsets").alias(f"u{x}")) for x in "ab")
-    known = pairs.join(ha, F.col("a") == F.col("na"), "left").join(hb, F.col("b") == F.col("nb"), "left")
-    more = F.when(F.greatest("sa", "sb") <= limit, F.least(F.coalesce("ua", F.lit(0)), F.coalesce("ub", F.lit(0)))).otherwise(F.least(F.coalesce("ta", F.lit(0)), F.coalesce("tb", F.lit(0))))
     verifier = _Verifier(docs, nodes, k, share)
-    links, made = verifier.links(known.where(_enough(share, limit, F.col("shared") + more, F.col("sa"), F.col("sb"))).select("a", "b"))
+    pairs, lists, used = [], [], [nodes_at]
+    only, bits, tokens, many = None, 0, *rows.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
+    entries = tokens * (100 - share) / 100 + many
+    for turn in range(ROUNDS + 1):
+        near, long, made = _listed(docs, k, share, limit, known, entries, only, bits)
+        pairs.append(near)
+        used += made
+        if only is not None:
+            only.destroy()
+        lengths = long.where("subset = 0").groupBy("key").agg(F.count("*").alias("n"))
+        learnt = [] if turn == ROUNDS else [r for r in lengths.orderBy(F.desc("n"), "key").limit(HOT).collect() if r["key"] not in known]
+        # comparing such lists in blocks must cost more than another scan does
+        if not learnt or sum(r["n"] ** 2 for r in learnt) * PAIR < tokens:
+            lists.append(long)
+            break
+        fresh = spark.createDataFrame(pa.table({"k0": pa.array([r["key"] for r in learnt], pa.int64())}))
+        again, again_at = stored_at(long.join(F.broadcast(fresh), F.col("key") == F.col("k0"), "left_semi"), "again")
+        lists.append(long.join(F.broadcast(fresh), F.col("key") == F.col("k0"), "left_anti"))
+        known |= {r["key"]: r["n"] for r in learnt}
+        entries = again.select("node", "size").distinct().agg(F.sum(F.col("size") * (100 - share) / 100 + 1)).first()[0] or 0
+        only, bits, _ = verifier.rows_of(again.select(F.col("node").alias("end")).distinct())
+        used.append(again_at)
+        release(spark)
+    lists, lists_at = stored_at(_all_of(lists).select("key", "node", "size").distinct(), "long")
+    links, made = verifier.links(_all_of([*pairs, _stars(lists, share)]).distinct())
+    used += [lists_at, *made]
     release(spark)
     comp = components(links)
     extra = _settled(lists, comp, verifier, share)
     release(spark)
     if not extra.isEmpty():
         comp = components(links.unionByName(extra))
-    forget(spark, listed_at, hidden_at, lists_at, pairs_at, *made)
     named = nodes.join(comp.select(F.col("node").alias("n0"), "comp"), F.col("node") == F.col("n0"), "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
     least = stored_at(named.groupBy("comp").agg(F.min("doc_id").alias("component_id")), "least")[0]
     classes = stored_at(named.join(least.withColumnRenamed("comp", "c0"), F.col("comp") == F.col("c0")).select(F.col("node").alias("n1"), "component_id"), "classes")[0]
-    forget(spark, nodes_at)
+    forget(spark, *used)
     return (rows.join(classes, (F.col("node") == F.col("n1")) & (F.col("n") > 0), "left")
             .select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
             .withColumn("representative", F.col("doc_id") == F.col("component_id")))

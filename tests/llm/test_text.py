@@ -24,14 +24,14 @@ def docs(spark, texts):
     return spark.createDataFrame([(i, t, "en", "s", None) for i, t in enumerate(texts)], DOC)
 
 
-def shingles(t):
+def shingles(t, k=5):
     low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in t or "")
     w = re.findall("[^\x20\x09-\x0d]+", low)
-    return {tuple(w[i : i + 5]) for i in range(len(w) - 4)} if len(w) >= 5 else {tuple(w)} if w else set()
+    return {tuple(w[i : i + k]) for i in range(len(w) - k + 1)} if len(w) >= k else {tuple(w)} if w else set()
 
 
-def brute(texts):
-    sets, up = [shingles(t) for t in texts], list(range(len(texts)))
+def brute(texts, k=5, share=80):
+    sets, up = [shingles(t, k) for t in texts], list(range(len(texts)))
 
     def top(x):
         while up[x] != x:
@@ -40,7 +40,7 @@ def brute(texts):
 
     for i, a in enumerate(sets):
         for j in range(i):
-            if a and sets[j] and 100 * len(a & sets[j]) >= 80 * len(a | sets[j]) and top(i) != top(j):
+            if a and sets[j] and 100 * len(a & sets[j]) >= share * len(a | sets[j]) and top(i) != top(j):
                 x, y = sorted((top(i), top(j)))
                 up[y] = x
     return [(i, len(s), top(i)) for i, s in enumerate(sets)]
@@ -66,6 +66,45 @@ def test_jaccard_equals_brute_force(spark, seed):
     assert got == brute(texts)
 
 
+@pytest.mark.parametrize("k,share", [(1, 50), (2, 50), (1, 34), (3, 65), (2, 90), (5, 100)])
+def test_jaccard_at_other_settings(spark, monkeypatch, k, share):
+    monkeypatch.setattr("subsetheavy.llm.jaccard.LIST", 8)
+    rng = random.Random(k * share)
+    vocab = [f"w{i}" for i in range(60)]
+    texts = ["a b c", "b c", "a", "a b", "c", "x y", "y x z"]
+    texts += [" ".join(rng.choice(vocab) for _ in range(rng.choice([1, 2, 3, 4, 6, 9, 20]))) for _ in range(150)]
+    base = [rng.choice(vocab) for _ in range(50)]
+    for _ in range(40):
+        w = list(base)
+        for _ in range(rng.randrange(8)):
+            w[rng.randrange(50)] = rng.choice(vocab)
+        texts.append(" ".join(w))
+    got = sorted((r["doc_id"], r["n_shingles"], r["component_id"]) for r in jaccard_classes(docs(spark, texts), k=k, share=share).collect())
+    assert got == brute(texts, k, share)
+
+
+def test_cells_never_hide_a_link():
+    import pyarrow as pa
+
+    from subsetheavy.llm import jaccard as jc
+
+    rng = np.random.default_rng(5)
+    one, two = [], []
+    for n in (3, 17, 40, 300, 5000, 20_000):
+        for cut in (0.01, 0.08, 0.1, 0.105, 0.2, 0.5):
+            x = np.unique(rng.integers(0, 2**63, n, dtype=np.uint64))
+            gone = max(1, int(cut * n))
+            y = np.unique(np.concatenate([x[gone:], rng.integers(0, 2**63, gone, dtype=np.uint64)]))
+            one.append(x), two.append(y[: rng.integers(len(y) * 4 // 5, len(y) + 1)])
+    full = np.full(4000, 3, np.uint64) + np.arange(4000, dtype=np.uint64) * np.uint64(1 << 20)  # all in one cell
+    one.append(full), two.append(full[5:])
+    cells = [pa.array([jc._cells(x) for x in side], pa.binary()) for side in (one, two)]
+    at = pa.array(range(len(one)), pa.int64())
+    kept = next(jc._may_link(80)(iter([pa.RecordBatch.from_arrays([at, at, *cells], names=list("abxy"))])))
+    linked = {i for i in range(len(one)) if jc._links(one[i], two[i], 80)}
+    assert linked <= set(kept.column(0).to_pylist()) and len(one) - 1 in linked and kept.num_rows < len(one) * 2 // 3
+
+
 def test_jaccard_with_null_ids(spark):
     rng = random.Random(7)
     vocab = [f"w{i}" for i in range(400)]
