@@ -1,7 +1,7 @@
 """Best-fit packing into bins of several permitted lengths.
 
-Documents are cut into pieces of at most the largest length; a shard of documents (by hash of their id, so that it fits
-a task) is packed by best fit, longest piece first: a piece goes to the open bin that it leaves the least room in, and
+Documents are cut into pieces of at most the largest length; a shard of documents (by hash, so that it fits
+a task; rows that repeat are counted first and dealt by number, so that no id makes a shard) is packed by best fit, longest piece first: a piece goes to the open bin that it leaves the least room in, and
 where none has room, to a new bin of the length with the least cost for each id that it can be expected to hold. When
 all pieces are placed, each bin is downsized to the least permitted length that holds its contents. That is done for
 each permitted length as the largest to open, so the lengths are chosen jointly, and the plan of least cost is kept.
@@ -24,6 +24,8 @@ from .common import stored
 
 LENGTHS = (512, 1024, 2048, 4096, 8192)
 SHARD_IDS, SHARD_ROWS = 1 << 24, 1 << 15
+#: Equal rows that one shard takes together.
+COPIES = 256
 PACKED = "doc_id bigint, piece int, doc_start bigint, n_tokens bigint, bin_id bigint, bin_start bigint, bin_length bigint"
 
 
@@ -69,14 +71,15 @@ def _pack_shard(lengths: tuple[int, ...]):
     most = lengths[-1]
 
     def go(key, t):
-        doc, n = t.column("doc_id"), t.column("n_tokens").fill_null(0).to_numpy()
+        copies = np.repeat(np.arange(t.num_rows), t.column("copies").to_numpy())
+        doc, n = t.column("doc_id").take(pa.array(copies)), t.column("n_tokens").fill_null(0).to_numpy()[copies]
         n = np.maximum(n, 0)
         pieces = np.maximum(-(-n // most), 1)
         row = np.repeat(np.arange(len(n)), pieces)
         piece = np.arange(len(row)) - np.repeat(np.cumsum(pieces) - pieces, pieces)
         size = np.minimum(n[row] - piece * most, most)
         ids = doc.fill_null(0).to_numpy()
-        order = np.lexsort((piece, ids[row], -size))
+        order = np.lexsort((piece, n[row], ids[row], -size))
         row, piece, size = row[order], piece[order], size[order]
         full = size > 0
         where, place, length = np.full(len(row), -1, np.int64), np.zeros(len(row), np.int64), np.zeros(len(row), np.int64)
@@ -95,4 +98,6 @@ def packed(sized: DataFrame, lengths: tuple[int, ...] = LENGTHS, id_col: str = "
     sized = stored(sized.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(size_col).cast("bigint").alias("n_tokens")), "sized")
     rows, ids = sized.agg(F.count("*"), F.sum("n_tokens")).first()
     shards = max(1, -(-rows // SHARD_ROWS), -(-(ids or 0) // SHARD_IDS))
-    return sized.withColumn("shard", F.pmod(F.xxhash64("doc_id"), F.lit(shards))).groupBy("shard").applyInArrow(_pack_shard(lengths), PACKED)
+    counted = sized.groupBy("doc_id", "n_tokens").agg(F.count("*").alias("n")).withColumn("part", F.explode(F.sequence(F.lit(0), F.ceil(F.col("n") / COPIES) - 1)))
+    dealt = counted.withColumn("copies", F.least(F.lit(COPIES), F.col("n") - COPIES * F.col("part"))).withColumn("shard", F.pmod(F.xxhash64("doc_id", "n_tokens", "part"), F.lit(shards)))
+    return dealt.select("shard", "doc_id", "n_tokens", "copies").groupBy("shard").applyInArrow(_pack_shard(lengths), PACKED)

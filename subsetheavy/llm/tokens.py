@@ -1,9 +1,10 @@
 """Token ids and their binary files.
 
-Texts are encoded with a public byte-level BPE file by the tokenizers library. That encoder works on pieces (a word
-with its space, a number, a run of signs or of white space) one by one, so each worker keeps the ids of the pieces that
-it has met and asks the library for new ones alone; a text with characters outside the plain range, or with a special
-token's string, goes to the library whole. The ids are the same either way.
+Texts are encoded with a public byte-level BPE file by the tokenizers library. That encoder never looks across a single
+space that has another sign than white space beside it, so a text falls into words (each with the space before it), and
+each worker keeps the ids of the words that it has met and asks the library for new ones alone. A text
+with white space other than spaces and line ends, runs of spaces, a special token's string or letters beyond Latin goes
+to the library whole. The ids are the same either way. What is kept is bounded in number and length.
 
 File format, one shard for each range of document ids: records framed as length (u64), masked CRC-32C of the length,
 payload, masked CRC-32C of the payload, all little-endian. A payload is the document's id (i64, least value: null), the
@@ -31,34 +32,51 @@ from pyspark.sql import functions as F
 from .common import scratch
 
 END, NO_ID = 2, -(2**63)
-#: The pieces of byte-level BPE.
-_PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+")
-#: Characters on whose kind the pattern above and the library agree.
-_PLAIN = re.compile(r"[\t\n\r\x20-\x7eÀ-ÖØ-öø-ɏ]*")
-_KEEP = 600_000
+#: Characters of which only the space and the line end are white space.
+_PLAIN = re.compile(r"[\n\x20-\x7eÀ-ÖØ-öø-ɏ]*")
+#: White space, and signs that the pattern above leaves out, of ASCII texts.
+_ODD = ("\t", "\r", "\x0b", "\x0c", "\x1c", "\x1d", "\x1e", "\x1f", "\0")
+#: Words kept in each of two generations, and the longest that is kept.
+_KEEP, _LONG = 150_000, 48
+#: Signs that often follow a word.
+_SIGNS = ".,;:!?)*$\""
 _HEAD, _INDEX = struct.Struct("<QI"), np.dtype([("doc", "<i8"), ("at", "<u8"), ("n", "<u8")])
 
 
-@lru_cache(1)
-def _byte_signs() -> dict[int, str]:
-    """The sign by which byte-level vocabularies write each byte: printable ones themselves, the rest from 256 on."""
-    kept = [*range(33, 127), *range(161, 173), *range(174, 256)]
-    rest = [b for b in range(256) if b not in kept]
-    return {b: chr(b) for b in kept} | {b: chr(256 + i) for i, b in enumerate(rest)}
+def _by_words(text: str) -> bool:
+    """Whether the encoder cuts the text at each of its spaces, whatever stands around them."""
+    if "  " in text or "\n \n" in text or text[-1:] == " ":
+        return False
+    return not any(c in text for c in _ODD) if text.isascii() else _PLAIN.fullmatch(text) is not None
 
 
 class _Known(dict):
-    """Ids of pieces in two generations: when the new one is full it becomes the old one, and what is met again moves
-    back, so frequent pieces stay and memory is bounded."""
+    """Ids of words in two generations: when the new one is full it becomes the old one, and what is met again moves
+    back, so frequent words stay and memory is bounded. Words that neither has are learnt, and kept unless long."""
 
-    def __init__(self):
+    def __init__(self, learn):
         super().__init__()
         self.old: dict[str, bytes] = {}
-
-    def __missing__(self, piece: str) -> bytes:
-        found = self[piece] = self.old[piece]
+        self.learn = learn
+
+    def __missing__(self, word: str) -> bytes:
+        found = self.old.get(word)
+        if found is None:
+            found = self._parts(word)
+        if len(word) <= _LONG:
+            self[word] = found
         return found
 
+    def _parts(self, word: str) -> bytes:
+        """Of a word that is not known: a single line end inside and the signs after a letter or digit stand alone."""
+        head, end, rest = word.partition("\n")
+        if end and head.strip("\0") and rest[:1] not in ("", "\n"):
+            return self[head] + self["\0\n"] + self["\0" + rest]
+        core = word.rstrip(_SIGNS)
+        if core != word and core[-1:].isalnum():
+            return self[core] + self["\0" + word[len(core) :]]
+        return self.learn(word[1:] if word[:1] == "\0" else " " + word)
+
     def turn(self) -> None:
         if len(self) > _KEEP:
             self.old = dict(self)
@@ -73,38 +91,23 @@ class Encoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         before = self.tokenizer.pre_tokenizer
-        self.by_piece = self.tokenizer.normalizer is None and isinstance(before, pre_tokenizers.ByteLevel) and not before.add_prefix_space
-        self.model = self.tokenizer.model
+        self.by_word = self.tokenizer.normalizer is None and isinstance(before, pre_tokenizers.ByteLevel) and before.use_regex and not before.add_prefix_space
         self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
-        self.known = _Known()
+        self.known = _Known(self.library)
 
-    def library(self, texts: list[str]) -> list[bytes]:
-        return [np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, self.kind).tobytes() for t in texts]
-
-    def _learn(self, new: list[str]) -> None:
-        signs, cut, put = _byte_signs(), self.model.tokenize, self.known
-        for p in new:
-            put[p] = np.array([t.id for t in cut(p.encode().decode("latin-1").translate(signs))], self.kind).tobytes()
+    def library(self, text: str) -> bytes:
+        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, self.kind).tobytes()
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        out: list[bytes | None] = [None] * len(texts)
-        self.known.turn()
-        known, later, new = self.known, {}, set()
-        for i, t in enumerate(texts):
-            if not self.by_piece or not _PLAIN.fullmatch(t) or any(s in t for s in self.special):
-                out[i] = self.library([t])[0]
-                continue
-            pieces = _PIECE.findall(t)
-            try:
-                out[i] = b"".join(map(known.__getitem__, pieces))
-            except KeyError:
-                later[i] = pieces
-                new.update(p for p in set(pieces) if p not in known and p not in known.old)
-        if new:
-            self._learn(list(new))
-        for i, pieces in later.items():
-            out[i] = b"".join(map(known.__getitem__, pieces))
+        out = []
+        for t in texts:
+            self.known.turn()
+            if not self.by_word or not _by_words(t) or any(s in t for s in self.special):
+                out.append(self.library(t))
+            else:
+                first, *words = t.split(" ")
+                out.append(b"".join(map(self.known.__getitem__, ["\0" + first, *words])))  # the first has no space before it
         return out
 
 
@@ -273,9 +276,12 @@ def _writer(tokenizer: str, folder: str, end: int | None):
 
 def write_ids(docs: DataFrame, tokenizer: str, folder: str | None = None, end: int | None = END, id_col: str = "doc_id", text_col: str = "text") -> list[dict]:
     """Write all documents' ids, ascending by document id over the shards in order, and return the shards: path, docs,
-    ids and start (ids in the shards before). folder: a URI that every executor reaches."""
+    ids and start (ids in the shards before). folder: a URI that every executor reaches. Rows without an id come first.
+    Rows that repeat an id are in the order of their text's hash and then text, and may lie in several shards, so the
+    order is the same whatever the partitions, and one id with many rows is not one task's."""
     folder = folder or f"{scratch(docs.sparkSession)}/ids-{uuid.uuid4().hex}"
-    dealt = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).repartitionByRange("doc_id").sortWithinPartitions("doc_id")
+    rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("mark", F.xxhash64("text"))
+    dealt = rows.repartitionByRange("doc_id", "mark").sortWithinPartitions("doc_id", "mark", "text").select("doc_id", "text")
     made = sorted(dealt.mapInArrow(_writer(tokenizer, folder, end), "shard int, path string, docs bigint, ids bigint").collect(), key=lambda r: r["shard"])
     start, out = 0, []
     for r in made:

@@ -166,6 +166,28 @@ def test_ids_round_trip(spark):
         list(tk.records(bytes(bad)))
 
 
+def test_words_give_the_librarys_ids():
+    from tokenizers import Tokenizer
+
+    enc, lib, rng = tk.Encoder(tokenizer_file()), Tokenizer.from_file(tokenizer_file()), random.Random(1)
+    parts = ["a", "b c", " ", "\n", "x", "'s", "don't", "1", "  ", "\t", ".", "é", "ß", "日", "\xa0", "_", "\n ", "  \n", "Z", "!!", "\r", "\0", "<|endoftext|>", "word,", "a.\nB", "$$ "]
+    texts = ["".join(rng.choice(parts) for _ in range(rng.randrange(14))) for _ in range(8000)]
+    for size in (3, 150_000):  # the words that are kept turn over, or stay
+        tk._KEEP, before = size, tk._KEEP
+        assert [np.frombuffer(x, enc.kind).tolist() for x in enc.encode(texts)] == [lib.encode(t, add_special_tokens=False).ids for t in texts]
+        tk._KEEP = before
+
+
+def test_ids_of_repeated_and_null_ids(spark):
+    rows = [(3, "b"), (1, "z z"), (1, "a"), (None, "n"), (1, "a"), (2, ""), (None, None), (1, "q")] * 3
+    frame = spark.createDataFrame(rows, "doc_id bigint, text string")
+    got = [[tuple(r) for r in tk.read_ids(spark, tk.write_ids(frame.repartition(n, "text") if n < 9 else frame.repartition(n), tokenizer_file())).collect()] for n in (1, 4, 9)]
+    assert sorted(got[0], key=lambda r: r[1]) == sorted(got[1], key=lambda r: r[1]) == sorted(got[2], key=lambda r: r[1])
+    order = sorted(got[0], key=lambda r: r[1])
+    assert [r[0] for r in order] == [None] * 6 + [1] * 12 + [2] * 3 + [3] * 3
+    assert [b[1] - a[1] for a, b in zip(order, order[1:])] == [r[2] for r in order[:-1]]
+
+
 def test_packing():
     sizes = np.sort(np.random.default_rng(1).integers(1, 8193, 400))[::-1]
     _, where, place, length = pk.pack(sizes, pk.LENGTHS)
@@ -180,6 +202,20 @@ def test_packing_rows(spark):
     assert sum(r["n_tokens"] for r in got if r["doc_id"] == 1) == 20_000 and sum(r["doc_id"] == 3 for r in got) == 2 and [r["bin_id"] for r in got if r["doc_id"] == 2] == [None]
 
 
+def test_packing_deals_a_repeated_id(spark, monkeypatch):
+    monkeypatch.setattr(pk, "SHARD_ROWS", 64)
+    monkeypatch.setattr(pk, "COPIES", 16)
+    rows = [(None, 700)] * 300 + [(5, n) for n in range(1, 200)] + [(6, 9000)] * 40
+    frame = spark.createDataFrame(rows, "doc_id bigint, n_tokens bigint")
+    got = [sorted(map(tuple, pk.packed(frame.repartition(n)).collect()), key=str) for n in (1, 5)]
+    assert got[0] == got[1] and len(got[0]) == 300 + 199 + 80
+    shards = {r[4] >> 32 for r in got[0] if r[0] is None}
+    assert len(shards) > 3
+    for b in {r[4] for r in got[0]}:
+        spans = sorted((r[5], r[5] + r[3], r[6]) for r in got[0] if r[4] == b)
+        assert spans[0][0] == 0 and all(x[1] == y[0] for x, y in zip(spans, spans[1:])) and spans[-1][1] <= spans[0][2]
+
+
 def test_leaks(spark):
     rng = random.Random(3)
     word = lambda: "".join(rng.choice("abcdefghij") for _ in range(6))
