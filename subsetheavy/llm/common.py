@@ -5,6 +5,7 @@ from __future__ import annotations
 import gc
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -45,6 +46,18 @@ def release(spark: SparkSession) -> None:
     spark._jvm.System.gc()
 
 
+_kept: dict[str, Callable[[], object]] = {}
+
+
+def begins(owner: str, clear: Callable[[], object] | None = None) -> None:
+    """Called in a worker where an operator's work begins: what other operators keep there from task to task is let go.
+    clear: how to let go of this one's."""
+    for name in [n for n in _kept if n != owner]:
+        _kept.pop(name)()
+    if clear is not None:
+        _kept[owner] = clear
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

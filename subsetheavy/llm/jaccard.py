@@ -38,7 +38,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textscan as ts
-from .common import components, forget, release, stored_at
+from .common import begins, components, forget, release, stored_at
 
 #: Longest list whose pairs are all made at once.
 LIST = 32
@@ -75,6 +75,7 @@ def _scan(k: int):
     """For each row (0, id, set size, fingerprint); for each task its frequent shingles (1, shingle, count, null)."""
 
     def go(batches):
+        begins("jaccard")
         seen = ts.Frequent()
         for batch in batches:
             for lo, hi, data, offs in ts.runs(batch.column(1)):

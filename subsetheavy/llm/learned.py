@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textscan as ts
-from .common import fold
+from .common import begins, fold
 
 #: A score at which a row is predicted 1; the cut found on held-back sample rows is moved there.
 LINE = 0.7
@@ -48,6 +48,7 @@ def scored_docs(docs: DataFrame, margins, cut: float, id_col: str, text_col: str
     """(doc_id, held_out, score, predicted) for each row; margins(bytes, offsets) gives one margin a document."""
 
     def work(batches):
+        begins("learned")
         for batch in batches:
             score = np.concatenate([np.zeros(0), *(scored(margins(data, offs), cut) for _, _, data, offs in ts.runs(batch.column(1)))])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(score)], names=["doc_id", "score"])
@@ -60,6 +61,7 @@ def kept_docs(docs: DataFrame, margins, cut: float, text_col: str) -> DataFrame:
     """The rows of docs, all columns, whose score is at least the line."""
 
     def work(batches):
+        begins("learned")
         for batch in batches:
             score = np.concatenate([np.zeros(0), *(scored(margins(data, offs), cut) for _, _, data, offs in ts.runs(batch.column(batch.schema.get_field_index(text_col))))])
             yield batch.filter(pa.array(score >= LINE))

@@ -20,6 +20,7 @@ import re
 import struct
 import uuid
 import zlib
+from array import array
 from functools import lru_cache
 
 import numpy as np
@@ -29,7 +30,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import scratch
+from .common import begins, scratch
 
 END, NO_ID = 2, -(2**63)
 #: Characters of which only the space and the line end are white space.
@@ -37,7 +38,9 @@ _PLAIN = re.compile(r"[\n\x20-\x7eÀ-ÖØ-öø-ɏ]*")
 #: White space, and signs that the pattern above leaves out, of ASCII texts.
 _ODD = ("\t", "\r", "\x0b", "\x0c", "\x1c", "\x1d", "\x1e", "\x1f", "\0")
 #: Words kept in each of two generations, and the longest that is kept.
-_KEEP, _LONG = 150_000, 48
+_KEEP, _LONG = 500_000, 48
+#: The sign by which byte-level vocabularies write a space.
+SPACE = "Ġ"
 #: Signs that often follow a word.
 _SIGNS = ".,;:!?)*$\""
 _HEAD, _INDEX = struct.Struct("<QI"), np.dtype([("doc", "<i8"), ("at", "<u8"), ("n", "<u8")])
@@ -69,13 +72,14 @@ class _Known(dict):
 
     def _parts(self, word: str) -> bytes:
         """Of a word that is not known: a single line end inside and the signs after a letter or digit stand alone."""
-        head, end, rest = word.partition("\n")
-        if end and head.strip("\0") and rest[:1] not in ("", "\n"):
-            return self[head] + self["\0\n"] + self["\0" + rest]
-        core = word.rstrip(_SIGNS)
-        if core != word and core[-1:].isalnum():
-            return self[core] + self["\0" + word[len(core) :]]
-        return self.learn(word[1:] if word[:1] == "\0" else " " + word)
+        if not word.isalpha():
+            head, end, rest = word.partition("\n")
+            if end and head.strip("\0") and rest[:1] not in ("", "\n"):
+                return self[head] + self["\0\n"] + self["\0" + rest]
+            core = word.rstrip(_SIGNS)
+            if core != word and core[-1:].isalnum():
+                return self[core] + self["\0" + word[len(core) :]]
+        return self.learn(word)
 
     def turn(self) -> None:
         if len(self) > _KEEP:
@@ -94,10 +98,17 @@ class Encoder:
         self.by_word = self.tokenizer.normalizer is None and isinstance(before, pre_tokenizers.ByteLevel) and before.use_regex and not before.add_prefix_space
         self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
-        self.known = _Known(self.library)
+        self.cut, self.code = self.tokenizer.model.tokenize, "H" if self.kind.itemsize == 2 else "I"
+        self.known = _Known(self.word)
 
     def library(self, text: str) -> bytes:
-        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, self.kind).tobytes()
+        return array(self.code, self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
+
+    def word(self, word: str) -> bytes:
+        """Ids of a word with the space before it, which is none where it starts with the null sign."""
+        if word.isascii() and word.isalpha():  # one piece, of letters that byte-level vocabularies write as they are
+            return array(self.code, [t.id for t in self.cut(SPACE + word)]).tobytes()
+        return self.library(word[1:] if word[:1] == "\0" else " " + word)
 
     def encode(self, texts: list[str]) -> list[bytes]:
         out = []
@@ -111,12 +122,18 @@ class Encoder:
         return out
 
 
-@lru_cache(2)
-def encoder(path: str) -> Encoder:
+@lru_cache(1)
+def _encoder(path: str) -> Encoder:
     os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
     return Encoder(path)
 
 
+def encoder(path: str) -> Encoder:
+    """The worker's encoder, kept from task to task until another operator's work begins there."""
+    begins("tokens", _encoder.cache_clear)
+    return _encoder(path)
+
+
 def some_texts(col: pa.Array, chars: int = 1 << 18):
     """(first row, texts) for runs of rows of about so many characters; null is empty."""
     lo, size, held = 0, 0, []
