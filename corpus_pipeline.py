@@ -3,11 +3,10 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from subsetheavy.llm.common import stored, table
 from subsetheavy.llm.decontamination import clean_docs
-from subsetheavy.llm.jaccard import jaccard_classes
+from subsetheavy.llm.jaccard import distinct_docs
 from subsetheavy.llm.packing import packed
 from subsetheavy.llm.quality import good_docs
 from subsetheavy.llm.queries import tokenizer_file
@@ -24,14 +23,9 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of linked shingle sets stays, that of the least doc_id. Of rows that repeat an id one
-    stays; rows without an id can't be told apart and stay."""
-    docs = docs.select(*COLUMNS)
-    kept = stored(jaccard_classes(docs).where("representative").groupBy(F.col("doc_id").alias("kept_id")).count(), "kept")
-    out = docs.join(kept, docs["doc_id"] == kept["kept_id"], "left_semi")
-    if not kept.where("count > 1").isEmpty():
-        out = out.dropDuplicates(["doc_id"])
-    return out.unionByName(docs.where("doc_id is null"))
+    """One document of each group of linked shingle sets stays, that of the least doc_id. Rows are decided one by one:
+    ids may repeat or be null."""
+    return distinct_docs(docs.select(*COLUMNS))
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

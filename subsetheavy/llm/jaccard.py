@@ -36,6 +36,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as t
 
 from . import textscan as ts
 from .common import begins, components, forget, release, stored_at
@@ -603,12 +604,8 @@ def _all_of(parts: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
 
-def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, share: int = 80) -> DataFrame:
-    """(doc_id, n_shingles, component_id, representative) for every row of docs.
-
-    component_id is the least id reachable by links; representative says whether the row's set is the one kept for its
-    component (ties: a row's own id equals the component's).
-    """
+def _classes(docs: DataFrame, id_col: str, text_col: str, k: int, share: int) -> tuple[DataFrame, DataFrame]:
+    """Rows (doc_id, n, node) of all documents, and (node, doc_id, comp) of all sets: its least id and its component."""
     spark = docs.sparkSession
     docs = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
     scanned, scanned_at = stored_at(docs.mapInArrow(_scan(k), SCAN_TABLE), "scan")
@@ -654,14 +651,71 @@ def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     if not extra.isEmpty():
         comp = components(links.unionByName(extra))
     named = nodes.join(comp.select(F.col("node").alias("n0"), "comp"), F.col("node") == F.col("n0"), "left").select("node", "doc_id", F.coalesce("comp", "node").alias("comp"))
+    named = stored_at(named, "named")[0]
+    forget(spark, *used)
+    return rows, named
+
+
+def jaccard_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, share: int = 80) -> DataFrame:
+    """(doc_id, n_shingles, component_id, representative) for every row of docs.
+
+    component_id is the least id reachable by links; representative says whether the row's own id is the component's.
+    """
+    rows, named = _classes(docs, id_col, text_col, k, share)
     least = stored_at(named.groupBy("comp").agg(F.min("doc_id").alias("component_id")), "least")[0]
     classes = stored_at(named.join(least.withColumnRenamed("comp", "c0"), F.col("comp") == F.col("c0")).select(F.col("node").alias("n1"), "component_id"), "classes")[0]
-    forget(spark, *used)
     return (rows.join(classes, (F.col("node") == F.col("n1")) & (F.col("n") > 0), "left")
             .select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
             .withColumn("representative", F.col("doc_id") == F.col("component_id")))
 
 
+#: Columns that distinct_docs adds for a while; a table must not have them.
+_NODE, _SIZE = "__set", "__set_size"
+
+
+def _nodes_of(k: int, at: int):
+    """Each batch with its rows' set fingerprint and set size."""
+
+    def go(batches):
+        for batch in batches:
+            found, sizes = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+            for _, _, data, offs in ts.runs(batch.column(at)):
+                sets = list(ts.shingle_sets(data, offs, k))
+                size = np.array([len(s) for s in sets], np.int64)
+                found.append(fingerprints(np.concatenate(sets), np.concatenate([[0], np.cumsum(size)])))
+                sizes.append(size)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.concatenate(found)), pa.array(np.concatenate(sizes))], names=[*batch.schema.names, _NODE, _SIZE])
+
+    return go
+
+
+def distinct_docs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, share: int = 80) -> DataFrame:
+    """The rows of docs, all columns, one of each component: that of the least id (no id counts as the greatest), ties by
+    the set's fingerprint and then by a hash of the whole row. Rows are decided one by one, so ids may repeat or be null.
+    Rows without words link with nothing and all stay."""
+    if {_NODE, _SIZE} & set(docs.columns):
+        raise ValueError(f"columns {_NODE} and {_SIZE} are needed here")
+    rows, named = _classes(docs, id_col, text_col, k, share)
+    least = named.groupBy("comp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "node")).alias("e"))
+    kept = least.select(F.col("e.node").alias("k_node"), F.col("e.doc_id").alias("k_id"))
+    same = rows.join(kept, (F.col("node") == F.col("k_node")) & F.col("doc_id").eqNullSafe(F.col("k_id")) & (F.col("n") > 0)).groupBy("k_node", "k_id").agg(F.count("*").alias("same"))
+    kept = stored_at(same, "kept")[0]
+    many = kept.count()
+    made = docs.mapInArrow(_nodes_of(k, docs.columns.index(text_col)), t.StructType([*docs.schema.fields, t.StructField(_NODE, t.LongType()), t.StructField(_SIZE, t.LongType())]))
+
+    def of(some: DataFrame) -> DataFrame:
+        few = F.broadcast(some) if many <= FEW else some
+        return made.where(F.col(_SIZE) > 0).join(few, (F.col(_NODE) == F.col("k_node")) & F.col(id_col).cast("bigint").eqNullSafe(F.col("k_id")), "left_semi")
+
+    out = made.where(F.col(_SIZE) == 0).unionByName(of(kept.where("same = 1")))
+    if not kept.where("same > 1").isEmpty():
+        # maps have no order and no hash, so such columns don't count
+        plain = [f.name for f in docs.schema.fields if "map<" not in f.dataType.simpleString()]
+        again = of(kept.where("same > 1")).groupBy(_NODE, _SIZE).agg(F.min_by(F.struct(*docs.columns), F.struct(F.xxhash64(*plain), F.hash(*plain))).alias("__row"))
+        out = out.unionByName(again.select("__row.*", _NODE, _SIZE))
+    return out.select(*docs.columns)
+
+
 def _one(f):
     def go(t):
         got = list(f(t.to_batches()))

@@ -11,7 +11,7 @@ from subsetheavy.llm import secrets as sc
 from subsetheavy.llm import tokens as tk
 from subsetheavy.llm import urls as ur
 from subsetheavy.llm.embeddings import near_vectors
-from subsetheavy.llm.jaccard import jaccard_classes
+from subsetheavy.llm.jaccard import distinct_docs, jaccard_classes
 from subsetheavy.llm.language import languages
 from subsetheavy.llm.quality import quality_scores
 from subsetheavy.llm.queries import tokenizer_file
@@ -129,6 +129,29 @@ def test_jaccard_with_null_ids(spark):
     assert got == sorted(((ids[i], n, least.get(c)) for i, n, c in want), key=key)
 
 
+def test_distinct_docs_decides_rows_and_not_ids(spark):
+    a, b, c = "one two three four five six seven", "quite another text of seven words here", "One  two three four five\nsix seven"
+    rows = [(1, a, "x"), (2, a, "y"), (2, b, "y"), (None, b, "z"), (None, a, "z"), (5, a, "q"), (3, None, "n"), (3, "", "n"), (None, None, "n"), (1, c, "w"), (1, c, "w")]
+    frame = spark.createDataFrame(rows, "doc_id bigint, text string, node string")
+    for n in (1, 5):
+        got = sorted(((r["doc_id"], r["text"] or "", r["node"]) for r in distinct_docs(frame.repartition(n)).collect()), key=str)
+        first = [r for r in got if r[2] != "n"]
+        assert len(got) == 5 and (2, b, "y") in first and len(first) == 2 and [r[0] for r in first if r[1] != b] == [1]
+        if n == 1:
+            want = got
+        assert got == want
+    assert distinct_docs(frame.limit(0)).count() == 0 and distinct_docs(frame).columns == frame.columns
+
+
+def test_distinct_docs_equals_brute_force(spark):
+    rng = random.Random(9)
+    vocab = [f"w{i}" for i in range(300)]
+    texts = [None, ""] + [" ".join(rng.choice(vocab) for _ in range(rng.randrange(1, 60))) for _ in range(40)]
+    texts += [t + " end" for t in texts[10:30]] + texts[5:15]
+    want = [i for i, n, c in brute(texts) if c == i]
+    assert sorted(r["doc_id"] for r in distinct_docs(docs(spark, texts).repartition(3)).collect()) == want
+
+
 def test_jaccard_empty(spark):
     assert jaccard_classes(docs(spark, ["x"]).limit(0)).count() == 0
 
