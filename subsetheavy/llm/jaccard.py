@@ -39,7 +39,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as t
 
 from . import textscan as ts
-from .common import begins, components, forget, release, stored_at
+from .common import begins, components, forget, release, stored_at, tidied
 
 #: Longest list whose pairs are all made at once.
 LIST = 32
@@ -409,7 +409,7 @@ class _Verifier:
         """(node, set) of the nodes in column end, each once; cells: counts over cells in the place of sets."""
         ends, ends_at = stored_at(ends, "ends")
         field, bits, many = self.rows_of(ends)
-        read = self.docs.mapInArrow(_sets(self.k, field, bits, cells), "node bigint, set binary")
+        read = self.docs.mapInArrow(tidied(_sets(self.k, field, bits, cells)), "node bigint, set binary")
         made = stored_at(read.join(F.broadcast(ends) if many <= FEW else ends, F.col("node") == F.col("end"), "left_semi").dropDuplicates(["node"]), "sets")
         field.destroy()
         forget(ends.sparkSession, ends_at)
@@ -425,11 +425,11 @@ class _Verifier:
         every, every_at = stored_at(pairs.where("a <> b"), "pairs")
         ends = lambda p: p.select(F.explode(F.array("a", "b")).alias("end")).distinct()
         cells, cells_at = self.sets(ends(every), cells=True)
-        near = self._beside(every, cells).mapInArrow(_may_link(self.share), "a bigint, b bigint")
+        near = self._beside(every, cells).mapInArrow(tidied(_may_link(self.share)), "a bigint, b bigint")
         pairs, pairs_at = stored_at(near, "near")
         forget(spark, every_at, cells_at)
         sets, sets_at = self.sets(ends(pairs))
-        found, at = stored_at(self._beside(pairs, sets).mapInArrow(_verify(self.share), "a bigint, b bigint"), "links")
+        found, at = stored_at(self._beside(pairs, sets).mapInArrow(tidied(_verify(self.share)), "a bigint, b bigint"), "links")
         forget(spark, pairs_at, sets_at)
         return found, [at]
 
@@ -582,7 +582,7 @@ def _listed(docs: DataFrame, k: int, share: int, limit: int, known: dict[int, in
     hot = spark.sparkContext.broadcast((order, np.array([known[x] for x in order.view(np.int64).tolist()], np.int64)))
     buckets = int(max(12, min(8192, entries // 600_000)))
     listed, listed_at = stored_at(
-        docs.mapInArrow(_index(k, share, limit, hot, buckets, 8192, only, bits), "bucket int, keys binary, nodes binary, sizes binary, flags binary")
+        docs.mapInArrow(tidied(_index(k, share, limit, hot, buckets, 8192, only, bits)), "bucket int, keys binary, nodes binary, sizes binary, flags binary")
         .groupBy("bucket").applyInArrow(_one(_lists(share, limit, 1 << 16)), LISTED), "lists")
     hot.destroy()
     release(spark)
@@ -608,7 +608,7 @@ def _classes(docs: DataFrame, id_col: str, text_col: str, k: int, share: int) ->
     """Rows (doc_id, n, node) of all documents, and (node, doc_id, comp) of all sets: its least id and its component."""
     spark = docs.sparkSession
     docs = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
-    scanned, scanned_at = stored_at(docs.mapInArrow(_scan(k), SCAN_TABLE), "scan")
+    scanned, scanned_at = stored_at(docs.mapInArrow(tidied(_scan(k)), SCAN_TABLE), "scan")
     rows = scanned.where("kind = 0").select(F.col("a").alias("doc_id"), F.col("b").alias("n"), F.col("c").alias("node"))
     # at most HOT frequent shingles, of which the order alone depends
     often = scanned.where("kind = 1").groupBy("a").agg(F.sum("b").alias("n")).where("n >= 32").orderBy(F.desc("n"), "a").limit(HOT).toArrow()
@@ -701,7 +701,7 @@ def distinct_docs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     same = rows.join(kept, (F.col("node") == F.col("k_node")) & F.col("doc_id").eqNullSafe(F.col("k_id")) & (F.col("n") > 0)).groupBy("k_node", "k_id").agg(F.count("*").alias("same"))
     kept = stored_at(same, "kept")[0]
     many = kept.count()
-    made = docs.mapInArrow(_nodes_of(k, docs.columns.index(text_col)), t.StructType([*docs.schema.fields, t.StructField(_NODE, t.LongType()), t.StructField(_SIZE, t.LongType())]))
+    made = docs.mapInArrow(tidied(_nodes_of(k, docs.columns.index(text_col))), t.StructType([*docs.schema.fields, t.StructField(_NODE, t.LongType()), t.StructField(_SIZE, t.LongType())]))
 
     def of(some: DataFrame) -> DataFrame:
         few = F.broadcast(some) if many <= FEW else some

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textscan as ts
-from .common import begins, fold
+from .common import begins, fold, tidied
 
 #: A score at which a row is predicted 1; the cut found on held-back sample rows is moved there.
 LINE = 0.7
@@ -26,7 +26,7 @@ def sample_ids(labels: DataFrame, label: str, id_col: str, parts: int, held: int
 def sample_rows(docs: DataFrame, ids: DataFrame, id_col: str, text_col: str, work, schema: str) -> pa.Table:
     """What work makes of the sampled rows' (id, label, text); work gives one row for each. At most as many rows as ids."""
     got = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).alias("text")).join(F.broadcast(ids), "id").select("id", "label", "text")
-    return got.mapInArrow(work, schema).dropDuplicates(["id"]).toArrow().sort_by("id")
+    return got.mapInArrow(tidied(work), schema).dropDuplicates(["id"]).toArrow().sort_by("id")
 
 
 def cut_at(margin: np.ndarray, y: np.ndarray, kind: str) -> float:
@@ -53,7 +53,7 @@ def scored_docs(docs: DataFrame, margins, cut: float, id_col: str, text_col: str
             score = np.concatenate([np.zeros(0), *(scored(margins(data, offs), cut) for _, _, data, offs in ts.runs(batch.column(1)))])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(score)], names=["doc_id", "score"])
 
-    got = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(work, "doc_id bigint, score double")
+    got = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidied(work), "doc_id bigint, score double")
     return got.select("doc_id", (fold("doc_id", parts) == held).alias("held_out"), "score", (F.col("score") >= LINE).cast("int").alias("predicted"))
 
 
@@ -66,4 +66,4 @@ def kept_docs(docs: DataFrame, margins, cut: float, text_col: str) -> DataFrame:
             score = np.concatenate([np.zeros(0), *(scored(margins(data, offs), cut) for _, _, data, offs in ts.runs(batch.column(batch.schema.get_field_index(text_col))))])
             yield batch.filter(pa.array(score >= LINE))
 
-    return docs.mapInArrow(work, docs.schema)
+    return docs.mapInArrow(tidied(work), docs.schema)

@@ -19,6 +19,10 @@ from .toxicity import toxicity_scores
 from .urls import BLOCKED, url_verdicts
 
 
+#: Words that a worker of these two queries keeps; nothing else runs there.
+WORDS = 700_000
+
+
 def tokenizer_file() -> str:
     import public_tokenizers
 
@@ -26,11 +30,11 @@ def tokenizer_file() -> str:
 
 
 def op1_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packed(token_counts(table(spark, sf_dir, "documents"), tokenizer_file()))
+    return packed(token_counts(table(spark, sf_dir, "documents"), tokenizer_file(), words=WORDS))
 
 
 def op4_token_id_records(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return read_ids(spark, write_ids(table(spark, sf_dir, "documents"), tokenizer_file()))
+    return read_ids(spark, write_ids(table(spark, sf_dir, "documents"), tokenizer_file(), words=WORDS))
 
 
 def op6_embedding_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import tidied
+
 KINDS = ("assign", "access", "hex", "guess")
 GUESSES = 9.0
 #: Words taken from the texts (bounds what a task holds), letters of the longest, and words counted before they are sent on.
@@ -154,7 +156,7 @@ def dictionary(docs: DataFrame, text_col: str = "text") -> dict[str, int]:
                     yield sent()
         yield sent()
 
-    counted = docs.select(F.col(text_col).alias("text")).mapInArrow(work, "word string, n bigint").groupBy("word").agg(F.sum("n").alias("n")).where("n >= 2")
+    counted = docs.select(F.col(text_col).alias("text")).mapInArrow(tidied(work), "word string, n bigint").groupBy("word").agg(F.sum("n").alias("n")).where("n >= 2")
     ranked = counted.orderBy(F.desc("n"), "word").limit(DICTIONARY).toArrow().column("word").to_pylist()
     return {w: i + 1 for i, w in enumerate(dict.fromkeys([*WORDS, *ranked]))}
 
@@ -202,7 +204,7 @@ def secret_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             rows = [[{"kind": k, "start": s, "end": e} for k, s, e in find(t or "", held.value)] for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, kind)], names=["doc_id", "spans"])
 
-    return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(work, "doc_id bigint, spans array<struct<kind:string,start:bigint,end:bigint>>")
+    return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidied(work), "doc_id bigint, spans array<struct<kind:string,start:bigint,end:bigint>>")
 
 
 def secret_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -228,4 +230,4 @@ def masked_docs(docs: DataFrame, text_col: str = "text", size_col: str = "n_char
                 cols[j] = pa.array([n if a == b else len(a) for n, a, b in zip(cols[j].to_pylist(), after, before, strict=True)], batch.schema.field(j).type)
             yield pa.RecordBatch.from_arrays(cols, schema=batch.schema)
 
-    return docs.mapInArrow(work, docs.schema)
+    return docs.mapInArrow(tidied(work), docs.schema)

@@ -30,15 +30,15 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import begins, scratch
+from .common import begins, scratch, tidied
 
 END, NO_ID = 2, -(2**63)
 #: Characters of which only the space and the line end are white space.
 _PLAIN = re.compile(r"[\n\x20-\x7eÀ-ÖØ-öø-ɏ]*")
 #: White space, and signs that the pattern above leaves out, of ASCII texts.
 _ODD = ("\t", "\r", "\x0b", "\x0c", "\x1c", "\x1d", "\x1e", "\x1f", "\0")
-#: Words kept in each of two generations, and the longest that is kept.
-_KEEP, _LONG = 500_000, 48
+#: Words that a worker keeps in each of two generations (some 150 bytes each), and the longest that is kept.
+WORDS, _LONG = 200_000, 48
 #: The sign by which byte-level vocabularies write a space.
 SPACE = "Ġ"
 #: Signs that often follow a word.
@@ -57,10 +57,10 @@ class _Known(dict):
     """Ids of words in two generations: when the new one is full it becomes the old one, and what is met again moves
     back, so frequent words stay and memory is bounded. Words that neither has are learnt, and kept unless long."""
 
-    def __init__(self, learn):
+    def __init__(self, learn, most: int):
         super().__init__()
         self.old: dict[str, bytes] = {}
-        self.learn = learn
+        self.learn, self.most = learn, most
 
     def __missing__(self, word: str) -> bytes:
         found = self.old.get(word)
@@ -82,7 +82,7 @@ class _Known(dict):
         return self.learn(word)
 
     def turn(self) -> None:
-        if len(self) > _KEEP:
+        if len(self) > self.most:
             self.old = dict(self)
             self.clear()
 
@@ -90,7 +90,7 @@ class _Known(dict):
 class Encoder:
     """Ids of texts as bytes, two or four to an id."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, words: int = WORDS):
         from tokenizers import Tokenizer, pre_tokenizers
 
         self.tokenizer = Tokenizer.from_file(path)
@@ -99,7 +99,7 @@ class Encoder:
         self.kind = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.cut, self.code = self.tokenizer.model.tokenize, "H" if self.kind.itemsize == 2 else "I"
-        self.known = _Known(self.word)
+        self.known = _Known(self.word, words)
 
     def library(self, text: str) -> bytes:
         return array(self.code, self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
@@ -123,15 +123,15 @@ class Encoder:
 
 
 @lru_cache(1)
-def _encoder(path: str) -> Encoder:
+def _encoder(path: str, words: int) -> Encoder:
     os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
-    return Encoder(path)
+    return Encoder(path, words)
 
 
-def encoder(path: str) -> Encoder:
+def encoder(path: str, words: int = WORDS) -> Encoder:
     """The worker's encoder, kept from task to task until another operator's work begins there."""
     begins("tokens", _encoder.cache_clear)
-    return _encoder(path)
+    return _encoder(path, words)
 
 
 def some_texts(col: pa.Array, chars: int = 1 << 18):
@@ -256,10 +256,10 @@ def read_at(path: str, rows: np.ndarray) -> list[tuple[int | None, np.ndarray]]:
     return out
 
 
-def _writer(tokenizer: str, folder: str, end: int | None):
+def _writer(tokenizer: str, folder: str, end: int | None, words: int):
     def go(batches):
         shard = TaskContext.get().partitionId()
-        enc, name = encoder(tokenizer), f"shard-{shard:06d}.rec"
+        enc, name = encoder(tokenizer, words), f"shard-{shard:06d}.rec"
         fs, top = pafs.FileSystem.from_uri(folder)
         fs.create_dir(top, recursive=True)
         own = f"{top}/.{name}-{uuid.uuid4().hex}"
@@ -291,7 +291,7 @@ def _writer(tokenizer: str, folder: str, end: int | None):
     return go
 
 
-def write_ids(docs: DataFrame, tokenizer: str, folder: str | None = None, end: int | None = END, id_col: str = "doc_id", text_col: str = "text") -> list[dict]:
+def write_ids(docs: DataFrame, tokenizer: str, folder: str | None = None, end: int | None = END, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS) -> list[dict]:
     """Write all documents' ids, ascending by document id over the shards in order, and return the shards: path, docs,
     ids and start (ids in the shards before). folder: a URI that every executor reaches. Rows without an id come first.
     Rows that repeat an id are in the order of their text's hash and then text, and may lie in several shards, so the
@@ -299,7 +299,7 @@ def write_ids(docs: DataFrame, tokenizer: str, folder: str | None = None, end: i
     folder = folder or f"{scratch(docs.sparkSession)}/ids-{uuid.uuid4().hex}"
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).withColumn("mark", F.xxhash64("text"))
     dealt = rows.repartitionByRange("doc_id", "mark").sortWithinPartitions("doc_id", "mark", "text").select("doc_id", "text")
-    made = sorted(dealt.mapInArrow(_writer(tokenizer, folder, end), "shard int, path string, docs bigint, ids bigint").collect(), key=lambda r: r["shard"])
+    made = sorted(dealt.mapInArrow(tidied(_writer(tokenizer, folder, end, words)), "shard int, path string, docs bigint, ids bigint").collect(), key=lambda r: r["shard"])
     start, out = 0, []
     for r in made:
         out.append({"path": r["path"], "docs": r["docs"], "ids": r["ids"], "start": start})
@@ -353,9 +353,9 @@ def streamed(f, hold: int = 1 << 20):
         yield from payloads
 
 
-def _lengths(tokenizer: str, end: int | None):
+def _lengths(tokenizer: str, end: int | None, words: int = WORDS):
     def go(batches):
-        enc = encoder(tokenizer)
+        enc = encoder(tokenizer, words)
         for batch in batches:
             sizes = [len(h) // enc.kind.itemsize + (end is not None) for _, texts in some_texts(batch.column(1)) for h in enc.encode(texts)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64())], names=["doc_id", "n_tokens"])
@@ -363,6 +363,6 @@ def _lengths(tokenizer: str, end: int | None):
     return go
 
 
-def token_counts(docs: DataFrame, tokenizer: str, end: int | None = END, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_tokens) for every row, the end id counted."""
-    return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(_lengths(tokenizer, end), "doc_id bigint, n_tokens bigint")
+def token_counts(docs: DataFrame, tokenizer: str, end: int | None = END, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS) -> DataFrame:
+    """(doc_id, n_tokens) for every row, the end id counted. words: as many a worker keeps (see WORDS)."""
+    return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidied(_lengths(tokenizer, end, words)), "doc_id bigint, n_tokens bigint")
