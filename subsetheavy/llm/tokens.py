@@ -46,6 +46,14 @@ _SIGNS = ".,;:!?)*$\""
 _HEAD, _INDEX = struct.Struct("<QI"), np.dtype([("doc", "<i8"), ("at", "<u8"), ("n", "<u8")])
 
 
+@lru_cache(1)
+def _byte_signs() -> dict[int, str]:
+    """The sign by which byte-level vocabularies write each byte: printable ones themselves, the rest from 256 on."""
+    kept = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in kept]
+    return {b: chr(b) for b in kept} | {b: chr(256 + i) for i, b in enumerate(rest)}
+
+
 def _by_words(text: str) -> bool:
     """Whether the encoder cuts the text at each of its spaces, whatever stands around them."""
     if "  " in text or "\n \n" in text or text[-1:] == " ":
@@ -65,20 +73,19 @@ class _Known(dict):
     def __missing__(self, word: str) -> bytes:
         found = self.old.get(word)
         if found is None:
-            found = self._parts(word)
+            found = self.learn(word) if word.isalpha() else self._parts(word)
         if len(word) <= _LONG:
             self[word] = found
         return found
 
     def _parts(self, word: str) -> bytes:
         """Of a word that is not known: a single line end inside and the signs after a letter or digit stand alone."""
-        if not word.isalpha():
-            head, end, rest = word.partition("\n")
-            if end and head.strip("\0") and rest[:1] not in ("", "\n"):
-                return self[head] + self["\0\n"] + self["\0" + rest]
-            core = word.rstrip(_SIGNS)
-            if core != word and core[-1:].isalnum():
-                return self[core] + self["\0" + word[len(core) :]]
+        head, end, rest = word.partition("\n")
+        if end and head.strip("\0") and rest[:1] not in ("", "\n"):
+            return self[head] + self["\0\n"] + self["\0" + rest]
+        core = word.rstrip(_SIGNS)
+        if core != word and core[-1:].isalnum():
+            return self[core] + self["\0" + word[len(core) :]]
         return self.learn(word)
 
     def turn(self) -> None:
@@ -106,9 +113,12 @@ class Encoder:
 
     def word(self, word: str) -> bytes:
         """Ids of a word with the space before it, which is none where it starts with the null sign."""
-        if word.isascii() and word.isalpha():  # one piece, of letters that byte-level vocabularies write as they are
-            return array(self.code, [t.id for t in self.cut(SPACE + word)]).tobytes()
-        return self.library(word[1:] if word[:1] == "\0" else " " + word)
+        bare = word[:1] == "\0"
+        letters = word[1:] if bare else word
+        if letters.isalpha():  # one piece; byte-level vocabularies write ASCII letters as they are
+            written = letters if letters.isascii() else letters.encode().decode("latin-1").translate(_byte_signs())
+            return array(self.code, [t.id for t in self.cut(written if bare else SPACE + written)]).tobytes()
+        return self.library(letters if bare else " " + word)
 
     def encode(self, texts: list[str]) -> list[bytes]:
         out = []
@@ -275,9 +285,10 @@ def _writer(tokenizer: str, folder: str, end: int | None, words: int):
                 coded = enc.encode(texts)
                 if out is None:
                     out = fs.open_output_stream(own)
-                for doc, held, made in zip(own_ids, coded, framed([struct.pack("<q", doc) + width + held + tail for doc, held in zip(own_ids, coded, strict=True)]), strict=True):
-                    out.write(made)
-                    n = (len(held) + len(tail)) // enc.kind.itemsize
+                whole = framed([struct.pack("<q", doc) + width + held + tail for doc, held in zip(own_ids, coded, strict=True)])
+                out.write(b"".join(whole))
+                for doc, made in zip(own_ids, whole, strict=True):
+                    n = (len(made) - 25) // enc.kind.itemsize  # without the frame, the document's id and the width
                     rows.append((doc, at, n))
                     at, docs, total = at + len(made), docs + 1, total + n
         if out is not None:
