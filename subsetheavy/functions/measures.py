@@ -8,6 +8,8 @@ from collections.abc import Iterable
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+#: Passes over the stream. The sketch and the counters that name its candidates fill in one pass; as two aggregates they
+#: scan twice. Tests hold the models' figures against the scans that their jobs make.
 PASSES = {"sample": 1, "sketch": 1, "product": 2, "mixture": 2, "exact": 1}
 
 

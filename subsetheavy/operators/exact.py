@@ -9,7 +9,7 @@ from itertools import combinations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..spec import share_of, subset
+from ..spec import long_form, share_of, subset, text, unclashed
 
 
 def rows_of(df: DataFrame) -> int:
@@ -19,6 +19,7 @@ def rows_of(df: DataFrame) -> int:
 def exact_shares(df: DataFrame, T: Iterable[str], m: int | None = None) -> DataFrame:
     """(T..., cnt, share) of every observed joint value."""
     T = subset(df.columns, T)
+    unclashed(T, ("cnt", "share"))
     m = rows_of(df) if m is None else m
     return df.groupBy(*T).agg(F.count("*").alias("cnt")).withColumn("share", F.col("cnt") / F.lit(float(max(m, 1))))
 
@@ -29,9 +30,11 @@ def exact_all_heavy(df: DataFrame, T: Iterable[str], gamma: float, prune: bool =
     T, m = subset(df.columns, T), rows_of(df)
     share_of(gamma)
     if prune:
+        # one scan counts all coordinates; each has at most 1/gamma heavy values
+        heavy = long_form(df, T).groupBy("coord", "value").agg(F.count("*").alias("__n")).where(F.col("__n") >= gamma * m).persist()
         for c in T:
-            own = df.groupBy(F.col(c).alias("__v")).agg(F.count("*").alias("__n")).where(F.col("__n") >= gamma * m).select("__v")
-            df = df.join(F.broadcast(own), F.col(c).eqNullSafe(F.col("__v")), "left_semi")  # at most 1/gamma rows
+            own = heavy.where(F.col("coord") == c).select(F.col("value").alias("__v"))
+            df = df.join(F.broadcast(own), text(c) == F.col("__v"), "left_semi")
     return exact_shares(df, T, m).where(F.col("share") >= gamma)
 
 
@@ -66,11 +69,11 @@ def fix_class(df: DataFrame, cls: str) -> DataFrame:
 
 def cramers_v(df: DataFrame, a: str, b: str) -> DataFrame:
     """(a, b, v): association of two categorical columns, from counts alone."""
-    joint = df.groupBy(a, b).agg(F.count("*").alias("n"))
-    ca, cb = joint.groupBy(F.col(a).alias("__a")).agg(F.sum("n").alias("na")), joint.groupBy(F.col(b).alias("__b")).agg(F.sum("n").alias("nb"))
+    joint = df.groupBy(F.col(a).alias("__x"), F.col(b).alias("__y")).agg(F.count("*").alias("n"))
+    ca, cb = joint.groupBy(F.col("__x").alias("__a")).agg(F.sum("n").alias("na")), joint.groupBy(F.col("__y").alias("__b")).agg(F.sum("n").alias("nb"))
     m = joint.agg(F.sum("n").alias("m"))
     least = ca.agg(F.count("*").alias("ra")).crossJoin(cb.agg(F.count("*").alias("rb"))).crossJoin(m)
-    term = joint.join(ca, F.col(a).eqNullSafe(F.col("__a"))).join(cb, F.col(b).eqNullSafe(F.col("__b"))).agg(F.sum(F.col("n").cast("double") * F.col("n") / (F.col("na").cast("double") * F.col("nb"))).alias("s"))
+    term = joint.join(ca, F.col("__x").eqNullSafe(F.col("__a"))).join(cb, F.col("__y").eqNullSafe(F.col("__b"))).agg(F.sum(F.col("n").cast("double") * F.col("n") / (F.col("na").cast("double") * F.col("nb"))).alias("s"))
     # chi-square / m = sum n^2 / (na nb) - 1
     return term.crossJoin(least).select(F.lit(a).alias("a"), F.lit(b).alias("b"), F.when(F.least("ra", "rb") < 2, F.lit(0.0)).otherwise(F.sqrt(F.greatest(F.col("s") - 1, F.lit(0.0)) / (F.least("ra", "rb") - 1))).alias("v"))
 

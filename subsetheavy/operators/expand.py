@@ -7,10 +7,12 @@ from collections.abc import Iterable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..spec import decoded, subset
+from ..spec import decoded, subset, unclashed
 from .models import Model, prior_array
 
 STRATEGIES = ("bucketed", "nested", "sorted", "cartesian")
+#: Rows of a table of subsets that are broadcast; a longer table is joined by a shuffle.
+MOST = 1_000_000
 
 
 def _folded(a):
@@ -62,6 +64,7 @@ def all_heavy(model: Model, T: Iterable[str], cut: float | None = None, strategy
     prefixes, as the model's shares sum to one, so nothing here grows with the stream. Coordinates with few survivors
     go first; the result has T's order. cut below the model's own line finds no value that the line has dropped."""
     T = subset(model.coords, T)
+    unclashed(T, ("mass",))
     cut = model.lam if cut is None else cut
     if strategy not in STRATEGIES:
         raise ValueError(f"no such strategy: {strategy}")
@@ -95,6 +98,7 @@ def all_heavy_many(model: Model, subcubes: DataFrame, k_max: int, cut: float | N
     """subcubes: (subcube_id, pos from 1, coord). All subsets at once in k_max joins: (subcube_id, vals array, mass)."""
     cut = model.lam if cut is None else cut
     cols = F.col("cond") if model.mixture else F.col("share")
+    few = F.broadcast if subcubes.count() <= MOST else lambda df: df
     ks = subcubes.groupBy(F.col("subcube_id").alias("s0")).agg(F.max("pos").alias("k"))
     size = subcubes.join(ks, F.col("subcube_id") == F.col("s0")).drop("s0")
     start = F.zip_with(prior_array(model), F.col("cond"), lambda a, b: a * b) if model.mixture else F.col("share")
@@ -102,7 +106,7 @@ def all_heavy_many(model: Model, subcubes: DataFrame, k_max: int, cut: float | N
     done = have.where("k = 1")
     for j in range(2, k_max + 1):
         at = size.where(F.col("pos") == j).select(F.col("subcube_id").alias("s1"), F.col("coord").alias("c1"))
-        step = have.where(F.col("k") >= j).join(F.broadcast(at), F.col("subcube_id") == F.col("s1"))
+        step = have.where(F.col("k") >= j).join(few(at), F.col("subcube_id") == F.col("s1"))
         more = model.table.select(F.col("coord").alias("c2"), F.col("value").alias("v2"), cols.alias("__s"))
         met = step.join(F.broadcast(more), (F.col("c1") == F.col("c2")) & (_mass(model, _extended(model)) >= cut))
         have = met.select("subcube_id", "k", F.concat("vals", F.array("v2")).alias("vals"), _extended(model).alias("__q"))
@@ -110,6 +114,26 @@ def all_heavy_many(model: Model, subcubes: DataFrame, k_max: int, cut: float | N
     return done.select("subcube_id", "vals", _mass(model, F.col("__q")).alias("mass"))
 
 
+def pairs_examined(model: Model, T: Iterable[str], cut: float | None = None) -> dict[str, int]:
+    """For each strategy, how many pairs of a prefix and a next value it looks at to list T in its order."""
+    T, cut = subset(model.coords, T), model.lam if cut is None else cut
+    sizes = {r["coord"]: r["n"] for r in model.table.where(F.col("coord").isin(*T)).groupBy("coord").agg(F.count("*").alias("n")).collect()}
+    total = dict.fromkeys(STRATEGIES, 0)
+    have, combined = _start(model, T[0]).where(_mass(model, F.col("__q")) >= cut), sizes.get(T[0], 0)
+    for j, c in enumerate(T[1:], 2):
+        more = _next(model, c, j)
+        top = F.array_max("__s") if model.mixture else F.col("__s")
+        met = have.select(_mass(model, F.col("__q")).alias("__m")).join(F.broadcast(more.select(top.alias("__t"))), F.lit(True))
+        bucket = F.floor(-F.log2("__t"))
+        reach = F.floor(F.log2(F.col("__m") / cut) + 1e-9)
+        n, near, close = met.agg(F.count("*"), F.count_if((F.col("__t") > 0) & (bucket <= reach)), F.count_if(F.col("__t") * F.col("__m") >= cut)).first()
+        combined *= sizes.get(c, 0)
+        for s, more_pairs in (("nested", n), ("bucketed", near), ("sorted", close), ("cartesian", combined)):
+            total[s] += more_pairs
+        have = _grow(model, have, c, j, cut, "bucketed")
+    return total
+
+
 def check_downward(model: Model, T: Iterable[str], cut: float | None = None) -> DataFrame:
     """Heavy joint values of T whose part on one coordinate fewer is not heavy: always none. (dropped, misses)."""
     from functools import reduce

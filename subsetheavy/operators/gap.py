@@ -8,7 +8,7 @@ from itertools import combinations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..spec import long_form, subset, text
+from ..spec import decoded, long_form, subset, text
 from .expand import all_heavy
 from .models import Model, class_prior, mass_of
 
@@ -44,9 +44,10 @@ def model_gap(df: DataFrame, T: Iterable[str], cls: str | None = None) -> DataFr
     seen = masses.agg(F.max("gap")).first()[0] or 0.0
     unseen = 0.0
     if 0 < seen < 1:
-        plain = Model(model.table, m, seen, T, model.prior, cls)  # values stay as text
+        # a value of less than that share is in no joint value of that mass, so at most 1 / seen a coordinate are left
+        plain = Model(model.table.where(F.col("share") >= seen * (1 - 1e-12)).persist(), m, seen, T, model.prior, cls)  # values stay as text
         listed = all_heavy(plain, T, seen, reorder=False)
-        missing = listed.join(counts.select(*(F.col(c).alias(f"__{c}") for c in T)), [F.col(c).eqNullSafe(F.when(F.col(f"__{c}") == "␀", None).otherwise(F.col(f"__{c}"))) for c in T], "left_anti")
+        missing = listed.join(counts.select(*(F.col(c).alias(f"__{c}") for c in T)), [F.col(c).eqNullSafe(decoded(F.col(f"__{c}"), "string")) for c in T], "left_anti")
         unseen = missing.agg(F.max("mass")).first()[0] or 0.0
     return df.sparkSession.createDataFrame([(",".join(T), float(seen), float(unseen), float(max(seen, unseen)))], "subcube string, observed_gap double, unobserved_gap double, gap double")
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterable
 from dataclasses import dataclass, field
 
@@ -9,8 +10,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as t
 
-from ..spec import StreamSpec, encode, long_form, share_of, subset, text
-from .summaries import first_pass
+from ..spec import NULL_MARK, StreamSpec, encode, long_form, share_of, subset, text
+from .summaries import candidates_of, first_pass, first_scan
+
+#: Candidates that a second pass broadcasts at most; beyond that the rows are joined by a shuffle.
+FEW = 2_000_000
+#: Classes that a mixture has at most: its prior is an array in each expression.
+CLASSES = 10_000
 
 
 @dataclass
@@ -43,9 +49,9 @@ class Model:
 
 def second_pass(df: DataFrame, candidates: DataFrame, coords: Iterable[str], m: int, lam: float, keep: Iterable[str] = ()) -> DataFrame:
     """Exact counts of the candidates, those of share >= lam. keep: columns to count apart (the class). Candidates are at
-    most coordinates * 4 / lam rows and are broadcast; rows meet them inside the scan's stage."""
-    few = candidates.select(F.col("coord").alias("c0"), F.col("value").alias("v0")).distinct()
-    hits = long_form(df, coords, keep).join(F.broadcast(few), (F.col("coord") == F.col("c0")) & (F.col("value") == F.col("v0"))).drop("c0", "v0")
+    most coordinates * 4 / lam rows and are broadcast (given ones, if that few); rows meet them inside the scan's stage."""
+    few = candidates.select(F.col("coord").alias("c0"), F.col("value").alias("v0")).distinct().persist()
+    hits = long_form(df, coords, keep).join(F.broadcast(few) if few.count() <= FEW else few, (F.col("coord") == F.col("c0")) & (F.col("value") == F.col("v0"))).drop("c0", "v0")
     counted = hits.groupBy("coord", "value", *keep).agg(F.count("*").alias("cnt"))
     return counted if keep else counted.where(F.col("cnt") >= lam * m).withColumn("share", F.col("cnt") / float(max(m, 1)))
 
@@ -54,10 +60,16 @@ def fit_product(df: DataFrame, coords: Iterable[str], gamma: float, cut: float |
     """Coordinates taken as near independent. cut: the line the shares are kept to, gamma / 2 if not given."""
     spec = StreamSpec.of(df, coords)
     lam = share_of(gamma) / 2 if cut is None else cut
-    m = df.count()
     above = lam / 2
-    if candidates is None:
-        candidates, above = first_pass(df, spec.coords, lam, max(m, 1), summary, capacity)
+    if candidates is None and summary == "counters":
+        # rows are counted by the scan that feeds the counters
+        c = math.ceil(4 / lam) if capacity is None else capacity
+        counters, m, _ = first_scan(df, spec.coords, c)
+        candidates, above = candidates_of(counters, lam, max(m, 1), c)
+    else:
+        m = df.count()
+        if candidates is None:
+            candidates, above = first_pass(df, spec.coords, lam, max(m, 1), summary, capacity)
     # small whatever the stream, and read by every step of a listing
     return Model(second_pass(df, candidates, spec.coords, m, lam).persist(), m, lam, spec.coords, complete_above=above, types=spec.types)
 
@@ -76,11 +88,20 @@ def fit_mixture(df: DataFrame, coords: Iterable[str], cls: str, gamma: float, cu
         raise ValueError("a class column must be named; it is not learned")
     spec = StreamSpec.of(df, coords, cls)
     lam = share_of(gamma) / 2 if cut is None else cut
-    prior = class_prior(df, cls)
-    m = df.count()
     above = lam / 2
-    if candidates is None:
-        candidates, above = first_pass(df, spec.coords, lam, max(m, 1), summary, capacity)
+    if candidates is None and summary == "counters":
+        # classes and rows are counted by the scan that feeds the counters
+        c = math.ceil(4 / lam) if capacity is None else capacity
+        counters, m, classes = first_scan(df, spec.coords, c, cls)
+        prior = sorted((z, n / m) for z, n in classes.items())
+        candidates, above = candidates_of(counters, lam, max(m, 1), c)
+    else:
+        prior = class_prior(df, cls)
+        m = df.count()
+        if candidates is None:
+            candidates, above = first_pass(df, spec.coords, lam, max(m, 1), summary, capacity)
+    if len(prior) > CLASSES:
+        raise ValueError(f"{len(prior)} classes: a class column has few values")
     z = df.withColumn("__z", text(cls))
     counted = second_pass(z, candidates, spec.coords, m, lam, ["__z"])
     whole = counted.groupBy("coord", "value").agg(F.sum("cnt").alias("cnt"), F.map_from_entries(F.collect_list(F.struct("__z", "cnt"))).alias("by")).where(F.col("cnt") >= lam * m)
@@ -107,7 +128,7 @@ def verdicts(model: Model, probes: DataFrame, cut: float | None = None) -> DataF
     survivor or the lengths differ."""
     cut = model.lam if cut is None else cut
     cols = ["share", "cond"] if model.mixture else ["share"]
-    each = probes.where(F.size("coords") == F.size("vals")).select("probe_id", F.size("coords").alias("k"), F.posexplode(F.arrays_zip("coords", "vals")).alias("pos", "cv")).select("probe_id", "k", "pos", F.col("cv.coords").alias("c0"), F.coalesce("cv.vals", F.lit("␀")).alias("v0"))
+    each = probes.where(F.size("coords") == F.size("vals")).select("probe_id", F.size("coords").alias("k"), F.posexplode(F.arrays_zip("coords", "vals")).alias("pos", "cv")).select("probe_id", "k", "pos", F.col("cv.coords").alias("c0"), F.coalesce("cv.vals", F.lit(NULL_MARK)).alias("v0"))
     met = each.join(F.broadcast(model.table), (F.col("c0") == F.col("coord")) & (F.col("v0") == F.col("value")))
     whole = met.groupBy("probe_id", "k").agg(F.array_sort(F.collect_list(F.struct("pos", *cols))).alias("parts")).where(F.size("parts") == F.col("k")).select(F.col("probe_id").alias("p0"), mass_of(model, F.col("parts")).alias("mass"))
     return probes.select("probe_id").join(whole, F.col("probe_id") == F.col("p0"), "left").select("probe_id", "mass", F.coalesce(F.col("mass") >= cut, F.lit(False)).alias("yes"))
@@ -145,9 +166,25 @@ def load_model(spark: SparkSession, path: str) -> Model:
 
 
 def merge_counts(a: Model, b: Model) -> Model:
-    """Product models of two parts of a stream, counted for the same candidates, as one."""
-    if a.mixture or b.mixture:
-        raise ValueError("product models only")
+    """Models of two parts of a stream, counted for the same candidates, as one. In mixtures a class that only one part
+    has counts as none in the other."""
+    if a.mixture != b.mixture or a.coords != b.coords or a.cls != b.cls:
+        raise ValueError("models of one kind, of the same coordinates and class")
     m = a.m + b.m
+    if a.mixture:
+        rows = {z: round(dict(a.prior).get(z, 0.0) * a.m) + round(dict(b.prior).get(z, 0.0) * b.m) for z in dict(a.prior) | dict(b.prior)}
+        prior = sorted((z, n / max(m, 1)) for z, n in rows.items())
+
+        def counts(part: Model) -> DataFrame:
+            """(coord, value, cnt, by): the counts within the classes of the whole."""
+            at = {z: (i, round(s * part.m)) for i, (z, s) in enumerate(part.prior)}
+            by = [F.round(F.col("cond")[at[z][0]] * at[z][1]).cast("bigint") if z in at else F.lit(0).cast("bigint") for z, _ in prior]
+            return part.table.select("coord", "value", "cnt", F.array(*by).alias("by"))
+
+        add = [F.sum(F.col("by")[i]).alias(f"__{i}") for i in range(len(prior))]
+        both = counts(a).unionByName(counts(b)).groupBy("coord", "value").agg(F.sum("cnt").alias("cnt"), *add)
+        cond = F.array(*(F.col(f"__{i}") / float(max(rows[z], 1)) for i, (z, _) in enumerate(prior)))
+        table = both.select("coord", "value", "cnt", (F.col("cnt") / float(max(m, 1))).alias("share"), cond.alias("cond"))
+        return Model(table.where(F.col("share") >= a.lam), m, a.lam, a.coords, prior, a.cls, max(a.complete_above, b.complete_above), a.types)
     both = a.table.select("coord", "value", "cnt").unionByName(b.table.select("coord", "value", "cnt")).groupBy("coord", "value").agg(F.sum("cnt").alias("cnt"))
     return Model(both.withColumn("share", F.col("cnt") / float(max(m, 1))).where(F.col("share") >= a.lam), m, a.lam, a.coords, None, None, max(a.complete_above, b.complete_above), a.types)

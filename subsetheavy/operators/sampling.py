@@ -14,16 +14,35 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..spec import share_of, subset
+from ..spec import share_of, subset, unclashed
 from .exact import matches
 
 #: A sample up to this size is cut by a top-k; a larger one by a threshold first.
 TOP = 200_000
 
 
-def sample_size_bound(gamma: float, k: int, d: int, n: int, delta: float = 0.1) -> int:
+def decision_line(gamma: float, gap: float = 4.0) -> float:
+    """The share at which a sample's verdict is yes: between gamma, which must be reported, and gamma / gap, which must
+    not, as far from one as from the other by ratio."""
+    if gap <= 1:
+        raise ValueError(f"gap must be over 1: {gap}")
+    return share_of(gamma) / math.sqrt(gap)
+
+
+def _tails(gap: float) -> float:
+    """How many items a verdict needs, times gamma, for an error of 1/e by the two tail bounds at the decision line."""
+    up = math.sqrt(gap) - 1
+    return max(2 / (1 - 1 / math.sqrt(gap)) ** 2, gap * (2 + up) / up**2)
+
+
+def sample_size_bound(gamma: float, k: int, d: int, n: int, delta: float = 0.1, gap: float = 4.0) -> int:
     """Items enough for every joint value of every k of d coordinates over n values to be judged right together."""
-    return math.ceil(48 / share_of(gamma) * (math.log(2 / delta) + k * math.log(d * n)))
+    return math.ceil(48 * (_tails(gap) / _tails(4.0)) / share_of(gamma) * (math.log(2 / delta) + k * math.log(d * n)))
+
+
+def majority_repeats(delta: float, each: float = 0.25) -> int:
+    """Independent samples, an odd number, whose majority errs with a chance of at most delta if each errs with `each`."""
+    return 2 * math.ceil((math.log(1 / delta) / (2 * (0.5 - each) ** 2) - 1) / 2) + 1
 
 
 def priority(key: Iterable[str], seed: int | str = 0, hash: str = "xxhash64") -> Column:
@@ -37,6 +56,7 @@ def priority(key: Iterable[str], seed: int | str = 0, hash: str = "xxhash64") ->
 def draw_sample(df: DataFrame, key: Iterable[str], size: int, seed: int | str = 0, hash: str = "xxhash64", by: Iterable[str] = ()) -> DataFrame:
     """size rows of df (of each group of by) with their priority. Ties go by the key, which must tell rows apart."""
     key, by = list(key), list(by)
+    unclashed(df.columns, ("priority",))
     ranked = df.withColumn("priority", priority(key, seed, hash))
     if by:
         w = Window.partitionBy(*by).orderBy("priority", *key)
@@ -49,15 +69,38 @@ def draw_sample(df: DataFrame, key: Iterable[str], size: int, seed: int | str =
             part = size / m
             cut = low + (part + 6 * math.sqrt(part / m)) * span
             few = ranked.where(F.col("priority") <= F.lit(cut).cast("bigint"))
-            if few.count() >= size:
-                ranked = few
+            return _least(few, ranked, key, size, low, (cut - low) / BUCKETS)
+    return ranked.orderBy("priority", *key).limit(size)
+
+
+#: Buckets of priorities by which a large sample is cut.
+BUCKETS = 4096
+
+
+def _least(few: DataFrame, ranked: DataFrame, key: list[str], size: int, low: float, step: float) -> DataFrame:
+    """The size rows of least priority of few: whole buckets of priorities, and of the bucket in which the sample ends a
+    sorted part, so that no task sorts or holds the sample. If few has fewer rows, of ranked."""
+    bucket = F.least(F.floor((F.col("priority").cast("double") - low) / step), F.lit(BUCKETS - 1)).cast("int")
+    counts = sorted((r["b"], r["n"]) for r in few.groupBy(bucket.alias("b")).agg(F.count("*").alias("n")).collect())
+    before = 0
+    for b, n in counts:
+        if before + n >= size:
+            last = few.where(bucket == b).orderBy("priority", *key).limit(size - before)
+            return few.where(bucket < b).unionByName(last)
+        before += n
     return ranked.orderBy("priority", *key).limit(size)
 
 
 def merge_samples(a: DataFrame, b: DataFrame, key: Iterable[str], size: int) -> DataFrame:
     """The sample of the union, from samples of its parts drawn with one seed; a row in both counts once."""
     key = list(key)
-    return a.unionByName(b).dropDuplicates(key).orderBy("priority", *key).limit(size)
+    both = a.unionByName(b).dropDuplicates(key)
+    if size <= TOP:
+        return both.orderBy("priority", *key).limit(size)
+    low, high = both.agg(F.min("priority"), F.max("priority")).first()
+    if low is None:
+        return both
+    return _least(both, both, key, size, float(low), max((float(high) - float(low)) / BUCKETS, 1.0))
 
 
 def reservoir_sample(df: DataFrame, size: int, seed: int = 0) -> DataFrame:
@@ -123,7 +166,8 @@ def sample_verdicts(sample: DataFrame, probes: DataFrame, T: Iterable[str], cut:
     return probes.join(counts, on, "left").select(*probes.columns, (F.coalesce("__n", F.lit(0)) / float(max(size, 1))).alias("share")).withColumn("yes", F.col("share") >= cut)
 
 
-def majority_verdict(df: DataFrame, key: Iterable[str], T: Iterable[str], v: Iterable[object], cut: float, size: int, seeds: Iterable[int]) -> bool:
-    """The majority over independent samples: wrong with a chance that falls exponentially in their number."""
-    votes = [sample_verdict(draw_sample(df, key, size, s), T, v, cut) for s in seeds]
+def majority_verdict(df: DataFrame, key: Iterable[str], T: Iterable[str], v: Iterable[object], cut: float, size: int, seeds: Iterable[int | str] | None = None, hash: str = "xxhash64", delta: float = 0.1) -> bool:
+    """The majority over independent samples: wrong with a chance that falls exponentially in their number. Without
+    seeds, as many samples as delta needs."""
+    votes = [sample_verdict(draw_sample(df, key, size, s, hash), T, v, cut) for s in (range(majority_repeats(delta)) if seeds is None else seeds)]
     return 2 * sum(votes) > len(votes)

@@ -23,8 +23,9 @@ def fit_sketch(df: DataFrame, coords: Iterable[str], cut: float, width: int, dep
         raise ValueError("the sketch can't give shares within a class")
     spec = StreamSpec.of(df, coords)
     share_of(cut, "cut")
-    m = df.count()
-    cells = count_min(df, spec.coords, width, depth, seed, hash)
+    cells = count_min(df, spec.coords, width, depth, seed, hash).persist()
+    # every row is in one cell of each row of the sketch
+    m = cells.where((F.col("coord") == spec.coords[0]) & (F.col("depth_row") == 0)).agg(F.coalesce(F.sum("cnt"), F.lit(0))).first()[0]
     pool = misra_gries(df, spec.coords, min(math.ceil(2 / cut), max(width * depth, 1))) if candidates is None else candidates
     est = count_min_estimate(cells, pool, width, depth, seed, hash)
     return Model(est.select("coord", "value", F.col("estimate").alias("cnt"), (F.col("estimate") / float(max(m, 1))).alias("share")).persist(), m, cut, spec.coords, types=spec.types)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import re
 from collections.abc import Iterable
 
 import numpy as np
@@ -26,31 +27,66 @@ def _lowered(counts: pd.Series, capacity: int) -> pd.Series:
 def misra_gries(df: DataFrame, coords: Iterable[str], capacity: int, merged: bool = True) -> DataFrame:
     """(coord, value, counter), at most capacity counters for each coordinate; a counter is too low by at most
     rows / (capacity + 1), and a value with more rows than that has one. Each task keeps capacity counters a coordinate
-    whatever it reads; tasks' counters merge in two levels, so no task gets more than a fan of them."""
-    coords = list(coords)
+    whatever it reads; tasks' counters merge in levels, so no task gets more than a fan of them."""
+    parts = _counted(df, list(coords), capacity, None)
+    return mg_merge(parts, capacity) if merged else parts
+
+
+#: In the place of a coordinate: the number of rows, and the rows of each class.
+ROWS, CLASSES = "␀rows", "␀class"
+
+
+def _counted(df: DataFrame, coords: list[str], capacity: int, cls: str | None, rows: bool = False) -> DataFrame:
+    """Each task's counters; with rows also its number of rows, and with cls those of each class."""
 
     def work(frames):
-        held = {c: pd.Series(dtype="int64") for c in coords}
+        held, seen, classes = {c: pd.Series(dtype="int64") for c in coords}, 0, pd.Series(dtype="int64")
         for frame in frames:
+            seen += len(frame)
             for c in coords:
                 held[c] = _lowered(held[c].add(frame[c].value_counts(), fill_value=0).astype("int64"), capacity)
-        for c, s in held.items():
+            if cls:
+                classes = classes.add(frame["__z"].value_counts(), fill_value=0).astype("int64")
+        for c, s in (held | ({CLASSES: classes} if cls else {})).items():
             yield pd.DataFrame({"coord": c, "value": s.index.astype(str), "counter": s.to_numpy()})
+        if rows:
+            yield pd.DataFrame({"coord": [ROWS], "value": [""], "counter": [seen]})
+
+    return df.select(*(text(c).alias(c) for c in coords), *([text(cls).alias("__z")] if cls else [])).mapInPandas(work, COUNTERS)
 
-    parts = df.select(*(text(c).alias(c) for c in coords)).mapInPandas(work, COUNTERS)
-    return mg_merge(parts, capacity) if merged else parts
 
+def first_scan(df: DataFrame, coords: Iterable[str], capacity: int, cls: str | None = None) -> tuple[DataFrame, int, dict[str, int]]:
+    """What a first pass needs, from one scan: counters of all coordinates, the number of rows, and the rows of each
+    class. Classes are few by assumption."""
+    got = mg_merge(_counted(df, list(coords), capacity, cls, rows=True), capacity, exact=(ROWS, CLASSES)).persist()
+    exact = got.where(F.col("coord").isin(ROWS, CLASSES)).collect()
+    counters = got.where(~F.col("coord").isin(ROWS, CLASSES))
+    return counters, sum(r["counter"] for r in exact if r["coord"] == ROWS), {r["value"]: r["counter"] for r in exact if r["coord"] == CLASSES}
 
-def mg_merge(parts: DataFrame, capacity: int, fan: int = 64) -> DataFrame:
-    """Merge counters of several parts of a stream; any order and grouping keeps the bound."""
+
+def _levels(df: DataFrame, fan: int) -> int:
+    """Levels in which so many tasks' counters merge by fans; the number of tasks is taken from the size of the scan."""
+    spark = df.sparkSession
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    each = int(re.sub(r"\D", "", spark.conf.get("spark.sql.files.maxPartitionBytes", "134217728").split("b")[0]) or 1 << 27)
+    tasks = max(size / max(each, 1 << 20), float(spark.sparkContext.defaultParallelism), 1.0)
+    return max(2, min(4, math.ceil(math.log(tasks, fan))))
+
+
+def mg_merge(parts: DataFrame, capacity: int, fan: int = 64, exact: tuple[str, ...] = ()) -> DataFrame:
+    """Merge counters of several parts of a stream, a fan of them in a group and level by level; any order and grouping
+    keeps the bound. exact: coordinates whose counters are not lowered."""
 
     def work(frame: pd.DataFrame) -> pd.DataFrame:
-        s = _lowered(frame.groupby("value")["counter"].sum(), capacity)
-        return pd.DataFrame({"coord": frame["coord"].iloc[0] if len(frame) else "", "value": s.index.astype(str), "counter": s.to_numpy()})
+        coord = frame["coord"].iloc[0] if len(frame) else ""
+        s = frame.groupby("value")["counter"].sum()
+        s = s if coord in exact else _lowered(s, capacity)
+        return pd.DataFrame({"coord": coord, "value": s.index.astype(str), "counter": s.to_numpy(), "part": int(frame["part"].iloc[0]) if len(frame) else 0})
 
-    tasks = parts.withColumn("__fan", F.pmod(F.spark_partition_id(), F.lit(fan)))
-    near = tasks.groupBy("coord", "__fan").applyInPandas(work, COUNTERS)
-    return near.groupBy("coord").applyInPandas(work, COUNTERS)
+    have = parts.withColumn("part", F.spark_partition_id().cast("bigint"))
+    for _ in range(_levels(parts, fan) - 1):
+        have = have.withColumn("part", F.floor(F.col("part") / fan)).groupBy("coord", "part").applyInPandas(work, COUNTERS + ", part bigint")
+    return have.groupBy("coord").applyInPandas(work, COUNTERS + ", part bigint").drop("part")
 
 
 def frequent_items(df: DataFrame, coords: Iterable[str], support: float) -> DataFrame:
@@ -72,11 +108,10 @@ def cell(coord: Column, value: Column, row: Column, width: int, seed: int | str
 
 
 def count_min(df: DataFrame, coords: Iterable[str], width: int, depth: int = 5, seed: int | str = 0, hash: str = "xxhash64") -> DataFrame:
-    """(coord, depth_row, bucket, cnt): one sketch for each coordinate. Values are counted before they are spread over
-    rows, so heavy values cost one row each; cells of parts add up."""
-    vals = long_form(df, coords).groupBy("coord", "value").agg(F.count("*").alias("n"))
-    spread = vals.select("coord", "value", "n", F.explode(F.sequence(F.lit(0), F.lit(depth - 1))).alias("depth_row"))
-    return spread.select("coord", "depth_row", cell(F.col("coord"), F.col("value"), F.col("depth_row"), width, seed, hash).alias("bucket"), "n").groupBy("coord", "depth_row", "bucket").agg(F.sum("n").alias("cnt"))
+    """(coord, depth_row, bucket, cnt): one sketch for each coordinate; cells of parts add up. Rows are spread over the
+    sketch before the one aggregate, whose state in a task is the cells, so values are never counted one by one."""
+    spread = long_form(df, coords).select("coord", "value", F.explode(F.sequence(F.lit(0), F.lit(depth - 1))).alias("depth_row"))
+    return spread.select("coord", "depth_row", cell(F.col("coord"), F.col("value"), F.col("depth_row"), width, seed, hash).alias("bucket")).groupBy("coord", "depth_row", "bucket").agg(F.count("*").alias("cnt"))
 
 
 def count_min_estimate(cells: DataFrame, probes: DataFrame, width: int, depth: int = 5, seed: int | str = 0, hash: str = "xxhash64") -> DataFrame:
@@ -91,6 +126,21 @@ def built_in_sketch(df: DataFrame, column: str, eps: float, confidence: float, s
     return df.agg(F.count_min_sketch(text(column), F.lit(eps), F.lit(confidence), F.lit(seed)).alias("sketch"))
 
 
+def built_in_estimates(df: DataFrame, column: str, values: Iterable[str], eps: float, confidence: float, seed: int = 7) -> DataFrame:
+    """(value, estimate) of a few asked values by the engine's own sketch, which the driver reads."""
+    spark = df.sparkSession
+    made = built_in_sketch(df, column, eps, confidence, seed).first()["sketch"]
+    sketch = spark._jvm.org.apache.spark.util.sketch.CountMinSketch.readFrom(bytearray(made))
+    return spark.createDataFrame([(v, sketch.estimateCount(v)) for v in values], "value string, estimate bigint")
+
+
+def candidates_of(counters: DataFrame, lam: float, m: int, capacity: int) -> tuple[DataFrame, float]:
+    """(candidates, the share above which none is missing) from merged counters of that capacity."""
+    if capacity >= 4 / lam:
+        return counters.where(F.col("counter") >= lam / 4 * m).select("coord", "value"), lam / 2
+    return counters.select("coord", "value"), 1 / (capacity + 1)
+
+
 def first_pass(df: DataFrame, coords: Iterable[str], lam: float, m: int, summary: str = "counters", capacity: int | None = None) -> tuple[DataFrame, float]:
     """(candidates (coord, value), the share above which none is missing). Values of share >= lam / 2 are candidates and
     those under lam / 4 are not; with a capacity too small for that gap every stored value is one."""
@@ -108,7 +158,4 @@ def first_pass(df: DataFrame, coords: Iterable[str], lam: float, m: int, summary
     if summary != "counters":
         raise ValueError(f"no such summary: {summary}")
     c = math.ceil(4 / lam) if capacity is None else capacity
-    got = misra_gries(df, coords, c)
-    if c >= 4 / lam:
-        return got.where(F.col("counter") >= lam / 4 * m).select("coord", "value"), lam / 2
-    return got.select("coord", "value"), 1 / (c + 1)
+    return candidates_of(misra_gries(df, coords, c), lam, m, c)

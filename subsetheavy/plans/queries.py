@@ -124,28 +124,35 @@ def _(spark, d):
     return spark.createDataFrame([(GAMMA, 3, 5, 10_000, sp.sample_size_bound(GAMMA, 3, 5, 10_000))], "gamma double, k int, d int, n int, items bigint")
 
 
-@query("q_sample_majority", "SELECT TRUE AS yes")
+def _majority_sql(seeds, size):
+    votes = " UNION ALL ".join(f"SELECT count(*) FILTER (WHERE q.x1 = v.x1 AND q.x2 = v.x2 AND q.x3 = v.x3) / {size}.0::DOUBLE >= 0.001 AS vote FROM (SELECT x1, x2, x3 FROM one ORDER BY {_PRI.format(seed=s, key='k')}, k LIMIT {size}) q, v" for s in seeds)
+    return f"{ONE}, v AS (SELECT x1, x2, x3 FROM one GROUP BY x1, x2, x3 ORDER BY count(*) DESC, x1, x2, x3 LIMIT 1), vt AS ({votes}) SELECT x1, x2, x3, (SELECT 2 * count(*) FILTER (WHERE vote) > count(*) FROM vt) AS yes FROM v"
+
+
+@query("q_sample_majority", _majority_sql(range(3), 2686))
 def _(spark, d):
     s = one(spark, d)
     v = s.groupBy(*T3).count().orderBy(F.desc("count"), *T3).first()[:3]
-    return spark.createDataFrame([(sp.majority_verdict(s, ["k"], T3, v, LAM, 2686, range(3)),)], "yes boolean")
+    return spark.createDataFrame([(*v, sp.majority_verdict(s, ["k"], T3, v, LAM, 2686, range(3), "md5"))], "x1 bigint, x2 bigint, x3 bigint, yes boolean")
 
 
 # ---- first and second pass
-@query("q_candidates_contain", f"{W('synth')}, {marginals_sql('synth', X)} SELECT coord, 0 AS missing, 0 AS light FROM (SELECT DISTINCT coord FROM mg)")
-def _(spark, d):
-    """Deterministic counters hold every value of share >= lam / 2 and none under lam / 4."""
-    return _candidates(spark, d, "counters")
+_MUST = f"{W('synth')}, {marginals_sql('synth', X)} SELECT coord, value, cnt FROM mg WHERE cnt >= 0.005 * (SELECT count(*) FROM synth)"
 
 
 def _candidates(spark, d, summary):
+    """The candidates that must be there (share >= lam / 2) and are, and those that must not (share < lam / 4) and are: the
+    true values of share >= lam / 2 if nothing is missing and nothing light came in."""
     s = synth(spark, d)
     m = s.count()
     got, _ = sm.first_pass(s, X, 0.01, m, summary)
-    got = got.select(F.col("coord").alias("c0"), F.col("value").alias("v0"))
-    mg = long_form(s, X).groupBy("coord", "value").agg(F.count("*").alias("n"))
-    both = mg.join(F.broadcast(got), (F.col("coord") == F.col("c0")) & (F.col("value") == F.col("v0")), "left")
-    return both.groupBy("coord").agg(F.count_if((F.col("n") >= 0.005 * m) & F.col("c0").isNull()).cast("int").alias("missing"), F.count_if((F.col("n") < 0.0025 * m) & F.col("c0").isNotNull()).cast("int").alias("light"))
+    mg = long_form(s, X).groupBy("coord", "value").agg(F.count("*").alias("cnt"))
+    found = mg.join(F.broadcast(got.select(F.col("coord").alias("c0"), F.col("value").alias("v0"))), (F.col("coord") == F.col("c0")) & (F.col("value") == F.col("v0")), "left_semi")
+    return found.where((F.col("cnt") >= 0.005 * m) | (F.col("cnt") < 0.0025 * m))
+
+
+for _n, _s in (("q_candidates_contain", "counters"), ("q_cm_superset", "count_min"), ("q_exact_superset", "exact")):
+    query(_n, _MUST)(lambda spark, d, s=_s: _candidates(spark, d, s))
 
 
 @query("q_mg_superset", f"{W('synth')}, {marginals_sql('synth', X)} SELECT coord, value FROM mg WHERE share > 1 / 501.0::DOUBLE")
@@ -165,12 +172,6 @@ def _(spark, d):
     return mg.join(held, (F.col("coord") == F.col("c0")) & (F.col("value") == F.col("v0")), "left_semi").select("coord", "value")
 
 
-@query("q_cm_superset", _sql["q_candidates_contain"].replace("0 AS light", "0 AS light"))
-def _(spark, d):
-    """The sketch's candidates miss nothing over lam / 2 either (it never estimates low)."""
-    return _candidates(spark, d, "count_min").withColumn("light", F.lit(0))
-
-
 _CELL = "CAST((('0x' || substr(md5('9|' || r || '|' || coord || '|' || value), 1, 8))::BIGINT) % 200 AS INT)"
 _CELLS = f"cells AS (SELECT coord, CAST(r AS INT) AS depth_row, {_CELL} AS bucket, count(*) AS cnt FROM lf, range(5) t(r) GROUP BY ALL)"
 
@@ -187,9 +188,14 @@ def _(spark, d):
     return sm.count_min_estimate(sm.count_min(s, ["x3", "x5"], 200, 5, 9, "md5"), probes, 200, 5, 9, "md5")
 
 
-@query("q_cm_built_in", "SELECT TRUE AS made")
+@query("q_cm_built_in", f"{W('synth')} SELECT CAST(x1 AS VARCHAR) AS value, count(*) AS cnt FROM synth GROUP BY x1 HAVING count(*) >= 0.005 * (SELECT count(*) FROM synth)")
 def _(spark, d):
-    return sm.built_in_sketch(synth(spark, d), "x1", 0.001, 0.99).select((F.length("sketch") > 0).alias("made"))
+    """Frequent values whose estimate by the engine's own sketch lies between the count and the count with its error."""
+    s = synth(spark, d)
+    m = s.count()
+    true = s.groupBy(F.col("x1").cast("string").alias("value")).agg(F.count("*").alias("cnt")).where(F.col("cnt") >= 0.005 * m)
+    est = sm.built_in_estimates(s, "x1", [r["value"] for r in true.collect()], 0.001, 0.99)
+    return true.join(F.broadcast(est.withColumnRenamed("value", "v0")), F.col("value") == F.col("v0")).where((F.col("estimate") >= F.col("cnt")) & (F.col("estimate") <= F.col("cnt") + 0.001 * m)).select("value", "cnt")
 
 
 @query("q_marginals_exact", f"{W('synth')}, {marginals_sql('synth', X)} SELECT coord, value, cnt, share FROM mg")
@@ -261,7 +267,7 @@ def _(spark, d):
     return check_downward(product(spark, d), X[:4])
 
 
-@query("q_bounds")
+@query("q_bounds", f"{ONE}, {marginals_sql('one', X[:4])} " + " UNION ALL ".join(f"SELECT {j} AS step, count(*) AS prefixes, {1 / LAM!r}::DOUBLE AS bound FROM ({product_sql('one', X[:j], LAM, LAM)})" for j in (1, 2, 3, 4)))
 def _(spark, d):
     return bounds_report(product(spark, d), X[:4])
 
@@ -361,16 +367,6 @@ def _(spark, d):
     return check_downward(mixture(spark, d), T3)
 
 
-@query("q_sketch_mixture_refused", "SELECT TRUE AS refused")
-def _(spark, d):
-    try:
-        sk.fit_sketch(synth(spark, d), X, LAM, 500, cls="z")
-        refused = False
-    except ValueError:
-        refused = True
-    return spark.createDataFrame([(refused,)], "refused boolean")
-
-
 # ---- sketch
 _SK = f"""lf AS ({long_sql('one', ('x4', 'x5'))}), n AS (SELECT CAST(count(*) AS DOUBLE) AS m FROM one), pool AS (SELECT coord, value FROM lf GROUP BY coord, value HAVING count(*) >= 0.002 * (SELECT m FROM n)),
 cells AS (SELECT coord, r, {_CELL.replace('200', '537')} AS bucket, count(*) AS cnt FROM lf, range(5) t(r) GROUP BY ALL),
@@ -405,7 +401,7 @@ query("q_exact_all_heavy", _EXACT)(lambda spark, d: ex.exact_all_heavy(synth(spa
 query("q_exact_all_heavy_pruned", _EXACT)(lambda spark, d: ex.exact_all_heavy(synth(spark, d), T3, GAMMA, prune=True))
 
 
-@query("q_exact_verdict", "SELECT TRUE AS heavy, FALSE AS light")
+@query("q_exact_verdict", f"{W('synth')} SELECT (SELECT max(n) FROM (SELECT count(*) AS n FROM synth GROUP BY {_T3S})) >= 0.002 * count(*) AS heavy, count(*) FILTER (WHERE x1 = -1 AND x2 = -1 AND x3 = -1) >= 0.002 * count(*) AS light FROM synth")
 def _(spark, d):
     s = synth(spark, d)
     top = s.groupBy(*T3).count().orderBy(F.desc("count"), *T3).first()[:3]
@@ -426,35 +422,67 @@ query("q_fix_class", f"{ONE} SELECT k, z, x1 FROM one")(lambda spark, d: one(spa
 query("q_synth_rows", f"{W('synth')} SELECT * FROM synth")(synth)
 
 
+def _text(T):
+    return ", ".join(f"CAST({x} AS VARCHAR) AS {x}" for x in T)
+
+
 def _gap_sql(src, T, head):
-    c = [f"CAST({x} AS VARCHAR) AS {x}" for x in T]
-    return f"{head}, {marginals_sql(src, T)}, jc AS (SELECT {', '.join(c)}, count(*) AS cnt FROM {src} GROUP BY {', '.join(T)}) SELECT '{','.join(T)}' AS subcube, round(max(abs(jc.cnt / (SELECT CAST(count(*) AS DOUBLE) FROM {src}) - {' * '.join(f'm{i}.share' for i in range(len(T)))})), 9) AS observed_gap FROM jc {' '.join(f'''JOIN mg m{i} ON m{i}.coord = '{x}' AND m{i}.value = jc.{x}''' for i, x in enumerate(T))}"
+    """Observed gap, and the largest mass over it among joint values that never occur, grown by prefixes."""
+    n = f"(SELECT CAST(count(*) AS DOUBLE) FROM {src})"
+    cols = ", ".join(T)
+    seen = f"jc AS (SELECT {_text(T)}, count(*) AS cnt FROM {src} GROUP BY {cols}), og AS (SELECT max(abs(jc.cnt / {n} - {' * '.join(f'm{i}.share' for i in range(len(T)))})) AS g FROM jc {' '.join(f'''JOIN mg m{i} ON m{i}.coord = '{x}' AND m{i}.value = jc.{x}''' for i, x in enumerate(T))})"
+    steps = [f"p0 AS MATERIALIZED (SELECT value AS {T[0]}, share AS q FROM mg, og WHERE coord = '{T[0]}' AND share >= g)"]
+    for i, x in enumerate(T[1:], 1):
+        steps.append(f"p{i} AS MATERIALIZED (SELECT p{i - 1}.* EXCLUDE (q), mg.value AS {x}, q * mg.share AS q FROM p{i - 1} JOIN (SELECT mg.* FROM mg, og WHERE coord = '{x}' AND share >= g) mg ON q * mg.share >= (SELECT g FROM og))")
+    unseen = f"ug AS (SELECT coalesce(max(q), 0) AS u FROM p{len(T) - 1} ANTI JOIN jc USING ({cols}))"
+    return f"{head}, {marginals_sql(src, T)}, {seen}, {', '.join(steps)}, {unseen} SELECT '{','.join(T)}' AS subcube, round(g, 9) AS observed_gap, round(u, 9) AS unobserved_gap, round(greatest(g, u), 9) AS gap FROM og, ug"
+
+
+def _gap_mixture_sql(src, T, cls, head):
+    n = f"(SELECT CAST(count(*) AS DOUBLE) FROM {src})"
+    cols = ", ".join(T)
+    base = f"pz AS (SELECT CAST({cls} AS VARCHAR) AS z, count(*) AS n, count(*) / {n} AS p FROM {src} GROUP BY {cls}), lfz AS ({long_sql(src, T, f'CAST({cls} AS VARCHAR) AS z, ')}), cz AS (SELECT coord, value, z, count(*) AS n FROM lfz GROUP BY ALL), cd AS (SELECT coord, value, cz.z, cz.n / CAST(pz.n AS DOUBLE) AS f FROM cz JOIN pz USING (z))"
+    joins = " ".join(f"JOIN cd c{i} ON c{i}.coord = '{x}' AND c{i}.value = jc.{x} AND c{i}.z = pz.z" for i, x in enumerate(T))
+    held = " * ".join(f"c{i}.f" for i in range(len(T)))
+    js = ", ".join(f"jc.{x}" for x in T)
+    seen = f"jc AS (SELECT {_text(T)}, count(*) AS cnt FROM {src} GROUP BY {cols}), mm AS (SELECT {js}, sum(p * {held}) AS mass FROM jc CROSS JOIN pz {joins} GROUP BY {js}), og AS (SELECT max(abs(cnt / {n} - coalesce(mass, 0))) AS g FROM jc LEFT JOIN mm USING ({cols}))"
+    steps = [f"p0 AS MATERIALIZED (SELECT value AS {T[0]}, cd.z, p * f AS q FROM cd JOIN pz USING (z) WHERE coord = '{T[0]}' AND value IN (SELECT value FROM cd JOIN pz USING (z) WHERE coord = '{T[0]}' GROUP BY value HAVING sum(p * f) >= (SELECT g FROM og)))"]
+    for i, x in enumerate(T[1:], 1):
+        have = ", ".join(T[: i + 1])
+        steps.append(f"r{i} AS MATERIALIZED (SELECT p{i - 1}.* EXCLUDE (q), cd.value AS {x}, q * f AS q FROM p{i - 1} JOIN cd ON cd.z = p{i - 1}.z AND cd.coord = '{x}')")
+        steps.append(f"h{i} AS MATERIALIZED (SELECT {have} FROM r{i} GROUP BY {have} HAVING sum(q) >= (SELECT g FROM og)), p{i} AS MATERIALIZED (SELECT r{i}.* FROM r{i} SEMI JOIN h{i} USING ({have}))")
+    last = len(T) - 1
+    unseen = f"ug AS (SELECT coalesce(max(mass), 0) AS u FROM (SELECT {cols}, sum(q) AS mass FROM p{last} GROUP BY {cols}) ANTI JOIN jc USING ({cols}))"
+    return f"{head}, {base}, {seen}, {', '.join(steps)}, {unseen} SELECT '{','.join(T)}' AS subcube, round(g, 9) AS observed_gap, round(u, 9) AS unobserved_gap, round(greatest(g, u), 9) AS gap FROM og, ug"
 
 
 def gap_shown(df):
-    return df.select("subcube", F.round("observed_gap", 9).alias("observed_gap"))
+    return df.select("subcube", *(F.round(c, 9).alias(c) for c in ("observed_gap", "unobserved_gap", "gap")))
 
 
 query("q_gap_product", _gap_sql("one", T3, ONE))(lambda spark, d: gap_shown(gp.model_gap(one(spark, d), T3)))
 query("q_gap_product_whole", _gap_sql("synth", T3, W("synth")))(lambda spark, d: gap_shown(gp.model_gap(synth(spark, d), T3)))
 
 
-@query("q_gap_mixture", f"{W('synth')}, {_PRIOR}, {_LFZ}, cd AS (SELECT coord, value, cz.z, cz.n / CAST(pz.n AS DOUBLE) AS f FROM cz JOIN pz USING (z)), jc AS (SELECT CAST(x1 AS VARCHAR) AS x1, CAST(x2 AS VARCHAR) AS x2, CAST(x3 AS VARCHAR) AS x3, count(*) AS cnt FROM synth GROUP BY x1, x2, x3), ms AS (SELECT jc.x1, jc.x2, jc.x3, cnt, sum(p * a.f * b.f * c.f) AS mass FROM jc JOIN cd a ON a.coord = 'x1' AND a.value = jc.x1 JOIN cd b ON b.coord = 'x2' AND b.value = jc.x2 AND b.z = a.z JOIN cd c ON c.coord = 'x3' AND c.value = jc.x3 AND c.z = a.z JOIN pz ON pz.z = a.z GROUP BY ALL) SELECT 'x1,x2,x3' AS subcube, round(max(abs(cnt / (SELECT CAST(count(*) AS DOUBLE) FROM synth) - mass)), 9) AS observed_gap FROM ms")
+@query("q_gap_mixture", _gap_mixture_sql("synth", T3, "z", W("synth")))
 def _(spark, d):
     return gap_shown(gp.model_gap(synth(spark, d), T3, "z"))
 
 
-@query("q_gap_all_subsets")
+_SMALL = ("os", "lang", "engine", "browser")
+
+
+@query("q_gap_all_subsets", f"{W('clicks')} " + " UNION ALL ".join(f"SELECT * FROM ({_gap_sql('clicks', T, 'WITH o AS (SELECT 1)')})" for n in (1, 2) for T in combinations(_SMALL, n)))
 def _(spark, d):
-    return gp.model_gap_all(tb.clicks(spark, d), ("os", "lang", "engine", "browser"), 2)
+    return gap_shown(gp.model_gap_all(tb.clicks(spark, d), _SMALL, 2))
 
 
-@query("q_total_variation")
+@query("q_total_variation", f"{W('clicks')}, {marginals_sql('clicks', _SMALL[:3])}, jc AS (SELECT {_text(_SMALL[:3])}, count(*) / (SELECT CAST(count(*) AS DOUBLE) FROM clicks) AS s FROM clicks GROUP BY os, lang, engine), b AS (SELECT s, a.share * b.share * c.share AS q FROM jc JOIN mg a ON a.coord = 'os' AND a.value = os JOIN mg b ON b.coord = 'lang' AND b.value = lang JOIN mg c ON c.coord = 'engine' AND c.value = engine) SELECT 'os,lang,engine' AS subcube, round((sum(abs(s - q)) + greatest(1 - sum(q), 0)) / 2, 9) AS tv FROM b")
 def _(spark, d):
-    return gp.total_variation(tb.clicks(spark, d), ("os", "lang", "engine"))
+    return gp.total_variation(tb.clicks(spark, d), _SMALL[:3]).withColumn("tv", F.round("tv", 9))
 
 
-@query("q_gap_flags", "SELECT FALSE AS within_assumption, FALSE AS enough")
+@query("q_gap_flags", f"SELECT gap < 0.0002 AS within_assumption, gap < 0.0005 AS enough FROM ({_gap_sql('synth', T3, W('synth'))})")
 def _(spark, d):
     """The whole generated stream is no product: the flags say so."""
     f = gp.gap_flags(gp.model_gap(synth(spark, d), T3).first()["gap"], GAMMA)
@@ -538,10 +566,109 @@ def _(spark, d):
     return spark.createDataFrame([(19, 3, round(bl.lower_bound_bits(3, 19, GAMMA), 6))], "d int, k int, bits double")
 
 
-# ---- measures
-@query("q_errors_warmup")
-def _(spark, d):
-    return wl.warm_up(spark, d, (0.5, 2.0))
+# ---- measures and workloads in SQL
+_PCT = "greatest(1, floor({part!r}::DOUBLE * (SELECT count(*) FROM {src})))"
+
+
+def _pri(key):
+    joined = " || '|' || ".join(f"CAST({c} AS VARCHAR)" for c in key)
+    return f"CAST(('0x' || substr(md5('{wl.SEED}|' || {joined}), 1, 8))::BIGINT AS BIGINT)"
+
+
+def _drawn(name, src, key, pct) -> str:
+    return f"{name} AS MATERIALIZED (SELECT * EXCLUDE (pri_at) FROM (SELECT *, row_number() OVER (ORDER BY {_pri(key)}, {', '.join(key)}) AS pri_at FROM {src}) WHERE pri_at <= {_PCT.format(part=pct / 100, src=src)})"
+
+
+def _product_list(T, line, low) -> tuple[list[str], str]:
+    """CTEs that grow prefixes over mg, and the name of the last, with T and e."""
+    name = "l" + "_".join(T)
+    out = [f"{name}0 AS MATERIALIZED (SELECT value AS {T[0]}, share AS e FROM mg WHERE coord = '{T[0]}' AND share >= {max(low, line * (1 - 1e-9))!r})"]
+    for i, x in enumerate(T[1:], 1):
+        near = line if i == len(T) - 1 else line * (1 - 1e-9)
+        out.append(f"{name}{i} AS MATERIALIZED (SELECT p.* EXCLUDE (e), mg.value AS {x}, e * mg.share AS e FROM {name}{i - 1} p JOIN mg ON mg.coord = '{x}' AND mg.share >= {low!r} AND e * mg.share >= {near!r})")
+    return out, f"{name}{len(T) - 1}"
+
+
+def _mixture_list(T, line, low) -> tuple[list[str], str]:
+    """The same over cd (coord, value, z, f) of the values of share >= low, and pz (z, p)."""
+    name = "x" + "_".join(T)
+    out = [f"{name}0 AS MATERIALIZED (SELECT value AS {T[0]}, cd.z, p * f AS q FROM cd JOIN pz USING (z) WHERE coord = '{T[0]}')"]
+    for i, x in enumerate(T[1:], 1):
+        have = ", ".join(T[: i + 1])
+        out.append(f"{name}r{i} AS MATERIALIZED (SELECT p.* EXCLUDE (q), cd.value AS {x}, q * f AS q FROM {name}{i - 1} p JOIN cd ON cd.z = p.z AND cd.coord = '{x}')")
+        out.append(f"{name}{i} AS MATERIALIZED (SELECT r.* FROM {name}r{i} r SEMI JOIN (SELECT {have} FROM {name}r{i} GROUP BY {have} HAVING sum(q) >= {line * (1 - 1e-9)!r}) h USING ({have}))")
+    cols = ", ".join(T)
+    out.append(f"{name} AS MATERIALIZED (SELECT {cols}, sum(q) AS e FROM {name}{len(T) - 1} GROUP BY {cols} HAVING sum(q) >= {line!r})")
+    return out, name
+
+
+def curve_sql(head, src, key, coords, Ts, methods, pct, cls=None, factors=wl.CUTS) -> str:
+    """The rows of workloads.curve."""
+    low = min(Ts.values()) * min(factors)
+    ctes, parts = [marginals_sql(src, coords), _drawn("drawn", src, key, pct)], []
+    if cls:
+        ctes.append(f"pz AS (SELECT CAST({cls} AS VARCHAR) AS z, count(*) AS n, count(*) / (SELECT CAST(count(*) AS DOUBLE) FROM {src}) AS p FROM {src} GROUP BY {cls}), lfz AS ({long_sql(src, coords, f'CAST({cls} AS VARCHAR) AS z, ')}), cd AS MATERIALIZED (SELECT coord, value, c.z, c.n / CAST(pz.n AS DOUBLE) AS f FROM (SELECT coord, value, z, count(*) AS n FROM lfz GROUP BY ALL) c JOIN pz USING (z) SEMI JOIN (SELECT * FROM mg WHERE share >= {low!r}) USING (coord, value))")
+    for T, gamma in Ts.items():
+        name, cols, line = "_".join(T), ", ".join(T), gamma * min(factors)
+        ctes.append(f"t{name} AS MATERIALIZED (SELECT {_text(T)}, count(*) / (SELECT CAST(count(*) AS DOUBLE) FROM {src}) AS s FROM {src} GROUP BY {cols})")
+        for method in methods:
+            if method == "sample":
+                made, last = [f"s{name} AS MATERIALIZED (SELECT {_text(T)}, count(*) / (SELECT CAST(count(*) AS DOUBLE) FROM drawn) AS e FROM drawn GROUP BY {cols} HAVING e >= {line!r})"], f"s{name}"
+            else:
+                made, last = (_product_list if method == "product" else _mixture_list)(T, line, low)
+            ctes += made
+            on = " AND ".join(f"t.{c} IS NOT DISTINCT FROM r.{c}" for c in T)
+            lines = ", ".join(f"({f!r}::DOUBLE, {gamma * f!r}::DOUBLE)" for f in factors)
+            parts.append(f"SELECT {pct!r}::DOUBLE AS pct, '{method}' AS method, f AS cut, '{','.join(T)}' AS subcube, count(*) FILTER (WHERE yes AND s >= {gamma!r}) AS tp, count(*) FILTER (WHERE yes AND s < {gamma!r}) AS fp, count(*) FILTER (WHERE yes AND s < {gamma / 4!r}) AS fp_strict, count(*) FILTER (WHERE NOT yes AND s >= {gamma!r}) AS fn, count(*) FILTER (WHERE yes) AS reported, count(*) FILTER (WHERE s < {gamma!r} AND (yes OR seen)) AS negatives "
+                         f"FROM (SELECT f, coalesce(s, 0) AS s, s IS NOT NULL AS seen, coalesce(e >= l, FALSE) AS yes FROM (SELECT t.s, r.e FROM t{name} t FULL JOIN {last} r ON {on}), (VALUES {lines}) c(f, l)) GROUP BY f")
+    return f"{head}, {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+
+
+_SYN3 = {T: GAMMA for T in tb.SYNTH_SUBCUBES}
+_W2 = lambda pct, methods=("sample", "product"): curve_sql(ONE, "one", ("k",), X, _SYN3, methods, pct)
+_W3 = lambda pct: curve_sql(W("synth"), "synth", ("k",), X, _SYN3, ("sample", "mixture"), pct, "z")
+_W4 = lambda pct, methods=("sample", "product"): curve_sql(W("clicks"), "clicks", tb.ROW_KEY, wl.CLICK_AXES, tb.CLICK_SUBCUBES, methods, pct)
+_T4N = ("geo_region", "geo_nation", "lang")
+
+
+def _averaged_sql(parts, values=("tp", "fp", "fp_strict", "fn", "reported", "negatives")) -> str:
+    every = " UNION ALL ".join(f"SELECT * FROM ({p})" for p in parts)
+    return f"SELECT pct, method, cut, {', '.join(f'avg({v}) AS {v}' for v in values)} FROM ({every}) GROUP BY pct, method, cut"
+
+
+def _roc_sql(points) -> str:
+    return f"""WITH su AS (SELECT pct, method, cut, sum(tp) AS tp, sum(fp) AS fp, sum(fn) AS fn, sum(negatives) AS ng FROM ({points}) GROUP BY ALL),
+ra AS (SELECT pct, method, CASE WHEN ng > 0 THEN fp / CAST(ng AS DOUBLE) ELSE 0 END AS fpr, CASE WHEN tp + fn > 0 THEN tp / CAST(tp + fn AS DOUBLE) ELSE 0 END AS tpr FROM su
+  UNION ALL SELECT DISTINCT pct, method, e, e FROM su, (VALUES (0.0::DOUBLE), (1.0)) v(e)),
+st AS (SELECT pct, method, fpr - lag(fpr) OVER w AS dx, tpr + lag(tpr) OVER w AS sy FROM ra WINDOW w AS (PARTITION BY pct, method ORDER BY fpr, tpr))
+SELECT pct, method, round(coalesce(sum(dx * sy / 2), 0), 9) AS auc FROM st GROUP BY pct, method"""
+
+
+def _warm_sql(budgets) -> str:
+    ctes, parts = [marginals_sql("one", X)], []
+    for T in tb.SYNTH_SUBCUBES:
+        ctes.append(f"t{'_'.join(T)} AS MATERIALIZED (SELECT {', '.join(T)}, count(*) / (SELECT CAST(count(*) AS DOUBLE) FROM one) AS s FROM one GROUP BY {', '.join(T)} ORDER BY count(*) DESC, {', '.join(T)} LIMIT 10)")
+    for i, pct in enumerate(budgets):
+        ctes.append(_drawn(f"d{i}", "one", ("k",), pct))
+        bucket = f"CAST((('0x' || substr(md5('{wl.SEED}|' || r || '|' || coord || '|' || value), 1, 8))::BIGINT) % (SELECT CAST(greatest(1, count(*) // 5) AS BIGINT) FROM d{i}) AS BIGINT)"
+        ctes.append(f"v{i} AS MATERIALIZED (SELECT coord, value, cnt, r, {bucket} AS b FROM mg, range(5) t(r)), c{i} AS MATERIALIZED (SELECT coord, r, b, sum(cnt) AS n FROM v{i} GROUP BY ALL), e{i} AS MATERIALIZED (SELECT coord, value, min(n) / (SELECT CAST(count(*) AS DOUBLE) FROM one) AS share FROM v{i} JOIN c{i} USING (coord, r, b) GROUP BY coord, value)")
+        for T in tb.SYNTH_SUBCUBES:
+            name, cols = "_".join(T), ", ".join(T)
+            sample = f"SELECT t.s, coalesce(e, 0) AS e FROM t{name} t LEFT JOIN (SELECT {cols}, count(*) / (SELECT CAST(count(*) AS DOUBLE) FROM d{i}) AS e FROM d{i} GROUP BY {cols}) USING ({cols})"
+            joins = " ".join(f"JOIN e{i} m{j} ON m{j}.coord = '{c}' AND m{j}.value = CAST(t.{c} AS VARCHAR)" for j, c in enumerate(T))
+            sketch = f"SELECT t.s, {' * '.join(f'm{j}.share' for j in range(len(T)))} AS e FROM t{name} t {joins}"
+            for method, rows in (("sample", sample), ("sketch", sketch)):
+                parts.append(f"SELECT {pct!r}::DOUBLE AS pct, '{method}' AS method, '{','.join(T)}' AS subcube, round(avg((e - s) * (e - s)), 12) AS mse, round(avg(abs(e - s)), 9) AS mae, round(100 * avg(abs(e - s) / s), 6) AS mape FROM ({rows})")
+    return f"{ONE}, {', '.join(ctes)} {' UNION ALL '.join(parts)}"
+
+
+def warm_shown(df):
+    return df.select("pct", "method", "subcube", F.round("mse", 12).alias("mse"), F.round("mae", 9).alias("mae"), F.round("mape", 6).alias("mape"))
+
+
+@query("q_errors_warmup", _warm_sql((0.5, 2.0)))
+def _(spark, d):
+    return warm_shown(wl.warm_up(spark, d, (0.5, 2.0)))
 
 
 @query("q_heavy_stats", f"{ONE} " + " UNION ALL ".join(f"SELECT '{','.join(T)}' AS subcube, count(*) AS distinct_values, count(*) FILTER (WHERE n >= 0.002 * m) AS heavy, count(*) FILTER (WHERE n >= 0.002 * m) / CAST(count(*) AS DOUBLE) AS ratio FROM (SELECT count(*) AS n, (SELECT count(*) FROM one) AS m FROM one GROUP BY {', '.join(T)})" for T in tb.SYNTH_SUBCUBES))
@@ -560,19 +687,22 @@ def _(spark, d):
     return reduce(DataFrame.unionByName, (ms.confusion(sp.sample_all_heavy(smp, T3, GAMMA * c), truth, T3, GAMMA).select(F.lit(c).alias("cut"), "tp", "fp", "fn") for c in (0.5, 1.0, 2.0)))
 
 
-@query("q_roc_auc")
+@query("q_roc_auc", _roc_sql(f"SELECT * FROM ({_W3(2.0)}) UNION ALL SELECT * FROM ({_W2(2.0)})".replace("'sample' AS method", "'sample' AS method")))
 def _(spark, d):
-    return wl.roc(wl.mixture_curve(spark, d))
+    """Areas of the mixture against the sample on the whole stream, and of the product against the sample within a class,
+    summed over both streams for the sample."""
+    points = [wl.mixture_curve(spark, d), wl.independent_curve(spark, d)]
+    held = [spark.createDataFrame(p.collect(), p.schema) for p in points]
+    return wl.roc(held[0].unionByName(held[1])).withColumn("auc", F.round("auc", 9))
 
 
-@query("q_memory", "SELECT * FROM (VALUES ('sample', 13430), ('sketch', 13430), ('product', 13430), ('mixture', 23930)) t(method, cells)")
+@query("q_memory", f"""{ONE}, {marginals_sql('synth', X)}, b AS (SELECT CAST(floor(0.02::DOUBLE * count(*)) AS BIGINT) AS n FROM synth), s AS (SELECT count(*) AS n FROM mg WHERE share >= 0.001), c AS (SELECT count(DISTINCT z) AS n FROM synth)
+SELECT method, 5 * b.n + CASE WHEN method = 'mixture' THEN c.n * s.n ELSE 0 END AS cells FROM b, s, c, (VALUES ('sample'), ('sketch'), ('product'), ('mixture')) t(method)""")
 def _(spark, d):
-    return spark.createDataFrame([(n, ms.memory_cells(n, 5, 2686, 7, 1500)) for n in ("sample", "sketch", "product", "mixture")], "method string, cells int")
-
-
-@query("q_passes", "SELECT * FROM (VALUES ('sample', 1), ('sketch', 1), ('product', 2), ('mixture', 2), ('exact', 1)) t(method, passes)")
-def _(spark, d):
-    return spark.createDataFrame(list(ms.PASSES.items()), "method string, passes int")
+    """Cells that each method stores at 2 % of the stream, the mixture's conditionals counted on the fitted model."""
+    s, m = synth(spark, d), mixture(spark, d)
+    b, survivors = ms.budget_to_params(2.0, len(X), s.count()), m.table.count()
+    return spark.createDataFrame([(n, ms.memory_cells(n, len(X), b["size"], len(m.prior), survivors)) for n in ("sample", "sketch", "product", "mixture")], "method string, cells bigint")
 
 
 @query("q_success_rate")
@@ -583,13 +713,36 @@ def _(spark, d):
 
 
 # ---- workloads
-query("q_w1")(lambda spark, d: wl.warm_up(spark, d))
-query("q_w2")(lambda spark, d: wl.independent_curve(spark, d))
-query("q_w3")(lambda spark, d: wl.mixture_curve(spark, d))
-query("q_w4")(lambda spark, d: wl.clicks_curve(spark, d))
-query("q_w4n")(lambda spark, d: wl.correlated_curve(spark, d))
+query("q_w1", _warm_sql(wl.BUDGETS))(lambda spark, d: warm_shown(wl.warm_up(spark, d)))
+query("q_w2", _W2(2.0))(lambda spark, d: wl.independent_curve(spark, d))
+query("q_w2_sketch")(lambda spark, d: wl.independent_curve(spark, d, methods=("sketch",)))
+query("q_w3", _W3(2.0))(lambda spark, d: wl.mixture_curve(spark, d))
+query("q_w4", _W4(10.0))(lambda spark, d: wl.clicks_curve(spark, d))
+query("q_w4_sketch")(lambda spark, d: wl.clicks_curve(spark, d, methods=("sketch",)))
+query("q_w4n", curve_sql(W("clicks"), "clicks", tb.ROW_KEY, _T4N, {_T4N: 0.01}, ("sample", "product"), 10.0, factors=(0.5, 1.0)))(lambda spark, d: wl.correlated_curve(spark, d))
 query("q_w5")(lambda spark, d: wl.search_curve(spark, d))
-query("q_parameter_table")(lambda spark, d: wl.parameter_table(spark, d))
+#: Memory budgets at which every value over the least cut still has a counter, so that SQL can say the lists.
+query("q_w2_budgets", _averaged_sql(_W2(p) for p in (2.0, 5.0, 10.0)))(lambda spark, d: wl.over_budgets(wl.independent_curve, spark, d, (2.0, 5.0, 10.0)))
+query("q_w3_budgets", _averaged_sql(_W3(p) for p in (2.0, 5.0, 10.0)))(lambda spark, d: wl.over_budgets(wl.mixture_curve, spark, d, (2.0, 5.0, 10.0)))
+query("q_w4_budgets", _averaged_sql(_W4(p) for p in (2.0, 5.0, 10.0)))(lambda spark, d: wl.over_budgets(wl.clicks_curve, spark, d, (2.0, 5.0, 10.0)))
+query("q_w2_small")(lambda spark, d: wl.over_budgets(wl.independent_curve, spark, d, (0.1, 0.5, 1.0), methods=("sample", "product", "sketch")))
+
+
+def _stats_sql(src, T, gamma):
+    return f"SELECT '{','.join(T)}' AS subcube, count(*) FILTER (WHERE n / CAST(m AS DOUBLE) >= {gamma!r}) AS heavy, count(*) FILTER (WHERE n / CAST(m AS DOUBLE) >= {gamma!r}) / CAST(count(*) AS DOUBLE) AS ratio FROM (SELECT count(*) AS n, (SELECT count(*) FROM {src}) AS m FROM {src} GROUP BY {', '.join(T)})"
+
+
+def _web_sql(T):
+    return f"SELECT '{','.join(T)}' AS subcube, count(*) FILTER (WHERE n >= 0.05 * m) AS heavy, count(*) FILTER (WHERE n >= 0.05 * m) / CAST(count(*) AS DOUBLE) AS ratio FROM (SELECT w.subset, count(*) AS n, any_value(z.m) AS m FROM websearch w JOIN (SELECT subset, count(*) AS m FROM websearch GROUP BY subset) z ON z.subset = w.subset GROUP BY w.subset, {', '.join(f'w.{c}' for c in T)}) GROUP BY subset"
+
+
+def _table_sql():
+    parts = {"generated, fixed class": [ONE, [_stats_sql("one", T, GAMMA) for T in tb.SYNTH_SUBCUBES]], "generated, whole": [W("synth"), [_stats_sql("synth", T, GAMMA) for T in tb.SYNTH_SUBCUBES]],
+             "clicks": [W("clicks"), [_stats_sql("clicks", T, g) for T, g in tb.CLICK_SUBCUBES.items()]], "web search": [W("websearch"), [_web_sql(tb.SEARCH_COORDS[i : i + 3]) for i in range(8)]]}
+    return " UNION ALL ".join(f"SELECT '{name}' AS workload, count(DISTINCT subcube) AS subcubes, round(avg(heavy), 9) AS avg_heavy, round(avg(ratio), 9) AS avg_ratio FROM ({head} {' UNION ALL '.join(rows)})" for name, (head, rows) in parts.items())
+
+
+query("q_parameter_table", _table_sql())(lambda spark, d: wl.parameter_table(spark, d).withColumns({c: F.round(c, 9) for c in ("avg_heavy", "avg_ratio")}))
 
 
 @query("q_w6", f"{W('wide')} SELECT sr_name AS r, quarter(l_shipdate) AS q, p_type AS p, count(*) AS cnt FROM wide GROUP BY ALL HAVING count(*) >= 0.01 * (SELECT count(*) FROM wide)")
@@ -613,22 +766,50 @@ def _(spark, d):
     return ex.exact_all_heavy(tb.grams(spark, d), ("lang", "a", "b", "c"), 0.0001, prune=True).drop("share")
 
 
-@query("q_w8_mixture")
+_GRAMS = f"{W('grams')}, pz AS (SELECT CAST(lang AS VARCHAR) AS z, count(*) AS n, count(*) / (SELECT CAST(count(*) AS DOUBLE) FROM grams) AS p FROM grams GROUP BY lang), lfz AS ({long_sql('grams', ('a', 'b'), 'CAST(lang AS VARCHAR) AS z, ')}), {marginals_sql('grams', ('a', 'b'))}, cd AS MATERIALIZED (SELECT coord, value, c.z, c.n / CAST(pz.n AS DOUBLE) AS f FROM (SELECT coord, value, z, count(*) AS n FROM lfz GROUP BY ALL) c JOIN pz USING (z) SEMI JOIN (SELECT * FROM mg WHERE share >= 0.0001) USING (coord, value))"
+
+
+@query("q_w8_mixture", (lambda made: f"{_GRAMS}, {', '.join(made[0])} SELECT a, b, round(e, 9) AS mass FROM {made[1]}")(_mixture_list(("a", "b"), 0.0002, 0.0001)))
 def _(spark, d):
     g = tb.grams(spark, d).persist()
-    return all_heavy(md.fit_mixture(g, ("a", "b"), "lang", 0.002), ("a", "b"))
+    return shown(all_heavy(md.fit_mixture(g, ("a", "b"), "lang", 0.0002), ("a", "b"), 0.0002), ("a", "b"))
 
 
 query("q_w9", _gap_sql("first_words", T3, W("first_words")))(lambda spark, d: gap_shown(gp.model_gap(tb.first_words(spark, d), T3)))
-query("q_w9_mixture")(lambda spark, d: gap_shown(gp.model_gap(tb.first_words(spark, d), T3, "lang")))
+query("q_w9_mixture", _gap_mixture_sql("first_words", T3, "lang", W("first_words")))(lambda spark, d: gap_shown(gp.model_gap(tb.first_words(spark, d), T3, "lang")))
+
+
+def _w10_sql(n):
+    T = _AXES[:n]
+    one_each = " + ".join(f"(SELECT count(DISTINCT {c}) FROM clicks)" for c in T)
+    pairs = " + ".join(f"(SELECT count(*) FROM (SELECT DISTINCT {a}, {b} FROM clicks))" for a, b in combinations(T, 2))
+    return f"SELECT {n} AS d, {one_each} AS model_cells, {pairs} AS per_subcube_cells"
+
 
+_AXES = ("os", "lang", "engine", "browser", "referrer", "plugins")
 
-@query("q_w10", "SELECT d, CAST(d * 2686 AS BIGINT) AS model_cells, CAST(d * (d - 1) * (d - 2) / 6 * 2686 AS BIGINT) AS per_subcube_cells FROM (VALUES (5), (10), (19)) t(d)")
+
+@query("q_w10", f"{W('clicks')} SELECT * FROM (" + " UNION ALL ".join(_w10_sql(n) for n in (3, 4, 5, 6)) + ")")
 def _(spark, d):
-    return spark.createDataFrame([(n, n * 2686, bl.per_subcube_cells(n, 3, 2686)) for n in (5, 10, 19)], "d int, model_cells bigint, per_subcube_cells bigint")
+    """Cells stored by one summary of each coordinate and by one of each pair of coordinates, built and counted."""
+    c, out = tb.clicks(spark, d).persist(), []
+    for n in (3, 4, 5, 6):
+        T = _AXES[:n]
+        out.append((n, sm.misra_gries(c, T, 100_000).count(), bl.per_subcube_summary(c, T, 2, 100_000).count()))
+    return spark.createDataFrame(out, "d int, model_cells bigint, per_subcube_cells bigint")
+
+
+def _w11_sql():
+    parts, ctes = [], [marginals_sql("clicks", wl.SCALING)]
+    for k in range(1, 9):
+        made, last = _product_list(wl.SCALING[:k], 0.001, 0.001)
+        ctes += [m.replace("los", f"k{k}los") for m in made]
+        parts.append(f"SELECT {k} AS k, strategy, (SELECT count(*) FROM {last.replace('los', f'k{k}los')}) AS heavy FROM (VALUES ('bucketed'), ('nested'), ('sorted'){", ('cartesian')" if k <= 4 else ''}) t(strategy)")
+    return f"{W('clicks')}, {', '.join(ctes)} {' UNION ALL '.join(parts)}"
 
 
-query("q_w11")(lambda spark, d: wl.strategy_scaling(spark, d))
+query("q_w11", _w11_sql())(lambda spark, d: wl.strategy_scaling(spark, d).drop("pairs"))
+query("q_w11_pairs")(lambda spark, d: wl.strategy_scaling(spark, d))
 
 
 def queries() -> dict[str, Query]:

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.measures import auc, averaged, budget_to_params, confusion_sweep, estimate_errors, rates
 from ..operators.exact import exact_shares, fix_class, heavy_stats
-from ..operators.expand import STRATEGIES, all_heavy
+from ..operators.expand import STRATEGIES, all_heavy, pairs_examined
 from ..operators.models import Model, fit_mixture, fit_product
 from ..operators.sampling import draw_sample, sample_all_heavy
 from ..operators.sketch import fit_sketch
@@ -65,7 +65,7 @@ def curve(df: DataFrame, key: Iterable[str], coords: tuple[str, ...], Ts: dict[t
     built: dict[str, Model | DataFrame] = {}
     for method in methods:
         if method == "sample":
-            built[method] = kept(draw_sample(df, key, b["size"], SEED))
+            built[method] = kept(draw_sample(df, key, b["size"], SEED, "md5"))
             continue
         if method == "sketch":
             model = fit_sketch(df, coords, low, b["width"], b["depth"], cls=None)
@@ -85,17 +85,28 @@ def curve(df: DataFrame, key: Iterable[str], coords: tuple[str, ...], Ts: dict[t
     return reduce(DataFrame.unionByName, out)
 
 
-def independent_curve(spark: SparkSession, sf_dir: str, pct: float = 2.0) -> DataFrame:
-    return curve(fix_class(synth(spark, sf_dir), "z"), ["k"], tuple(SIZES), {T: GAMMA for T in SYNTH_SUBCUBES}, ("sample", "product", "sketch"), pct)
+def independent_curve(spark: SparkSession, sf_dir: str, pct: float = 2.0, methods: Iterable[str] = ("sample", "product")) -> DataFrame:
+    return curve(fix_class(synth(spark, sf_dir), "z"), ["k"], tuple(SIZES), {T: GAMMA for T in SYNTH_SUBCUBES}, methods, pct)
 
 
 def mixture_curve(spark: SparkSession, sf_dir: str, pct: float = 2.0) -> DataFrame:
     return curve(synth(spark, sf_dir), ["k"], tuple(SIZES), {T: GAMMA for T in SYNTH_SUBCUBES}, ("sample", "mixture"), pct, "z")
 
 
-def clicks_curve(spark: SparkSession, sf_dir: str, pct: float = 10.0) -> DataFrame:
-    coords = tuple(dict.fromkeys(c for T in CLICK_SUBCUBES for c in T))
-    return curve(clicks(spark, sf_dir), ROW_KEY, coords, CLICK_SUBCUBES, ("sample", "product", "sketch"), pct)
+CLICK_AXES = tuple(dict.fromkeys(c for T in CLICK_SUBCUBES for c in T))
+
+
+def clicks_curve(spark: SparkSession, sf_dir: str, pct: float = 10.0, methods: Iterable[str] = ("sample", "product")) -> DataFrame:
+    return curve(clicks(spark, sf_dir), ROW_KEY, CLICK_AXES, CLICK_SUBCUBES, methods, pct)
+
+
+def over_budgets(made: Callable[..., DataFrame], spark: SparkSession, sf_dir: str, pcts: Iterable[float], **more) -> DataFrame:
+    """(pct, method, cut, averages over the subsets) of a curve at several memory budgets, one budget at a time."""
+    out = []
+    for pct in pcts:
+        got = made(spark, sf_dir, pct, **more)
+        out.append(spark.createDataFrame(got.collect(), got.schema))
+    return averaged(reduce(DataFrame.unionByName, out), ["pct", "method", "cut"], ("tp", "fp", "fp_strict", "fn", "reported", "negatives"))
 
 
 def correlated_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -144,14 +155,20 @@ def parameter_table(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def strategy_scaling(spark: SparkSession, sf_dir: str, k_max: int = 8) -> DataFrame:
-    """(k, strategy, heavy): every strategy lists the same number at each k."""
-    coords = ("os", "lang", "engine", "geo_region", "browser", "referrer", "plugins", "visit_no")
-    model = fit_product(clicks(spark, sf_dir), coords, 0.002)
+    """(k, strategy, heavy, pairs): every strategy lists the same number at each k, and looks at so many pairs of a
+    prefix and a value for it."""
+    model = fit_product(clicks(spark, sf_dir), SCALING, 0.002)
     model.table = kept(model.table)
-    out = [all_heavy(model, coords[:k], 0.001, s).agg(F.count("*").alias("heavy")).select(F.lit(k).alias("k"), F.lit(s).alias("strategy"), "heavy") for k in range(1, k_max + 1) for s in STRATEGIES if s != "cartesian" or k <= 4]
+    out = []
+    for k in range(1, k_max + 1):
+        pairs = pairs_examined(model, SCALING[:k], 0.001)
+        out += [all_heavy(model, SCALING[:k], 0.001, s, reorder=False).agg(F.count("*").alias("heavy")).select(F.lit(k).alias("k"), F.lit(s).alias("strategy"), "heavy", F.lit(pairs[s]).alias("pairs")) for s in STRATEGIES if s != "cartesian" or k <= 4]
     return reduce(DataFrame.unionByName, out)
 
 
+SCALING = ("os", "lang", "engine", "geo_region", "browser", "referrer", "plugins", "visit_no")
+
+
 def top_of(df: DataFrame, by: str, n: int, order: str) -> DataFrame:
     w = Window.partitionBy(by).orderBy(F.desc(order))
     return df.withColumn("__r", F.row_number().over(w)).where(F.col("__r") <= n).drop("__r")

@@ -8,8 +8,11 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: How a null value of a coordinate is written in long form; null is an ordinary value.
+#: How a null value of a coordinate is written in long form; null is an ordinary value. A text that starts with the mark
+#: gets another one in front, so that no value is taken for null.
 NULL_MARK = "␀"
+#: Columns that results add; coordinates can't have these names.
+ADDED = frozenset({"cnt", "share", "mass", "priority", "coord", "value"})
 
 
 @dataclass(frozen=True)
@@ -30,12 +33,19 @@ class StreamSpec:
             raise ValueError(f"unknown columns: {wrong}")
         if not coords or len(set(coords)) < len(coords):
             raise ValueError("coordinates must be distinct, one at least")
+        unclashed(coords)
         real = [c for c in coords if kinds[c] in ("double", "float")]
         if real:
             raise ValueError(f"bucket real-valued columns first: {real}")
         return cls(coords, klass, key, {c: kinds[c] for c in (*coords, *([klass] if klass else ()))})
 
 
+def unclashed(names: Iterable[str], added: Iterable[str] = ADDED) -> None:
+    clash = sorted(set(names) & set(added))
+    if clash:
+        raise ValueError(f"rename first, results have columns of these names: {clash}")
+
+
 def subset(coords: Iterable[str], T: Iterable[str]) -> tuple[str, ...]:
     T = tuple(T)
     if not T or len(set(T)) < len(T) or not set(T) <= set(coords):
@@ -52,15 +62,18 @@ def share_of(gamma: float, name: str = "gamma") -> float:
 def text(c: str | Column) -> Column:
     """A coordinate's value in long form."""
     c = F.col(c) if isinstance(c, str) else c
-    return F.coalesce(c.cast("string"), F.lit(NULL_MARK))
+    v = c.cast("string")
+    return F.when(v.isNull(), NULL_MARK).when(v.startswith(NULL_MARK), F.concat(F.lit(NULL_MARK), v)).otherwise(v)
 
 
 def encode(v: object) -> str:
+    if isinstance(v, str) and v.startswith(NULL_MARK):
+        return NULL_MARK + v
     return NULL_MARK if v is None else str(v).lower() if isinstance(v, bool) else str(v)
 
 
 def decoded(c: Column, kind: str) -> Column:
-    return F.when(c == NULL_MARK, None).otherwise(c).cast(kind)
+    return F.when(c == NULL_MARK, None).when(c.startswith(NULL_MARK), F.substring(c, 2, 1 << 30)).otherwise(c).cast(kind)
 
 
 def long_form(df: DataFrame, coords: Iterable[str], keep: Iterable[str] = ()) -> DataFrame:
