@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, forget, stored_at
+from .common import components, forget, stored_at, tidied
 from .textscan import mixed
 
 TABLES, PROBES, BLOCK = 12, 3, 1024
@@ -95,22 +95,26 @@ def _units(col) -> tuple[np.ndarray, list[np.ndarray | None]]:
     return out
 
 
-def _shape(batches):
-    """(id, hash of the exact vector or null, length, the vector's bytes)."""
-    for batch in batches:
-        unit = _units(batch.column(1))
-        raw = [None if u is None else np.array(v, np.float64).tobytes() for u, v in zip(unit, batch.column(1).to_pylist(), strict=True)]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(raw, pa.binary())], names=["vec_id", "raw"])
+def _shape(kind: str):
+    """(id, the vector's bytes or null), in the precision that the column has."""
+
+    def go(batches):
+        for batch in batches:
+            unit = _units(batch.column(1))
+            raw = [None if u is None else np.array(v, kind).tobytes() for u, v in zip(unit, batch.column(1).to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(raw, pa.binary())], names=["vec_id", "raw"])
+
+    return go
 
 
-def _deal(width: int, tables: int, probes: int):
+def _deal(width: int, tables: int, probes: int, kind: str):
     """(key, node) for each different key of each vector."""
 
     def go(batches):
         for batch in batches:
             raws = batch.column(1)
             for lo in range(0, len(batch), 1024):
-                some = [np.frombuffer(r.as_buffer()) for r in raws.slice(lo, 1024)]
+                some = [np.frombuffer(r.as_buffer(), kind).astype(float) for r in raws.slice(lo, 1024)]
                 node = batch.column(0).slice(lo, 1024).to_numpy(zero_copy_only=False)
                 for d in sorted({len(x) for x in some}):
                     at = [i for i, x in enumerate(some) if len(x) == d]
@@ -130,7 +134,7 @@ def unit_rows(vectors: list[np.ndarray]) -> np.ndarray:
     return x / np.sqrt((x * x).sum(1, keepdims=True))
 
 
-def _compare(line: float):
+def _compare(line: float, kind: str):
     """For the keys dealt to a task, or two blocks of one key: (0, node, links found here), (1, least node, node)."""
 
     def go(t):
@@ -139,7 +143,7 @@ def _compare(line: float):
         name, back = np.unique(node, return_index=True)
         at = np.searchsorted(name, node)
         raws, lists = t.column("raw").take(pa.array(back)), t.column("keys").take(pa.array(back))
-        some = [np.frombuffer(x.as_buffer()) for x in raws]
+        some = [np.frombuffer(x.as_buffer(), kind).astype(float) for x in raws]
         vec = np.zeros((len(name), max(map(len, some))))
         for d in {len(x) for x in some}:
             rows = [i for i, x in enumerate(some) if len(x) == d]
@@ -226,14 +230,17 @@ def _forest(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", line: float = 0.95, tables: int = TABLES, probes: int = PROBES) -> DataFrame:
     """(vec_id, n_links, component_id, kept) for every row."""
-    rows, rows_at = stored_at(vectors.select(F.col(id_col).cast("bigint").alias("vec_id"), F.col(vec_col).alias("v")).mapInArrow(_shape, "vec_id bigint, raw binary"), "vectors")
+    # vectors move in the precision that they have, and are compared in double
+    kind = "<f4" if vectors.schema[vec_col].dataType.simpleString() == "array<float>" else "<f8"
+    each = np.dtype(kind).itemsize
+    rows, rows_at = stored_at(vectors.select(F.col(id_col).cast("bigint").alias("vec_id"), F.col(vec_col).alias("v")).mapInArrow(tidied(_shape(kind)), "vec_id bigint, raw binary"), "vectors")
     # equal vectors are one node, named by their least id
     groups = rows.where("raw is not null").groupBy("raw").agg(F.min("vec_id").alias("node"), F.count("*").alias("many"))
     nodes, nodes_at = stored_at(groups, "nodes")
     count, longest = nodes.agg(F.count("*"), F.max(F.length("raw"))).first()
-    width = width_for(count, max(2, (longest or 16) // 8))
+    width = width_for(count, max(2, (longest or 16) // each))
     tables += 6 * max(0, width - 3)
-    dealt, dealt_at = stored_at(nodes.select("node", "raw").mapInArrow(_deal(width, tables, probes), "key bigint, node bigint"), "dealt")
+    dealt, dealt_at = stored_at(nodes.select("node", "raw").mapInArrow(tidied(_deal(width, tables, probes, kind)), "key bigint, node bigint"), "dealt")
     # keys of one vector go; the others' vectors are cut into blocks, and every pair of blocks meets once
     full, full_at = stored_at(dealt.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select(F.col("key").alias("k0"), F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")), "keys")
     alive, alive_at = stored_at(dealt.join(full, F.col("key") == F.col("k0")).select("key", "node", "blocks"), "alive")
@@ -245,7 +252,7 @@ def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "emb
         F.when(F.col("blocks") > 1, F.col("key")).otherwise(F.pmod(F.xxhash64("key"), F.lit(slots))).alias("slot"),
         F.least("mine", "other").alias("p"), F.greatest("mine", "other").alias("q"), "key", "node", "raw", "keys", "many",
         F.when(F.col("mine") == F.col("other"), 2).when(F.col("mine") < F.col("other"), 0).otherwise(1).alias("side"))
-    found, found_at = stored_at(meets.groupBy("slot", "p", "q").applyInArrow(_compare(line), "kind int, a bigint, b bigint"), "met")
+    found, found_at = stored_at(meets.groupBy("slot", "p", "q").applyInArrow(_compare(line, kind), "kind int, a bigint, b bigint"), "met")
     comp = components(found.where("kind = 1").select("a", "b").distinct())
     links = found.where("kind = 0").groupBy(F.col("a").alias("n1")).agg(F.sum("b").alias("links"))
     out = (nodes.join(links, F.col("node") == F.col("n1"), "left").join(comp.select(F.col("node").alias("n2"), "comp"), F.col("node") == F.col("n2"), "left")

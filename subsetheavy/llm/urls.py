@@ -18,7 +18,7 @@ import mmap
 import os
 import struct
 import tempfile
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -113,9 +113,24 @@ def parts(url: str | None) -> tuple[str, str]:
     return host.translate(_UPPER), path
 
 
-def url_verdicts(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", rules: Iterable[tuple[str, str, bool]] = RULES, listed: Iterable[str] = BLOCKED) -> DataFrame:
-    """(page_id, host, path, rule, verdict) for every row. The file goes to each executor once."""
-    held = pack(rules, listed)
+#: Hosts that a list may have: 100 million take some 4 GB of mapped file, which is what every executor gets.
+MOST = 100_000_000
+
+
+def listed_hosts(spark, path: str, col: str = "host", most: int = MOST) -> Iterator[str]:
+    """The hosts of a table (Parquet, or text with one host a line), read part by part; a list of over `most` is refused."""
+    table = spark.read.text(path).toDF(col) if path.endswith((".txt", ".gz")) else spark.read.parquet(path)
+    hosts = table.select(F.trim(F.col(col)).alias(col)).where(F.length(col) > 0).distinct()
+    n = hosts.count()
+    if n > most:
+        raise ValueError(f"{n} listed hosts, over {most}")
+    return (r[0] for r in hosts.toLocalIterator())
+
+
+def url_verdicts(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", rules: Iterable[tuple[str, str, bool]] = RULES, listed: Iterable[str] | str = BLOCKED) -> DataFrame:
+    """(page_id, host, path, rule, verdict) for every row. listed: hosts whose whole sites are blocked, or the path of a
+    table of them (see listed_hosts). The file goes to each executor once."""
+    held = pack(rules, listed_hosts(pages.sparkSession, listed) if isinstance(listed, str) else listed)
     name = f"urls-{hashlib.sha256(held).hexdigest()[:16]}.bin"
     context = pages.sparkSession.sparkContext
     if (context.applicationId, name) not in _sent:  # a name can be sent once
