@@ -45,7 +45,7 @@ def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("quality_boosted_trees", quality), ("ngram_jaccard_join", near_duplicates), ("benchmark_decontamination", decontamination), ("secret_scan", secrets), ("best_fit_packing", packing)]
 
-#: Trained trees, alignments and a tokenizer have no SQL; tests hold each stage against a brute-force version.
+#: Trained trees, alignments and a tokenizer have no SQL; tests/llm holds the method of each stage against a plain version.
 ORACLE_SQL = None
 
 

@@ -66,7 +66,7 @@ def test_jaccard_equals_brute_force(spark, seed):
     assert got == brute(texts)
 
 
-@pytest.mark.parametrize("k,share", [(1, 50), (2, 50), (1, 34), (3, 65), (2, 90), (5, 100)])
+@pytest.mark.parametrize("k,share", [(1, 50), (1, 34), (3, 65), (5, 100)])
 def test_jaccard_at_other_settings(spark, monkeypatch, k, share):
     monkeypatch.setattr("subsetheavy.llm.jaccard.LIST", 8)
     rng = random.Random(k * share)
