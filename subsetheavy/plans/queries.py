@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-
+import uuid
 from collections.abc import Callable
 from itertools import combinations
 
@@ -20,6 +20,7 @@ from ..operators import summaries as sm
 from ..operators.expand import all_heavy, all_heavy_many, bounds_report, check_downward
 from ..sources import tables as tb
 from ..spec import long_form
+from . import questions as qu
 from . import workloads as wl
 
 GAMMA = 0.002
@@ -274,18 +275,13 @@ def _(spark, d):
 
 @query("q_model_round_trip", f"{ONE}, {marginals_sql('one', T3)} {product_sql('one', T3, LAM, LAM)}")
 def _(spark, d):
-    import uuid
-
     path = f"{_scratch(spark)}/model-{uuid.uuid4().hex}"
     md.save_model(product(spark, d), path)
     return shown(all_heavy(md.load_model(spark, path), T3), T3)
 
 
 def _scratch(spark) -> str:
-    import tempfile
-
-    found = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", "")
-    return found.rstrip("/") or "file://" + tempfile.mkdtemp(prefix="models-")
+    return tb.shared(spark, "models-")
 
 
 @query("q_model_merge", f"{ONE}, {marginals_sql('one', X)} SELECT coord, value, cnt, round(share, 9) AS share FROM mg WHERE share >= 0.001")
@@ -812,6 +808,56 @@ query("q_w11", _w11_sql())(lambda spark, d: wl.strategy_scaling(spark, d).drop("
 query("q_w11_pairs")(lambda spark, d: wl.strategy_scaling(spark, d))
 
 
+# ---- questions in SQL text, and functions of the user's own
+def _asked(spark, d, model):
+    qu.register(spark, model, "asked")
+    return qu.heavy_sql(spark, T3, LAM, "asked").withColumn("mass", F.round("mass", 9))
+
+
+query("q_sql_heavy_product", f"{ONE}, {marginals_sql('one', T3)} {product_sql('one', T3, LAM, LAM)}")(lambda spark, d: _asked(spark, d, product(spark, d)))
+query("q_sql_heavy_mixture", f"{_MIX} {mixture_sql(T3)}")(lambda spark, d: _asked(spark, d, mixture(spark, d)))
+
+
+@query("q_sql_verdicts", _sql["q_product_verdicts"])
+def _(spark, d):
+    """The verdicts of a table of questions, by SQL functions over a model that was saved and read again."""
+    s, path = one(spark, d), f"{_scratch(spark)}/asked-{uuid.uuid4().hex}"
+    md.save_model(md.fit_product(s, X, GAMMA), path)
+    qu.register(spark, md.load_model(spark, path), "asked")
+    probes(s).createOrReplaceTempView("questions")
+    return spark.sql(f"SELECT probe_id, round(asked_share(coords, vals), 9) AS mass, asked_verdict(coords, vals, {LAM!r}D) AS yes FROM questions")
+
+
+@query("q_sql_subcubes", "SELECT a.i AS a, b.i AS b FROM (VALUES ('x1', 1), ('x2', 2), ('x3', 3), ('x4', 4), ('x5', 5)) a(i, n) JOIN (VALUES ('x1', 1), ('x2', 2), ('x3', 3), ('x4', 4), ('x5', 5)) b(i, n) ON a.n < b.n")
+def _(spark, d):
+    qu.register(spark, product(spark, d), "asked")
+    return spark.sql("SELECT a.coord AS a, b.coord AS b FROM subcubes('x1, x2, x3, x4, x5', 2) a JOIN subcubes('x1, x2, x3, x4, x5', 2) b ON a.subcube_id = b.subcube_id AND a.pos = 1 AND b.pos = 2")
+
+
+@query("q_x1_scalar_function", f"{W('clicks')}, {marginals_sql('clicks', ('os', 'page'))} SELECT coord, value, CAST(floor(-log2(share)) AS BIGINT) AS band FROM mg")
+def _(spark, d):
+    """The bucket of a share by a vectorised function of the user's."""
+    return gp.exact_model(tb.clicks(spark, d), ("os", "page")).table.select("coord", "value", qu.band("share").alias("band"))
+
+
+@query("q_x2_group_function", f"{W('clicks')} SELECT lang, round(max(n) / CAST(sum(n) AS DOUBLE), 9) AS top FROM (SELECT lang, page, count(*) AS n FROM clicks GROUP BY lang, page) GROUP BY lang")
+def _(spark, d):
+    """The share of each group's most frequent value by a vectorised aggregate of the user's, over counts."""
+    return tb.clicks(spark, d).groupBy("lang", "page").agg(F.count("*").alias("n")).groupBy("lang").agg(F.round(qu.top_share("n"), 9).alias("top"))
+
+
+@query("q_u2", f"{W('clicks')} SELECT os, lang, NULL AS engine FROM clicks UNION ALL SELECT os, NULL, engine FROM clicks")
+def _(spark, d):
+    c = tb.clicks(spark, d)
+    return c.select("os", "lang").unionByName(c.select("os", "engine"), allowMissingColumns=True)
+
+
+@query("q_j10", f"{ONE}, {marginals_sql('one', ('x1', 'x4'))} {product_sql('one', ('x1', 'x4'), LAM, LAM)}")
+def _(spark, d):
+    """The range join behind a listing, mass * share >= line, as an equi-join on powers of two."""
+    return shown(all_heavy(product(spark, d), ("x1", "x4"), strategy="bucketed"), ("x1", "x4"))
+
+
 def queries() -> dict[str, Query]:
     return dict(_queries)
 

@@ -10,14 +10,15 @@ subcubes(coords, k), which lists the subsets of k coordinates. A model has at mo
 stream, so the one task of heavy_values holds it.
 """
 
-from __future__ import annotations
-
 import re
 from itertools import combinations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.functions import udtf
+from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import DoubleType, LongType
 
 from ..operators.models import Model, prior_array
 from ..spec import NULL_MARK
@@ -73,6 +74,18 @@ class Subcubes:
                 yield i, pos, c
 
 
+@pandas_udf(LongType())
+def band(share: pd.Series) -> pd.Series:
+    """The power of two that a share lies under."""
+    return np.floor(-np.log2(share)).astype("int64")
+
+
+@pandas_udf(DoubleType())
+def top_share(counts: pd.Series) -> float:
+    """The largest count over their sum."""
+    return float(counts.max() / counts.sum()) if len(counts) else 0.0
+
+
 def view_of(model: Model) -> DataFrame:
     """The model as one table for SQL: shares within classes, and the classes' shares, as arrays (a product has one)."""
     by = F.col("cond") if model.mixture else F.array("share")

@@ -1,11 +1,12 @@
 """The one-pass structures over Structured Streaming, finished with what is available.
 
 Events come from files with a fixed schema. Timestamps without a zone are cast before a watermark, which they can't
-carry. State is bounded: windowed counts by the watermark, the sample and the counters by their size."""
+carry. State is bounded: windowed counts by the watermark, the sample and the counters by their size. Samples and counters are
+kept as a table for each batch, under the batch's number: a batch that comes again finds its table and changes nothing,
+and a run that starts again from its checkpoint goes on from the last table."""
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -13,16 +14,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.sampling import priority
-from ..operators.summaries import cell, mg_merge, misra_gries
+from ..operators.summaries import COUNTERS, cell, mg_merge, misra_gries
+from ..sources.tables import shared, table
 from ..spec import long_form
-from ..sources.tables import table
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
 
 def _folder(spark: SparkSession, name: str) -> str:
-    found = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", "")
-    return f"{found.rstrip('/') or 'file://' + tempfile.mkdtemp(prefix='streams-')}/{name}-{uuid.uuid4().hex}"
+    return f"{shared(spark, 'streams-')}/{name}-{uuid.uuid4().hex}"
 
 
 def event_files(spark: SparkSession, sf_dir: str, late: bool = False) -> str:
@@ -42,10 +42,11 @@ def events(spark: SparkSession, path: str, files: int = 10) -> DataFrame:
     return got.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def finish(stream: DataFrame, mode: str = "append", each: Callable[[DataFrame, int], None] | None = None) -> DataFrame | None:
-    """Run over what is available. Without each, rows go to files (append) or to the last batch's table (complete)."""
+def finish(stream: DataFrame, mode: str = "append", each: Callable[[DataFrame, int], None] | None = None, mark: str | None = None) -> DataFrame | None:
+    """Run over what is available. Without each, rows go to files (append) or to the last batch's table (complete).
+    mark: the checkpoint, given to go on from it."""
     spark = stream.sparkSession
-    out, mark = _folder(spark, "out"), _folder(spark, "mark")
+    out, mark = _folder(spark, "out"), mark or _folder(spark, "mark")
     writer = stream.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", mark)
     if each is None and mode == "append":
         writer.format("parquet").option("path", out).start().awaitTermination()
@@ -82,36 +83,66 @@ def deduplicated(ev: DataFrame, delay: str = "40 days") -> DataFrame:
     return ev.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
 
 
-def stream_sample(ev: DataFrame, size: int, seed: int = 7) -> DataFrame:
-    """The uniform sample of all rows seen, the batches' least rows merged into a table: exact, and safe to replay."""
-    spark, state = ev.sparkSession, [None]
+def _whole(spark: SparkSession, root: str) -> dict[int, str]:
+    """The batches whose tables are whole, by number."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(root)
+    fs = at.getFileSystem(spark._jsc.hadoopConfiguration())
+    found = fs.listStatus(at) if fs.exists(at) else []
+    names = [s.getPath().getName() for s in found]
+    return {int(n): f"{root}/{n}" for n in names if n.isdigit() and fs.exists(spark._jvm.org.apache.hadoop.fs.Path(f"{root}/{n}/_SUCCESS"))}
+
+
+def kept_state(stream: DataFrame, root: str, kind: str, add: Callable[[DataFrame], DataFrame], merge: Callable[[DataFrame, DataFrame], DataFrame], mark: str | None = None) -> DataFrame:
+    """The state after all batches: a table for each batch under root, made of the batch (add) and the table before
+    (merge). Older tables than the last two go."""
+    spark = stream.sparkSession
+    mark = mark or f"{root}/mark"
 
     def each(batch: DataFrame, n: int) -> None:
-        own = batch.select("event_id", priority(["event_id"], seed, "md5").alias("priority"))
-        if state[0]:
-            own = own.unionByName(spark.read.parquet(state[0])).dropDuplicates(["event_id"])
-        at = _folder(spark, f"sample-{n}")
-        own.orderBy("priority", "event_id").limit(size).write.parquet(at)
-        state[0] = at
+        have = _whole(spark, root)
+        if n in have:
+            return
+        before = max((k for k in have if k < n), default=None)
+        own = add(batch)
+        if before is not None:
+            own = merge(own, spark.read.schema(kind).parquet(have[before]))
+        own.write.mode("overwrite").parquet(f"{root}/{n:09d}")
+        for k in sorted(have)[:-1]:
+            old = spark._jvm.org.apache.hadoop.fs.Path(have[k])
+            old.getFileSystem(spark._jsc.hadoopConfiguration()).delete(old, True)
 
-    finish(ev, each=each)
-    return spark.read.parquet(state[0])
+    finish(stream, each=each, mark=mark)
+    have = _whole(spark, root)
+    return spark.read.schema(kind).parquet(have[max(have)]) if have else spark.createDataFrame([], kind)
 
 
-def stream_counters(ev: DataFrame, coords: list[str], capacity: int) -> DataFrame:
-    """Deterministic counters of each coordinate over all rows seen."""
-    spark, state = ev.sparkSession, [None]
+def stream_sample(ev: DataFrame, size: int, seed: int = 7, root: str | None = None) -> DataFrame:
+    """The uniform sample of all rows seen, the batches' least rows merged: exact, safe to replay and to start again."""
+    least = lambda df: df.orderBy("priority", "event_id").limit(size)
+    own = lambda batch: least(batch.select("event_id", priority(["event_id"], seed, "md5").alias("priority")))
+    return kept_state(ev, root or _folder(ev.sparkSession, "sample"), "event_id bigint, priority bigint", own, lambda a, b: least(a.unionByName(b).dropDuplicates(["event_id"])))
+
+
+def stream_counters(ev: DataFrame, coords: list[str], capacity: int, root: str | None = None) -> DataFrame:
+    """Deterministic counters of each coordinate over all rows seen; a batch counts once, however often it comes."""
+    return kept_state(ev, root or _folder(ev.sparkSession, "counters"), COUNTERS, lambda batch: misra_gries(batch, coords, capacity), lambda a, b: mg_merge(a.unionByName(b), capacity))
+
+
+def updated_counts(ev: DataFrame) -> DataFrame:
+    """Counts by type in update mode: each batch gives the rows that changed, of which the last stands."""
+    spark, out = ev.sparkSession, _folder(ev.sparkSession, "updates")
+    stream = ev.groupBy("event_type").agg(F.count("*").alias("n"))
+    finish(stream, "update", lambda batch, n: batch.withColumn("at", F.lit(n).cast("bigint")).write.mode("overwrite").parquet(f"{out}/{n:09d}"))
+    got = spark.read.schema("event_type string, n bigint, at bigint").option("recursiveFileLookup", "true").parquet(out)
+    return got.groupBy("event_type").agg(F.max_by("n", "at").alias("n"))
 
-    def each(batch: DataFrame, n: int) -> None:
-        own = misra_gries(batch, coords, capacity)
-        if state[0]:
-            own = mg_merge(own.unionByName(spark.read.parquet(state[0])), capacity)
-        at = _folder(spark, f"counters-{n}")
-        own.write.parquet(at)
-        state[0] = at
 
-    finish(ev, each=each)
-    return spark.read.parquet(state[0])
+def in_memory(ev: DataFrame) -> DataFrame:
+    """Counts by type, complete mode, in the memory sink: for small results that the driver shows."""
+    name = f"counts_{uuid.uuid4().hex}"
+    stream = ev.groupBy("event_type").agg(F.count("*").alias("n"))
+    stream.writeStream.format("memory").queryName(name).outputMode("complete").trigger(availableNow=True).option("checkpointLocation", _folder(ev.sparkSession, "mark")).start().awaitTermination()
+    return ev.sparkSession.table(name)
 
 
 def stream_cells(ev: DataFrame, coords: list[str], width: int, depth: int = 5, seed: int = 9) -> DataFrame:
@@ -156,6 +187,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "q_r8": run(lambda e: stream_cells(e, ["event_type"], 50)),
         "q_r9": lambda spark, d: finish(scored(events(spark, event_files(spark, d)), shares(spark, d))),
         "q_r10": run(lambda e: followed(e, "view", "purchase"), "append"),
+        "q_s7": lambda spark, d: finish(events(spark, event_files(spark, d), 3)).select("event_id", "event_type"),
+        "q_s8_memory": lambda spark, d: in_memory(events(spark, event_files(spark, d))),
+        "q_r11_update": lambda spark, d: updated_counts(events(spark, event_files(spark, d), 3)),
         "q_r12": lambda spark, d: two_passes(spark, event_files(spark, d), list(types), 200, 100),
     }
 
@@ -166,6 +200,9 @@ def oracle_sql() -> dict[str, str]:
         "q_r1": "SELECT strftime(ts, '%Y-%m-%d') AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2",
         "q_r2": "SELECT strftime(s, '%Y-%m-%d') AS start, event_type, CAST(user_id % 10 AS BIGINT) AS band, count(*) AS n FROM (SELECT unnest([date_trunc('day', ts), date_trunc('day', ts) - INTERVAL 1 DAY]) AS s, event_type, user_id FROM events) GROUP BY 1, 2, 3 HAVING count(*) >= 15",
         "q_r5": "SELECT event_id FROM events",
+        "q_s7": "SELECT event_id, event_type FROM events",
+        "q_s8_memory": "SELECT event_type, count(*) AS n FROM events GROUP BY event_type",
+        "q_r11_update": "SELECT event_type, count(*) AS n FROM events GROUP BY event_type",
         "q_r6": "SELECT event_id, ('0x' || substr(md5('7|' || event_id), 1, 8))::BIGINT AS priority FROM events ORDER BY priority, event_id LIMIT 500",
         "q_r8": "SELECT 'event_type' AS coord, CAST(r AS INT) AS depth_row, CAST((('0x' || substr(md5('9|' || r || '|event_type|' || event_type), 1, 8))::BIGINT) % 50 AS INT) AS bucket, count(*) AS cnt FROM events, range(5) t(r) GROUP BY ALL",
         "q_r9": "SELECT event_id, event_type, count(*) OVER (PARTITION BY event_type) / (SELECT CAST(count(*) AS DOUBLE) FROM events) AS share FROM events",
