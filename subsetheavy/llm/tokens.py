@@ -38,7 +38,7 @@ _PLAIN = re.compile(r"[\n\x20-\x7eÀ-ÖØ-öø-ɏ]*")
 #: White space, and signs that the pattern above leaves out, of ASCII texts.
 _ODD = ("\t", "\r", "\x0b", "\x0c", "\x1c", "\x1d", "\x1e", "\x1f", "\0")
 #: Words that a worker keeps in each of two generations (some 150 bytes each), and the longest that is kept.
-WORDS, _LONG = 200_000, 48
+WORDS, _LONG = 100_000, 48
 #: The sign by which byte-level vocabularies write a space.
 SPACE = "Ġ"
 #: Signs that often follow a word.
