@@ -2,11 +2,13 @@
 
 Each vector is turned by pseudo-random rotations (three rounds of sign flips and a fast Hadamard transform) and hashed
 to its nearest signed axis; WIDTH such hashes make a table's key. A vector is dealt under its own key and, for each
-table, the PROBES - 1 keys next in the margin lost (multiprobe). Vectors that share a key are compared by cosine in
-double precision inside a task, as matrix products, and no pair leaves it: a task gives each vector's number of links
-and the edges of a spanning forest of the links. A pair that shares several keys counts at the least of
-them alone. A key with over BLOCK vectors is cut into blocks, and each pair of blocks is a task of its own; vectors
-that are equal are one vector with a multiplicity, so copies cost nothing.
+table, the PROBES - 1 keys next in the margin lost (multiprobe). Vectors that share a key first meet as ids, lists of
+keys and sketches of BITS random hyperplanes; a link's sketches are further apart than the cut with a chance under 1e-9.
+Where two sketches are near, the vectors follow and are compared by cosine in double precision inside a task, as matrix
+products, and no pair leaves it: a task gives each vector's number of links and the edges of a spanning forest of the
+links. A pair that shares several keys counts at the least of them alone, and a vector goes to no key where it has no
+such pair. A key with over BLOCK vectors is cut into blocks, and each pair of blocks is a task of its own; vectors that
+are equal are one vector with a multiplicity, so copies cost nothing.
 
 Nulls, zero vectors, vectors with null or non-finite parts, and empty lists link with nothing and form their own
 component. Vectors of different lengths never link.
@@ -14,15 +16,19 @@ component. Vectors of different lengths never link.
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import components, forget, stored_at, tidied
 from .textscan import mixed
 
 TABLES, PROBES, BLOCK = 12, 3, 1024
+BITS, RUN = 128, 1 << 14
 
 
 def width_for(vectors: int, axes: int) -> int:
@@ -134,73 +140,143 @@ def unit_rows(vectors: list[np.ndarray]) -> np.ndarray:
     return x / np.sqrt((x * x).sum(1, keepdims=True))
 
 
+def sketches(unit: np.ndarray, seed: int = 7) -> np.ndarray:
+    """rows x 2 words with the sides of BITS random hyperplanes that each vector lies on."""
+    planes = np.random.default_rng([seed, unit.shape[1]]).standard_normal((unit.shape[1], BITS))
+    return np.packbits(unit @ planes > 0, axis=1).view(np.uint64)
+
+
+def sketch_cut(line: float, loss: float = 1e-9) -> int:
+    """The most sketch bits in which two vectors at this cosine differ, but for a chance under loss."""
+    p = float(np.arccos(np.clip(line, -1.0, 1.0)) / np.pi)
+    beyond, cut = 0.0, BITS
+    while cut > 4 and beyond + math.comb(BITS, cut) * p**cut * (1 - p) ** (BITS - cut) < loss:
+        beyond += math.comb(BITS, cut) * p**cut * (1 - p) ** (BITS - cut)
+        cut -= 1
+    return cut
+
+
+def _sketched(kind: str):
+    """The rows of the nodes, with their sketches."""
+
+    def go(batches):
+        for batch in batches:
+            some = [np.frombuffer(r.as_buffer(), kind).astype(float) for r in batch.column("raw")]
+            words = np.zeros((len(some), 2), np.uint64)
+            for d in sorted({len(x) for x in some}):
+                at = [i for i, x in enumerate(some) if len(x) == d]
+                words[at] = sketches(unit_rows([some[i] for i in at]))
+            both = words.view(np.int64)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(both[:, 0].copy()), pa.array(both[:, 1].copy())], names=[*batch.schema.names, "s0", "s1"])
+
+    return go
+
+
+def _lists(column) -> np.ndarray:
+    """Sorted lists of keys as the rows of a table, filled up with the greatest number."""
+    column = column.combine_chunks()
+    size = pc.list_value_length(column).to_numpy(zero_copy_only=False)
+    out = np.full((len(size), int(size.max())), np.iinfo(np.int64).max)
+    out[np.arange(out.shape[1])[None, :] < size[:, None]] = column.flatten().to_numpy(zero_copy_only=False)
+    return out
+
+
+def _least_at(lists: np.ndarray, a: np.ndarray, b: np.ndarray, key: np.ndarray) -> np.ndarray:
+    """Whether each key is the least of those that both nodes of the pair have; it is one of them."""
+    least = np.full(len(a), np.iinfo(np.int64).max)
+    ta, tb = lists[a], lists[b]
+    open_ = np.ones(len(a), bool)
+    for c in range(lists.shape[1]):
+        i = np.flatnonzero(open_ & (ta[:, c] <= key))
+        if not len(i):
+            break
+        hit = i[(tb[i] == ta[i, c : c + 1]).any(1)]
+        least[hit] = ta[hit, c]
+        open_[hit] = False
+    return least == key
+
+
+def _meetings(key: np.ndarray, side: np.ndarray, grid):
+    """Runs of (row, row): the pairs of a task's rows, sorted by key, that share a key; those of long keys only where
+    grid(rows, rows) says so. Side 2 meets its own kind, side 0 meets side 1."""
+    cuts = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+    length = np.diff(np.concatenate([cuts, [len(key)]]))
+    group = np.repeat(np.arange(len(cuts)), length)
+    index = np.flatnonzero((length <= 24)[group] & (side == 2))
+    for gap in range(1, 24):
+        index = index[index + gap < len(key)]
+        index = index[group[index + gap] == group[index]]
+        for o in range(0, len(index), RUN):
+            yield index[o : o + RUN], index[o : o + RUN] + gap
+    for c, n in zip(cuts.tolist(), length.tolist(), strict=True):
+        s = side[c : c + n]
+        same = bool((s == 2).all())
+        if n <= 24 and same:
+            continue
+        rows = np.arange(c, c + n)
+        one, two = (rows, rows) if same else (rows[s == 0], rows[s == 1])
+        for lo in range(0, len(one), 256):
+            i, j = np.nonzero(grid(one[lo : lo + 256], two))
+            x, y = one[lo : lo + 256][i], two[j]
+            if same:
+                x, y = x[x < y], y[x < y]
+            for o in range(0, len(x), RUN):
+                yield x[o : o + RUN], y[o : o + RUN]
+
+
+def _sift(cut: int):
+    """Of the keys dealt to a task, or two blocks of one key, the rows whose vector may link with another's there: their
+    sketches differ in cut bits at most, and they share no lesser key."""
+
+    def go(t):
+        t = t.sort_by("key")
+        key, node, side = (t.column(c).to_numpy() for c in ("key", "node", "side"))
+        s0, s1 = (t.column(c).to_numpy().view(np.uint64) for c in ("s0", "s1"))
+        _, back, at = np.unique(node, return_index=True, return_inverse=True)
+        lists = _lists(t.column("keys").take(pa.array(back)))
+        keep = np.zeros(len(key), bool)
+        grid = lambda x, y: np.bitwise_count(s0[x, None] ^ s0[y]).astype(np.int16) + np.bitwise_count(s1[x, None] ^ s1[y]) <= cut
+        for x, y in _meetings(key, side, grid):
+            new = ~(keep[x] & keep[y])
+            x, y = x[new], y[new]
+            near = np.bitwise_count(s0[x] ^ s0[y]).astype(np.int16) + np.bitwise_count(s1[x] ^ s1[y]) <= cut
+            x, y = x[near], y[near]
+            here = _least_at(lists, at[x], at[y], key[x])
+            keep[x[here]] = keep[y[here]] = True
+        return t.select(["p", "q", "key", "node", "side", "blocks"]).filter(pa.array(keep))
+
+    return go
+
+
 def _compare(line: float, kind: str):
     """For the keys dealt to a task, or two blocks of one key: (0, node, links found here), (1, least node, node)."""
 
     def go(t):
         t = t.sort_by("key")
         key, node, side, many = (t.column(c).to_numpy() for c in ("key", "node", "side", "many"))
-        name, back = np.unique(node, return_index=True)
-        at = np.searchsorted(name, node)
-        raws, lists = t.column("raw").take(pa.array(back)), t.column("keys").take(pa.array(back))
+        name, back, at = np.unique(node, return_index=True, return_inverse=True)
+        raws, lists = t.column("raw").take(pa.array(back)), _lists(t.column("keys").take(pa.array(back)))
         some = [np.frombuffer(x.as_buffer(), kind).astype(float) for x in raws]
         vec = np.zeros((len(name), max(map(len, some))))
         for d in {len(x) for x in some}:
             rows = [i for i, x in enumerate(some) if len(x) == d]
             vec[rows, :d] = unit_rows([some[i] for i in rows])
-        own = [np.array(x.as_py(), np.int64) for x in lists]
-        width = max(map(len, own))
-        table = np.full((len(own), width), np.iinfo(np.int64).max)
-        for i, x in enumerate(own):
-            table[i, : len(x)] = x
         weight = np.zeros(len(name), np.int64)
         weight[at] = many
         count, edge_a, edge_b = np.zeros(len(name), np.int64), [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-
-        def settle(x, y, here):
-            for o in range(0, len(x), 1 << 14):
-                a, b, k = x[o : o + (1 << 14)], y[o : o + (1 << 14)], here[o : o + (1 << 14)]
-                sure = np.einsum("ij,ij->i", vec[a], vec[b]) >= line
-                a, b, k = a[sure], b[sure], k[sure]
-                # the pair counts at the least key that both have
-                ta, tb = table[a], table[b]
-                least = np.full(len(a), np.iinfo(np.int64).max)
-                open_ = np.ones(len(a), bool)
-                for c in range(width):
-                    i = np.flatnonzero(open_ & (ta[:, c] <= k))
-                    if not len(i):
-                        break
-                    hit = i[(tb[i] == ta[i, c : c + 1]).any(1)]
-                    least[hit] = ta[hit, c]
-                    open_[hit] = False
-                a, b = a[least == k], b[least == k]
-                np.add.at(count, a, weight[b])
-                np.add.at(count, b, weight[a])
-                edge_a.append(np.minimum(a, b))
-                edge_b.append(np.maximum(a, b))
-                if sum(map(len, edge_a)) > 1 << 18:
-                    x2, y2 = _forest(np.concatenate(edge_a), np.concatenate(edge_b))
-                    edge_a[:], edge_b[:] = [x2], [y2]
-
-        cuts = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
-        length = np.diff(np.concatenate([cuts, [len(key)]]))
-        group = np.repeat(np.arange(len(cuts)), length)
-        index = np.flatnonzero((length <= 24)[group] & (side == 2))
-        for gap in range(1, 24):
-            index = index[index + gap < len(key)]
-            index = index[group[index + gap] == group[index]]
-            settle(at[index], at[index + gap], key[index])
-        for c, n in zip(cuts.tolist(), length.tolist(), strict=True):
-            if n <= 24 and side[c] == 2 and (side[c : c + n] == 2).all():
-                continue
-            mine, s = at[c : c + n], side[c : c + n]
-            same = (s == 2).all()
-            one, two = (mine, mine) if same else (mine[s == 0], mine[s == 1])
-            for lo in range(0, len(one), 256):
-                i, j = np.nonzero(vec[one[lo : lo + 256]] @ vec[two].T >= line - 1e-9)
-                x, y = one[lo : lo + 256][i], two[j]
-                keep = x < y if same else x != y
-                settle(x[keep], y[keep], np.full(int(keep.sum()), key[c]))
+        for x, y in _meetings(key, side, lambda x, y: vec[at[x]] @ vec[at[y]].T >= line - 1e-9):
+            a, b, k = at[x], at[y], key[x]
+            sure = np.einsum("ij,ij->i", vec[a], vec[b]) >= line
+            a, b, k = a[sure], b[sure], k[sure]
+            here = _least_at(lists, a, b, k)
+            a, b = a[here], b[here]
+            np.add.at(count, a, weight[b])
+            np.add.at(count, b, weight[a])
+            edge_a.append(np.minimum(a, b))
+            edge_b.append(np.maximum(a, b))
+            if sum(map(len, edge_a)) > 1 << 18:
+                x2, y2 = _forest(np.concatenate(edge_a), np.concatenate(edge_b))
+                edge_a[:], edge_b[:] = [x2], [y2]
         low, far = _forest(np.concatenate(edge_a), np.concatenate(edge_b))
         hit = np.flatnonzero(count)
         return pa.table({"kind": np.concatenate([np.zeros(len(hit), np.int32), np.ones(len(far), np.int32)]), "a": np.concatenate([name[hit], name[low]]), "b": np.concatenate([count[hit], name[far]])})
@@ -228,6 +304,11 @@ def _forest(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return nodes[label[far]], nodes[far]
 
 
+def _slot(rows: int, each: int) -> Column:
+    """The task of a key: its own where the key has several blocks, else one of enough that each has about so many rows."""
+    return F.when(F.col("blocks") > 1, F.col("key")).otherwise(F.pmod(F.xxhash64("key"), F.lit(max(1, rows // each)))).alias("slot")
+
+
 def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", line: float = 0.95, tables: int = TABLES, probes: int = PROBES) -> DataFrame:
     """(vec_id, n_links, component_id, kept) for every row."""
     # vectors move in the precision that they have, and are compared in double
@@ -244,21 +325,22 @@ def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "emb
     # keys of one vector go; the others' vectors are cut into blocks, and every pair of blocks meets once
     full, full_at = stored_at(dealt.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select(F.col("key").alias("k0"), F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")), "keys")
     alive, alive_at = stored_at(dealt.join(full, F.col("key") == F.col("k0")).select("key", "node", "blocks"), "alive")
-    own = alive.groupBy(F.col("node").alias("n0")).agg(F.sort_array(F.collect_list("key")).alias("keys"))
-    own, own_at = stored_at(nodes.join(own, F.col("node") == F.col("n0")).select("n0", "raw", "many", "keys"), "own")
-    slots = max(1, alive.count() // 16_384)
-    placed = alive.join(own, F.col("node") == F.col("n0")).select("key", "node", "raw", "keys", "many", "blocks", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("mine"))
+    own = nodes.join(alive.groupBy(F.col("node").alias("n0")).agg(F.sort_array(F.collect_list("key")).alias("keys")), F.col("node") == F.col("n0")).select("n0", "raw", "many", "keys")
+    own, own_at = stored_at(own.mapInArrow(tidied(_sketched(kind)), "n0 bigint, raw binary, many bigint, keys array<bigint>, s0 bigint, s1 bigint"), "own")
+    # ids, keys and sketches meet first; vectors go only to the keys where a pair of sketches is near
+    placed = alive.join(own.select("n0", "keys", "s0", "s1"), F.col("node") == F.col("n0")).withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
     meets = placed.select("*", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")).select(
-        F.when(F.col("blocks") > 1, F.col("key")).otherwise(F.pmod(F.xxhash64("key"), F.lit(slots))).alias("slot"),
-        F.least("mine", "other").alias("p"), F.greatest("mine", "other").alias("q"), "key", "node", "raw", "keys", "many",
+        _slot(alive.count(), 65_536), F.least("mine", "other").alias("p"), F.greatest("mine", "other").alias("q"), "key", "node", "blocks", "keys", "s0", "s1",
         F.when(F.col("mine") == F.col("other"), 2).when(F.col("mine") < F.col("other"), 0).otherwise(1).alias("side"))
-    found, found_at = stored_at(meets.groupBy("slot", "p", "q").applyInArrow(_compare(line, kind), "kind int, a bigint, b bigint"), "met")
+    near, near_at = stored_at(meets.groupBy("slot", "p", "q").applyInArrow(_sift(sketch_cut(line)), "p int, q int, key bigint, node bigint, side int, blocks int"), "near")
+    heavy = near.join(own.select("n0", "raw", "many", "keys"), F.col("node") == F.col("n0")).select(_slot(near.count(), 16_384), "p", "q", "key", "node", "side", "raw", "many", "keys")
+    found, found_at = stored_at(heavy.groupBy("slot", "p", "q").applyInArrow(_compare(line, kind), "kind int, a bigint, b bigint"), "met")
     comp = components(found.where("kind = 1").select("a", "b").distinct())
     links = found.where("kind = 0").groupBy(F.col("a").alias("n1")).agg(F.sum("b").alias("links"))
     out = (nodes.join(links, F.col("node") == F.col("n1"), "left").join(comp.select(F.col("node").alias("n2"), "comp"), F.col("node") == F.col("n2"), "left")
            .select(F.col("raw").alias("r0"), F.col("many"), F.coalesce("links", F.lit(0)).alias("links"), F.coalesce("comp", "node").alias("comp")))
     out, _ = stored_at(out, "named")
-    forget(vectors.sparkSession, nodes_at, dealt_at, full_at, alive_at, own_at, found_at)
+    forget(vectors.sparkSession, nodes_at, dealt_at, full_at, alive_at, own_at, near_at, found_at)
     return (rows.join(out, F.col("raw") == F.col("r0"), "left")
             .select("vec_id", F.coalesce(F.col("links") + F.col("many") - 1, F.lit(0)).cast("bigint").alias("n_links"), F.coalesce("comp", "vec_id").alias("component_id"))
             .withColumn("kept", F.col("vec_id") == F.col("component_id")))

@@ -210,3 +210,29 @@ def test_rank_order_distance_equals_a_plain_one():
             continue
         far = {k: sum(abs(v.index(g) - r) if g in v else 60 for r, g in enumerate(own)) for k, v in profiles.items()}
         assert far[name] == min(far.values()) and math.isclose(score, 1 - far[name] / (60 * len(own)))
+
+
+def test_sketches_of_links_are_within_the_cut():
+    rng, cut = np.random.default_rng(5), em.sketch_cut(0.95)
+    for axes in (3, 64, 768):
+        a = em.unit_rows(list(rng.standard_normal((4000, axes))))
+        far = rng.standard_normal((4000, axes))
+        far = em.unit_rows(list(far - (far * a).sum(1, keepdims=True) * a))
+        b = 0.95 * a + np.sqrt(1 - 0.95**2) * far  # cosine 0.95 sharp
+        apart = lambda x, y: np.bitwise_count(em.sketches(x) ^ em.sketches(y)).sum(1)
+        assert apart(a, b).max() <= cut
+        assert np.mean(apart(a, far) <= cut) < 0.01
+    assert em.sketch_cut(1.0) >= 4 and em.sketch_cut(-1.0) == em.BITS
+
+
+def test_vectors_in_blocks_and_chains_equal_brute_force(spark, monkeypatch):
+    monkeypatch.setattr(em, "BLOCK", 16)
+    rng = np.random.default_rng(8)
+    base = rng.standard_normal((6, 32))
+    rows = np.concatenate([base[rng.integers(0, 6, 300)] + rng.standard_normal((300, 32)) * 0.16, rng.standard_normal((100, 32))]).astype(np.float32)
+    unit = em.unit_rows(list(rows.astype(float)))
+    want = (unit @ unit.T >= 0.95).sum(1) - 1
+    got = {r["vec_id"]: r["n_links"] for r in em.near_vectors(spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(rows)], "vec_id bigint, embedding array<float>")).collect()}
+    assert want.sum() > 2000
+    assert all(got[i] <= want[i] for i in range(len(rows)))
+    assert sum(got.values()) >= 0.98 * want.sum()
