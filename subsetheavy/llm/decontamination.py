@@ -7,12 +7,14 @@ alignment over words with +2 for a match and -1 for a change or a gap, unless th
 allow no leak in any order. The score is the alignment's part of a full match; a pair at LINE or over is a leak. Edits,
 insertions and omissions cost what they change.
 
-Test items are taken in blocks of bounded size, each against all documents. Null and empty texts and items, and items
+Test items are taken in blocks of bounded size, each against all documents, BLOCKS of them in one scan. Null and empty texts and items, and items
 without words, leak nothing. Repeated rows give repeated results.
 """
 
 from __future__ import annotations
 
+from itertools import batched
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -23,6 +25,8 @@ from . import textscan as ts
 LINE, SEED = 0.5, 3
 #: Words of test items in a block: what a task holds of the benchmark is bounded by it.
 BLOCK = 1 << 20
+#: Blocks that one scan of the documents meets; words and n-grams of a text are taken once for all of them.
+BLOCKS = 8
 #: Seed hits of a run of documents that are held at once, but for a document that has more.
 HITS = 1 << 20
 FOUND = "doc_id bigint, item_id bigint, score double, word_start bigint, word_end bigint"
@@ -99,9 +103,10 @@ def _most(one: np.ndarray, other: np.ndarray) -> int:
     return int((run - np.minimum.accumulate(np.concatenate([[0], run[:-1]]))).max())
 
 
-def leaks(items: Items, text_words: np.ndarray, at: np.ndarray, line: float) -> list[tuple[int, int, float, int, int]]:
-    """(document, item, score, first word, word after the last) of each leak in a run of documents."""
-    code, where = ts.shingles(text_words, at, SEED)
+def leaks(items: Items, text_words: np.ndarray, at: np.ndarray, line: float, grams: tuple[np.ndarray, np.ndarray] | None = None) -> list[tuple[int, int, float, int, int]]:
+    """(document, item, score, first word, word after the last) of each leak in a run of documents.
+    grams: their n-grams, where they are known already."""
+    code, where = grams if grams else ts.shingles(text_words, at, SEED)
     index, entry = items.hits(code)
     if not len(index):
         return []
@@ -160,13 +165,20 @@ def _aligned(items: Items, text_words, at, where, line: float, doc, index, entry
     return [(d, i, *v) for (d, i), v in sorted(found.items())]
 
 
+def _found(held, line: float, texts):
+    """(first document, block, its leaks) for each run of documents and each block."""
+    for lo, _, data, offs in ts.runs(texts):
+        text_words, at = words(data, offs)
+        grams = ts.shingles(text_words, at, SEED)
+        for block in held:
+            yield lo, block.value, leaks(block.value, text_words, at, line, grams)
+
+
 def _search(held, line: float):
     def go(batches):
-        items: Items = held.value
         for batch in batches:
             ids = batch.column(0)
-            for lo, _, data, offs in ts.runs(batch.column(1)):
-                got = leaks(items, *words(data, offs), line)
+            for lo, items, got in _found(held, line, batch.column(1)):
                 if got:
                     d, i, score, a, b = (np.array(x) for x in zip(*got, strict=True))
                     yield pa.RecordBatch.from_arrays([ids.take(pa.array(d + lo)), pa.array(items.ids[i]), pa.array(score), pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["doc_id", "item_id", "score", "word_start", "word_end"])
@@ -176,11 +188,10 @@ def _search(held, line: float):
 
 def _without(held, line: float, text_col: str):
     def go(batches):
-        items: Items = held.value
         for batch in batches:
             keep = np.ones(len(batch), bool)
-            for lo, _, data, offs in ts.runs(batch.column(batch.schema.get_field_index(text_col))):
-                keep[[lo + d for d, *_ in leaks(items, *words(data, offs), line)]] = False
+            for lo, _, got in _found(held, line, batch.column(batch.schema.get_field_index(text_col))):
+                keep[[lo + d for d, *_ in got]] = False
             yield batch.filter(pa.array(keep))
 
     return go
@@ -201,25 +212,24 @@ def _blocks(benchmark: DataFrame):
 
 
 def _held(docs: DataFrame, benchmark: DataFrame, item_col: str, item_text: str):
-    """The benchmark's blocks as broadcasts."""
-    for ids, texts in _blocks(benchmark.select(F.col(item_col).cast("bigint"), F.col(item_text))):
-        items = Items(ids, texts)
-        if len(items.code):
-            yield docs.sparkSession.sparkContext.broadcast(items)
+    """The benchmark's blocks as broadcasts, those of one scan together."""
+    made = (Items(ids, texts) for ids, texts in _blocks(benchmark.select(F.col(item_col).cast("bigint"), F.col(item_text))))
+    for some in batched((docs.sparkSession.sparkContext.broadcast(items) for items in made if len(items.code)), BLOCKS):
+        yield list(some)
 
 
 def benchmark_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", line: float = LINE) -> DataFrame:
     """(doc_id, item_id, score, word_start, word_end) for each document and test item that it leaks."""
     named = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
     out = docs.sparkSession.createDataFrame([], FOUND)
-    for items in _held(docs, benchmark, item_col, item_text):
-        out = out.unionByName(named.mapInArrow(_search(items, line), FOUND))
+    for held in _held(docs, benchmark, item_col, item_text):
+        out = out.unionByName(named.mapInArrow(_search(held, line), FOUND))
     return out
 
 
 def clean_docs(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text: str = "text", line: float = LINE) -> DataFrame:
     """The rows of docs, all columns, that leak no test item."""
     out = docs
-    for items in _held(docs, benchmark, item_col, item_text):
-        out = out.mapInArrow(_without(items, line, text_col), docs.schema)
+    for held in _held(docs, benchmark, item_col, item_text):
+        out = out.mapInArrow(_without(held, line, text_col), docs.schema)
     return out

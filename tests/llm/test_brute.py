@@ -236,3 +236,28 @@ def test_vectors_in_blocks_and_chains_equal_brute_force(spark, monkeypatch):
     assert want.sum() > 2000
     assert all(got[i] <= want[i] for i in range(len(rows)))
     assert sum(got.values()) >= 0.98 * want.sum()
+
+
+def test_benchmark_blocks_share_scans(spark, monkeypatch):
+    rng = random.Random(21)
+    vocabulary = [f"w{i}" for i in range(400)]
+    items = [(i, " ".join(rng.choice(vocabulary) for _ in range(20))) for i in range(24)]
+    texts = [" ".join(rng.choice(vocabulary) for _ in range(40)) for _ in range(40)]
+    for i in range(0, 24, 2):
+        own = items[i][1].split()
+        own[7] = "changed"
+        texts[i] += " " + " ".join(own) + " end"
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    bench = spark.createDataFrame(items, "item_id bigint, text string").coalesce(1)
+    want = sorted(map(tuple, dc.benchmark_leaks(docs, bench).collect()))
+    assert [(d, i) for d, i, *_ in want] == [(i, i) for i in range(0, 24, 2)]
+    left = sorted(r["doc_id"] for r in dc.clean_docs(docs, bench).collect())
+    assert left == [i for i in range(40) if i >= 24 or i % 2]
+    monkeypatch.setattr(dc, "BLOCK", 40)
+    monkeypatch.setattr(dc, "BLOCKS", 5)
+    found = dc.benchmark_leaks(docs, bench)
+    blocks = sum(1 for _ in dc._blocks(bench))
+    assert blocks > 5
+    assert found._jdf.queryExecution().optimizedPlan().toString().count("MapInArrow") == -(-blocks // 5)
+    assert sorted(map(tuple, found.collect())) == want
+    assert sorted(r["doc_id"] for r in dc.clean_docs(docs, bench).collect()) == left
