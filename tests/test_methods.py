@@ -256,3 +256,26 @@ def test_orderings_that_the_experiments_report(spark):
     assert off["product", 0.5]["fn"] > off["sample", 0.5]["fn"]
     area = {r["method"]: r["auc"] for r in wl.roc(wl.mixture_curve(spark, d)).collect()}
     assert area["mixture"] >= area["sample"] - 1e-4
+
+
+def test_a_curve_joins_once_for_all_subsets(spark):
+    """Each method's lists of all subsets meet the truth in one join, and give what confusion gives for each by itself."""
+    from subsetheavy.plans import workloads as wl
+
+    df = spark.createDataFrame([(i, f"a{i % 3}", i % 5 if i % 4 else None, i % 2, i % 2) for i in range(240)], "k int, f string, g int, h int, z int")
+    Ts, coords, factors = {("f", "g"): 0.08, ("g", "h"): 0.1, ("h",): 0.5}, ("f", "g", "h"), (0.5, 1.0, 1.5)
+    got = wl.curve(df, ["k"], coords, Ts, ("sample", "mixture"), 50.0, "z", factors)
+    assert got._jdf.queryExecution().analyzed().toString().count("FullOuter") == 2
+    names = ("tp", "fp", "fp_strict", "fn", "reported", "negatives")
+    have = {(r["method"], r["cut"], r["subcube"]): tuple(r[n] for n in names) for r in got.collect()}
+    assert len(have) == 18
+    drawn, low = draw_sample(df, ["k"], 120, wl.SEED, "md5"), 0.04
+    model = fit_mixture(df, coords, "z", 0.08, cut=low, capacity=120)
+    for T, gamma in Ts.items():
+        for f in factors:
+            lists = {"sample": exact_all_heavy(drawn, T, gamma * f), "mixture": all_heavy(model, T, gamma * f)}
+            for method, listed in lists.items():
+                want = confusion(listed, exact_shares(df, T), T, gamma).first()
+                assert have[method, f, ",".join(T)] == tuple(want[n] for n in names), (method, T, f)
+    none = wl.curve(df.limit(0), ["k"], coords, Ts, ("sample",), 50.0, "z", factors).collect()
+    assert len(none) == 9 and not any(r[n] for r in none for n in names)
