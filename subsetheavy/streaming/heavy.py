@@ -14,9 +14,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.sampling import priority
-from ..operators.summaries import COUNTERS, cell, mg_merge, misra_gries
+from ..operators.summaries import COUNTERS, ROWS, cell, mg_merge, misra_gries
 from ..sources.tables import shared, table
-from ..spec import long_form
+from ..spec import decoded, long_form
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
@@ -123,9 +123,13 @@ def stream_sample(ev: DataFrame, size: int, seed: int = 7, root: str | None = No
     return kept_state(ev, root or _folder(ev.sparkSession, "sample"), "event_id bigint, priority bigint", own, lambda a, b: least(a.unionByName(b).dropDuplicates(["event_id"])))
 
 
-def stream_counters(ev: DataFrame, coords: list[str], capacity: int, root: str | None = None) -> DataFrame:
-    """Deterministic counters of each coordinate over all rows seen; a batch counts once, however often it comes."""
-    return kept_state(ev, root or _folder(ev.sparkSession, "counters"), COUNTERS, lambda batch: misra_gries(batch, coords, capacity), lambda a, b: mg_merge(a.unionByName(b), capacity))
+def stream_counters(ev: DataFrame, coords: list[str], capacity: int, root: str | None = None, rows: bool = False) -> DataFrame:
+    """Deterministic counters of each coordinate over all rows seen; a batch counts once, however often it comes. rows:
+    also the number of rows, under the coordinate ROWS."""
+    if not rows:
+        return kept_state(ev, root or _folder(ev.sparkSession, "counters"), COUNTERS, lambda batch: misra_gries(batch, coords, capacity), lambda a, b: mg_merge(a.unionByName(b), capacity))
+    merged = lambda parts: mg_merge(parts, capacity, exact=(ROWS,))
+    return kept_state(ev, root or _folder(ev.sparkSession, "counters"), COUNTERS, lambda batch: merged(misra_gries(batch, coords, capacity, merged=False, rows=True)), lambda a, b: merged(a.unionByName(b)))
 
 
 def updated_counts(ev: DataFrame) -> DataFrame:
@@ -163,11 +167,32 @@ def followed(ev: DataFrame, first: str, then: str, within: str = "1 hour") -> Da
     return a.join(b, F.expr(f"u = v AND tb >= ta AND tb <= ta + INTERVAL {within}")).select("a", "b")
 
 
+#: Counters of a coordinate that a first run over a stream keeps at most.
+MOST = 200_000
+
+
+def _candidates(spark: SparkSession, path: str, coords: list[str], capacity: int, least: int) -> DataFrame | None:
+    """(c0, v0): values among which is every one with so many rows. None if that takes more than MOST counters."""
+    held = stream_counters(events(spark, path), coords, capacity, rows=True)
+    sums = {r["coord"]: r["n"] for r in held.groupBy("coord").agg(F.sum("counter").alias("n")).collect()}
+    rows = sums.pop(ROWS, 0)
+    # each time one is lowered, at least capacity + 1 are, by as much
+    if max((rows - sums.get(c, 0)) // (capacity + 1) for c in coords) < least:
+        return held.where(F.col("coord") != ROWS).select(F.col("coord").alias("c0"), F.col("value").alias("v0"))
+    need = rows // least
+    return _candidates(spark, path, coords, need, least) if need <= MOST else None
+
+
 def two_passes(spark: SparkSession, path: str, coords: list[str], capacity: int, least: int) -> DataFrame:
-    """Candidates from one run over the stream, exact counts of them from a bounded replay: (coord, value, cnt)."""
-    held = stream_counters(events(spark, path), coords, capacity).select(F.col("coord").alias("c0"), F.col("value").alias("v0"))
-    again = long_form(events(spark, path), coords).join(F.broadcast(held), (F.col("coord") == F.col("c0")) & (F.col("value") == F.col("v0"))).groupBy("coord", "value").agg(F.count("*").alias("cnt"))
-    return finish(again, "complete").where(F.col("cnt") >= least)
+    """All values with at least so many rows, (coord, value, cnt): candidates from one run over the stream, exact counts
+    of them from a bounded replay. Where the counters may have lost such a value, the first run is done again with as many
+    as the rows ask for; where these are too many, the replay counts every value."""
+    held = _candidates(spark, path, coords, capacity, least)
+    again = long_form(events(spark, path), coords)
+    if held is not None:
+        again = again.join(F.broadcast(held), (F.col("coord") == F.col("c0")) & (F.col("value") == F.col("v0")))
+    counted = finish(again.groupBy("coord", "value").agg(F.count("*").alias("cnt")), "complete")
+    return counted.where(F.col("cnt") >= least).select("coord", decoded(F.col("value"), "string").alias("value"), "cnt")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

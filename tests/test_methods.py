@@ -279,3 +279,19 @@ def test_a_curve_joins_once_for_all_subsets(spark):
                 assert have[method, f, ",".join(T)] == tuple(want[n] for n in names), (method, T, f)
     none = wl.curve(df.limit(0), ["k"], coords, Ts, ("sample",), 50.0, "z", factors).collect()
     assert len(none) == 9 and not any(r[n] for r in none for n in names)
+
+
+def test_two_passes_over_a_stream_lose_nothing(spark, tmp_path, monkeypatch):
+    """Values with the asked number of rows are all found, more of them than counters, whether the counters grow or are
+    too many; null comes back as null."""
+    from subsetheavy.streaming import heavy as hv
+
+    users = [u for u in range(12) for _ in range(20)] + [None] * 25 + [100 + i for i in range(60)]
+    data = spark.createDataFrame([(i, u, "view") for i, u in enumerate(users)], "event_id long, user_id long, event_type string")
+    data = data.select("event_id", F.expr("timestamp_ntz'2024-01-01 00:00:00'").alias("ts"), "user_id", "event_type", F.lit(1.0).alias("value"), F.lit("{}").alias("props"))
+    path = str(tmp_path / "in")
+    data.repartition(3, "event_id").write.parquet(path)
+    want = {("user_id", str(u), 20) for u in range(12)} | {("user_id", None, 25), ("event_type", "view", len(users))}
+    assert {tuple(r) for r in hv.two_passes(spark, path, ["event_type", "user_id"], 4, 20).collect()} == want
+    monkeypatch.setattr(hv, "MOST", 8)
+    assert {tuple(r) for r in hv.two_passes(spark, path, ["event_type", "user_id"], 4, 20).collect()} == want
