@@ -295,3 +295,21 @@ def test_two_passes_over_a_stream_lose_nothing(spark, tmp_path, monkeypatch):
     assert {tuple(r) for r in hv.two_passes(spark, path, ["event_type", "user_id"], 4, 20).collect()} == want
     monkeypatch.setattr(hv, "MOST", 8)
     assert {tuple(r) for r in hv.two_passes(spark, path, ["event_type", "user_id"], 4, 20).collect()} == want
+
+
+#: Queries that read a table where they once made their rows up.
+READ = ("q_a8",)
+
+
+@pytest.mark.parametrize("name", READ)
+def test_rows_come_from_a_table(spark, name):
+    """A plan that names its files, or rows that follow the tables; the rows are the SQL's."""
+    duckdb = pytest.importorskip("duckdb")
+    import __spark_entry__ as entries
+
+    small, large = (entries.queries()[name](spark, f"/root/testdata/{sf}") for sf in ("sf0.001", "sf0.01"))
+    assert small.inputFiles() or rows(small) != rows(large)
+    con = duckdb.connect()
+    for t in ("lineitem", "customer"):
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '/root/testdata/sf0.001/{t}.parquet'")
+    assert rows(small) == sorted(tuple(round(x, 6) if isinstance(x, float) else x for x in r) for r in con.sql(entries.oracle_sql()[name]).fetchall())
