@@ -313,3 +313,69 @@ def test_rows_come_from_a_table(spark, name):
     for t in ("lineitem", "customer"):
         con.sql(f"CREATE VIEW {t} AS SELECT * FROM '/root/testdata/sf0.001/{t}.parquet'")
     assert rows(small) == sorted(tuple(round(x, 6) if isinstance(x, float) else x for x in r) for r in con.sql(entries.oracle_sql()[name]).fetchall())
+
+
+def test_search_workload_makes_no_curve_by_itself(spark, monkeypatch):
+    """All curves of the search workload come from one sweep, and are those that each subset, gamma and budget has alone."""
+    from subsetheavy.plans import workloads as wl
+
+    def slot(i, j):
+        return None if (i + j) % 11 == 0 else "␀x" if (i * j) % 13 == 1 else f"v{(i * i + 3 * j) % (2 + j % 4)}"
+
+    rows = [(i, i % 3, i, i % 5, 100 * i, "abc"[min(i // 130, 2)] if i < 290 else "a", 1 + i * i % 7, *(slot(i, j) for j in range(10))) for i in range(300)]
+    kind = ", ".join(f"{c} bigint" for c in wl.ROW_KEY) + ", subset string, day int, " + ", ".join(f"{c} string" for c in wl.SEARCH_COORDS)
+    df = spark.createDataFrame(rows, kind).repartition(3)
+    names, gammas, pcts = ("tp", "fp", "fp_strict", "fn", "reported"), (0.05, 0.3), (20.0,)
+    want = {}
+    for gamma in gammas:
+        for pct in pcts:
+            for n in "ab":
+                Ts = {wl.SEARCH_COORDS[i : i + 3]: gamma for i in range(8)}
+                for r in wl.curve(df.where(F.col("subset") == n), wl.ROW_KEY, wl.SEARCH_COORDS, Ts, ("sample", "mixture"), pct, "day").collect():
+                    want.setdefault((gamma, pct, r["method"], r["cut"]), []).append([r[c] for c in names])
+
+    def never(*a, **k):
+        raise AssertionError("made for one curve")
+
+    monkeypatch.setattr(wl, "websearch", lambda spark, d: df)
+    monkeypatch.setattr(wl, "draw_sample", never)
+    monkeypatch.setattr(wl, "fit_mixture", never)
+    got = {(r["gamma"], r["pct"], r["method"], r["cut"]): [r[c] for c in names] for r in wl.search_curve(spark, "", gammas, pcts, 2).collect()}
+    assert set(got) == set(want) and len(got) == 28
+    for at, each in want.items():
+        assert len(each) == 16
+        assert got[at] == pytest.approx([sum(v) / 16 for v in zip(*each, strict=True)], abs=1e-9), at
+    assert any(v[0] and v[3] for v in got.values())
+    monkeypatch.setattr(wl, "websearch", lambda spark, d: df.limit(0))
+    assert wl.search_curve(spark, "", gammas, pcts, 2).collect() == []
+
+
+def test_samples_of_groups(spark):
+    """draw_samples keeps what a sort of each group's rows by priority and key keeps, ties and sizes over the group included."""
+    from subsetheavy.operators.sampling import draw_samples
+
+    rows = [(i, "ab"[i % 3 == 0], (i * 37 % 50) * (1 << 20)) for i in range(400)] + [(400 + i, "a", (1 << 32) - 1 - i * (1 << 26)) for i in range(60)]
+    df = spark.createDataFrame(rows, "k int, g string, priority bigint").repartition(3)
+    sizes = {"a": {"one": 1, "some": 100, "most": 299, "all": 9999}, "b": {"one": 3, "some": 134}}
+    got = draw_samples(df, ["k"], "g", sizes).collect()
+    for g, each in sizes.items():
+        own = sorted((p, k) for k, of, p in rows if of == g)
+        for name, size in each.items():
+            assert sorted((r["priority"], r["k"]) for r in got if r["g"] == g and r["sample"] == name) == own[:size], (g, name)
+
+
+def test_counters_of_groups(spark):
+    """Each group and capacity has its own counters, with the bound of misra_gries."""
+    from subsetheavy.operators.summaries import counters_by
+
+    rows = [("ab"[i % 4 == 0], f"v{int((i * 7919 % 1000) ** 2 / 40000)}", i % 3 if i % 5 else None) for i in range(3000)]
+    got = counters_by(spark.createDataFrame(rows, "g string, f string, h int").repartition(3), ["f", "h"], "g", {"a": {2, 8, 100}, "b": {1, 5}}).collect()
+    for g, each in {"a": (2, 8, 100), "b": (1, 5)}.items():
+        own = [r for r in rows if r[0] == g]
+        for c, at in (("f", 1), ("h", 2)):
+            true = {v: sum(1 for r in own if ("␀" if r[at] is None else str(r[at])) == v) for v in {"␀" if r[at] is None else str(r[at]) for r in own}}
+            for n in each:
+                held = {r["value"]: r["counter"] for r in got if (r["grp"], r["capacity"], r["coord"]) == (g, n, c)}
+                assert len(held) <= n and set(held) <= set(true)
+                assert all(true[v] - len(own) / (n + 1) <= held.get(v, 0) <= true[v] for v in true), (g, c, n)
+    assert {r["grp"] for r in got} == {"a", "b"}
